@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+import crowdrank.llm.ann as ann
 import crowdrank.llm.decontamination as decontamination
 import crowdrank.llm.language_id as language_id
+import crowdrank.llm.packing as packing
 
 QUERIES = {
+    "op1_additive_quantisation": ann.op1_additive_quantisation,
+    "op4_packing": packing.op4_packing,
     "op5_language_id": language_id.op5_language_id,
     "op7_decontamination": decontamination.op7_decontamination,
 }
