@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import crowdrank.llm.ann as ann
 import crowdrank.llm.decontamination as decontamination
+import crowdrank.llm.jaccard_join as jaccard_join
 import crowdrank.llm.language_id as language_id
 import crowdrank.llm.line_dedup as line_dedup
 import crowdrank.llm.packing as packing
@@ -11,11 +12,13 @@ import crowdrank.llm.packing as packing
 QUERIES = {
     "op1_additive_quantisation": ann.op1_additive_quantisation,
     "op2_line_dedup": line_dedup.op2_line_dedup,
+    "op3_jaccard_join": jaccard_join.op3_jaccard_join,
     "op4_packing": packing.op4_packing,
     "op5_language_id": language_id.op5_language_id,
     "op7_decontamination": decontamination.op7_decontamination,
 }
 SQL = {
+    "op3_jaccard_join": jaccard_join.SQL,
     "op2_line_dedup": line_dedup.SQL,
     "op7_decontamination": decontamination.SQL,
 }
