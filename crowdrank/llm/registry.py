@@ -8,6 +8,7 @@ import crowdrank.llm.jaccard_join as jaccard_join
 import crowdrank.llm.language_id as language_id
 import crowdrank.llm.line_dedup as line_dedup
 import crowdrank.llm.packing as packing
+import crowdrank.llm.substring_dedup as substring_dedup
 
 QUERIES = {
     "op1_additive_quantisation": ann.op1_additive_quantisation,
@@ -16,9 +17,11 @@ QUERIES = {
     "op4_packing": packing.op4_packing,
     "op5_language_id": language_id.op5_language_id,
     "op7_decontamination": decontamination.op7_decontamination,
+    "op10_substring_dedup": substring_dedup.op10_substring_dedup,
 }
 SQL = {
     "op3_jaccard_join": jaccard_join.SQL,
     "op2_line_dedup": line_dedup.SQL,
     "op7_decontamination": decontamination.SQL,
+    "op10_substring_dedup": substring_dedup.SQL,
 }
