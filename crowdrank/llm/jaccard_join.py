@@ -90,7 +90,7 @@ def spread(linked: np.ndarray, ids: np.ndarray) -> np.ndarray:
 def verify(block: pa.Table, threshold: float) -> pa.Table:
     """Links within a block of groups, or across two blocks of one large group (``side`` 0 and 1)."""
     block = block.combine_chunks()
-    group, side, rep, copies = (block[c].to_numpy() for c in ("grp", "side", "rep", "copies"))
+    group, side, rep, copies, large = (block[c].to_numpy() for c in ("grp", "side", "rep", "copies", "big"))
     data = block["grams"].to_pylist()
     out = [[], [], []]
     order = np.argsort(group, kind="stable")
@@ -111,7 +111,7 @@ def verify(block: pa.Table, threshold: float) -> pa.Table:
         for col, part in zip(out, (ids, links, spread(m, ids)), strict=True):
             col.append(part)
     rep, links, root = (np.concatenate(c) for c in out)
-    return pa.table({"rep": pa.array(rep, pa.int64()), "links": pa.array(links.astype(np.int64), pa.int64()), "root": pa.array(root, pa.int64())})
+    return pa.table({"rep": pa.array(rep, pa.int64()), "links": pa.array(links.astype(np.int64), pa.int64()), "root": pa.array(root, pa.int64()), "part": pa.array(large[: len(rep)] >= 0)})
 
 
 def jaccard_classes(docs: DataFrame, n: int = 5, threshold: float = 0.8, trees: int = 16, depth: int = 4, recall: float = 0.9999, seed: int = 5, block_docs: int = 800, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -154,10 +154,16 @@ def jaccard_classes(docs: DataFrame, n: int = 5, threshold: float = 0.8, trees:
     small = sets.filter("nb = 1").select("rep", "grams", "copies", "grp", F.lit(0).alias("side"), F.lit(-1).cast("long").alias("big"), F.pmod(F.xxhash64("grp"), F.lit(tasks)).cast("int").alias("i"), F.lit(0).alias("j"))
     big = sets.filter("nb > 1").withColumn("own", F.pmod(F.xxhash64("rep"), F.col("nb")).cast("int")).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))
     big = big.select("rep", "grams", "copies", "grp", (F.col("own") > F.col("o")).cast("int").alias("side"), F.col("grp").alias("big"), F.least("own", "o").alias("i"), F.greatest("own", "o").alias("j"))
-    checked = cut(small.union(big).groupBy("big", "i", "j").applyInArrow(lambda t: verify(t, threshold), "rep long, links long, root long"))
-    links = checked.groupBy("rep").agg(F.sum("links").alias("links"))
-    roots = components(checked.filter("rep <> root").select(F.col("rep").alias("a"), F.col("root").alias("b"))).withColumnRenamed("id", "rep")
-    classes = cut(reps.select("key", "rep", "copies").join(links, "rep", "left").join(roots, "rep", "left").select("key", F.coalesce("root", "rep").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links")))
+    checked = cut(small.union(big).groupBy("big", "i", "j").applyInArrow(lambda t: verify(t, threshold), "rep long, links long, root long, part boolean"))
+    links = checked.groupBy("rep").agg(F.sum("links").alias("links"), F.min("root").alias("own"))
+    # groups that one task saw whole have their roots; those of several blocks are connected here
+    parts = cut(checked.filter("part AND rep <> root").select(F.col("rep").alias("a"), F.col("root").alias("b")).distinct())
+    if parts.limit(1).count():
+        roots = components(parts).withColumnRenamed("id", "rep")
+        links = links.join(roots, "rep", "left").select("rep", "links", F.coalesce("root", "own").alias("root"))
+    else:
+        links = links.withColumnRenamed("own", "root")
+    classes = cut(reps.select("key", "rep", "copies").join(links, "rep", "left").select("key", F.coalesce("root", "rep").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links")))
     out = signed.select("doc_id", "key", "n_grams").join(classes, "key", "left")
     return out.select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.col("n_grams").cast("long").alias("n_grams"))
 
