@@ -59,6 +59,17 @@ def _powers(kind: str, n: int) -> np.ndarray:
     return _POWERS[kind][:n]
 
 
+def byte_sums(a: np.ndarray) -> np.ndarray:
+    """Prefix sums from which ``run_hash`` takes the hash of any run of bytes."""
+    sums = np.zeros(len(a) + 1, np.uint64)
+    np.cumsum(_BYTE[a] * _powers("base", len(a)), out=sums[1:])
+    return sums
+
+
+def run_hash(sums: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    return mix((sums[ends] - sums[starts]) * _powers("inverse", len(sums))[starts] + (ends - starts).astype(np.uint64))
+
+
 def word_hashes(data: bytes, also_space: np.ndarray = _SPACE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Starts, ends and 64-bit hashes of the maximal runs of non-space bytes, without a Python loop.
 
@@ -70,9 +81,7 @@ def word_hashes(data: bytes, also_space: np.ndarray = _SPACE) -> tuple[np.ndarra
     inside[1:-1] = ~also_space[a]
     edge = np.flatnonzero(inside[1:] != inside[:-1])
     starts, ends = edge[::2], edge[1::2]
-    sums = np.zeros(len(a) + 1, np.uint64)
-    np.cumsum(_BYTE[a] * _powers("base", len(a)), out=sums[1:]) if len(a) else None
-    return starts, ends, mix((sums[ends] - sums[starts]) * _powers("inverse", len(a) + 1)[starts] + (ends - starts).astype(np.uint64))
+    return starts, ends, run_hash(byte_sums(a), starts, ends)
 
 
 def gram_hashes(words: np.ndarray, k: int) -> np.ndarray:

@@ -36,8 +36,8 @@ def pieces(docs: DataFrame, path: str, end_id: int, capacity: int, id_col: str =
         end = end_id.to_bytes(4, "little")
         for b in batches:
             out = []
-            for doc, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                ids = enc.encode(text.as_py()) + end
+            for doc, ids in zip(b.column(0).to_pylist(), enc.encode_all(b.column(1).to_pylist()), strict=True):
+                ids += end
                 n = len(ids) // 4
                 for s in range(0, n, capacity):
                     piece = ids[4 * s : 4 * (s + capacity)]

@@ -1,19 +1,24 @@
-"""Whole-text encoding with the tokenizers library, one call for each distinct chunk.
+"""Whole-text encoding with the tokenizers library, one call for each distinct piece.
 
-A text is cut where a space stands between two other characters. No pre-token of the two supported
-vocabularies crosses such a place, so the ids of the chunks, joined, are the ids of the text; tests
-hold them against whole-text calls. Chunks repeat, so their ids are kept in two generations of a
-bounded table.
+Texts are cut where no pre-token of the two supported vocabularies can cross: at single spaces and
+line ends between other characters, and behind a Latin letter that a mark or digit follows. The ids
+of the pieces, joined, are the ids of the text; tests hold them against whole-text calls. Pieces are
+found, hashed and looked up as arrays; only new ones reach the library.
 """
 
 from __future__ import annotations
 
 import re
-import struct
 
-_ODD = re.compile(r" \s|\s ")
-_SAFE = re.compile(r"(?<=\S)(?= \S)")
-_POINTS = frozenset(".,;:!?")
+import numpy as np
+
+from crowdrank.llm.common import byte_sums, run_hash
+
+_ODD = re.compile(r"\s\s|\A\s|\s\Z")
+_ASCII_LETTER = np.zeros(256, bool)
+_ASCII_LETTER[[*range(65, 91), *range(97, 123)]] = True
+_LOWER = np.arange(256, dtype=np.uint8)
+_LOWER[65:91] += 32
 
 
 def default_path(name: str) -> str:
@@ -22,63 +27,158 @@ def default_path(name: str) -> str:
     return public_tokenizers.path(name)
 
 
-class ChunkEncoder(dict):
-    """``encode(text)`` gives the ids as little-endian unsigned 32-bit integers.
+class PieceEncoder:
+    """Numbers of pieces and their ids.
 
-    ``spaced``: chunks after the first carry their space (byte-level vocabularies); otherwise white
-    space is dropped and case ignored by the vocabulary itself.
+    ``spaced``: a piece carries the space before it and line ends are pieces (byte-level vocabulary);
+    otherwise white space is dropped and case ignored, as the vocabulary itself does. At most about
+    ``keep`` pieces are remembered; ``forget`` starts anew and is called by the user of the numbers.
     """
 
-    def __init__(self, path: str, spaced: bool, keep: int = 400_000) -> None:
-        super().__init__()
+    def __init__(self, path: str, spaced: bool, keep: int = 1_500_000) -> None:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
-        self.spaced, self.keep, self.old = spaced, keep, {}
-
-    def ids(self, text: str) -> bytes:
-        i = self.tokenizer.encode(text, add_special_tokens=False).ids
-        return struct.pack(f"<{len(i)}I", *i)
-
-    def __missing__(self, chunk: str) -> bytes:
-        if (found := self.old.get(chunk)) is None:
-            if len(chunk) > 1 and chunk[-1] in _POINTS and chunk[-2].isalpha():
-                found = self[chunk[:-1]] + self.point(chunk[-1])
-            elif not self.spaced and chunk.isascii() and chunk != (low := chunk.lower()):
-                found = self[low]
-            else:
-                found = self.ids(f" {chunk}" if self.spaced else chunk)
-        if len(self) >= self.keep:
-            self.old = dict(self)
-            self.clear()
-        self[chunk] = found
-        return found
-
-    def point(self, mark: str) -> bytes:
-        """A mark that follows a letter, so without a space before it."""
-        key = f"\0{mark}"
-        if key not in self.old:
-            self.old[key] = self.ids(mark)
-        return self.old[key]
-
-    def encode(self, text: str | None) -> bytes:
-        if not text:
-            return b""
+        self.spaced, self.keep = spaced, keep
+        self.forget()
+
+    def forget(self) -> None:
+        self.known, self.number = np.zeros(0, np.uint64), np.zeros(0, np.int32)
+        self.recent, self.recent_number = self.known, self.number
+        self.count, self.used = 0, 0
+        self.start, self.size, self.flat = np.zeros(1024, np.int64), np.zeros(1024, np.int32), np.zeros(8192, np.uint32)
+
+    def full(self) -> bool:
+        return self.count > self.keep or self.used > 16 * self.keep
+
+    def add(self, rows: list) -> np.ndarray:
+        """New numbers for rows of ids."""
+        n, ids = len(rows), np.concatenate([np.asarray(r, np.uint32) for r in rows]) if rows else np.zeros(0, np.uint32)
+        while self.count + n > len(self.start):
+            self.start, self.size = np.concatenate((self.start, np.zeros_like(self.start))), np.concatenate((self.size, np.zeros_like(self.size)))
+        while self.used + len(ids) > len(self.flat):
+            self.flat = np.concatenate((self.flat, np.zeros_like(self.flat)))
+        sizes = np.array([len(r) for r in rows], np.int64)
+        at = slice(self.count, self.count + n)
+        self.start[at], self.size[at] = self.used + np.cumsum(sizes) - sizes, sizes
+        self.flat[self.used : self.used + len(ids)] = ids
+        self.count, self.used = self.count + n, self.used + len(ids)
+        return np.arange(at.start, at.stop, dtype=np.int32)
+
+    def ids_of(self, text: str) -> list[int]:
+        return self.tokenizer.encode(text, add_special_tokens=False).ids
+
+    def learn(self, pieces: list[tuple[str, bool]]) -> list:
+        """Ids of new pieces; those of letters alone, one pre-token each, share calls."""
+        out: list = [None] * len(pieces)
+        plain = [i for i, (w, space) in enumerate(pieces) if space and w.isalpha()]
+        for lo in range(0, len(plain), 512):
+            own = plain[lo : lo + 512]
+            text = " ".join([pieces[i][0] for i in own])
+            e = self.tokenizer.encode(f" {text}" if self.spaced else text, add_special_tokens=False)
+            of = np.array(e.word_ids)
+            cuts = np.flatnonzero(np.concatenate(([True], of[1:] != of[:-1])))
+            if len(cuts) == len(own):
+                for i, ids in zip(own, np.split(np.array(e.ids, np.uint32), cuts[1:]), strict=True):
+                    out[i] = ids
+        for i, (w, space) in enumerate(pieces):
+            if out[i] is None:
+                out[i] = self.ids_of(f" {w}" if space and self.spaced else w)
+        return out
+
+    def find(self, keys: np.ndarray) -> np.ndarray:
+        """Numbers of sorted keys, -1 where new."""
+        out = np.full(len(keys), -1, np.int32)
+        for table, number in ((self.known, self.number), (self.recent, self.recent_number)):
+            if len(table):
+                at = np.searchsorted(table, keys)
+                at[at == len(table)] = 0
+                out = np.where(table[at] == keys, number[at], out)
+        return out
+
+    def remember(self, keys: np.ndarray, numbers: np.ndarray) -> None:
+        self.recent, self.recent_number = _merge(self.recent, self.recent_number, keys, numbers)
+        if len(self.recent) > 65_536:
+            self.known, self.number = _merge(self.known, self.number, self.recent, self.recent_number)
+            self.recent, self.recent_number = np.zeros(0, np.uint64), np.zeros(0, np.int32)
+
+    def pieces(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+        """Piece numbers of all texts in a row, and where each text begins (with the end)."""
+        odd = {i for i, t in enumerate(texts) if t and _ODD.search(t)} if self.spaced else set()
+        coded = [b"" if not t or i in odd else t.encode() for i, t in enumerate(texts)]
+        offsets = np.cumsum([0, *(len(c) + 1 for c in coded)])
+        a = np.frombuffer(b"\n".join(coded) + b"\n", np.uint8)
         if not self.spaced:
-            return b"".join(map(self.__getitem__, text.split(" ")))
-        if _ODD.search(text):
-            parts = _SAFE.split(text)
-            return self.ids(parts[0]) + b"".join([self[x[1:]] for x in parts[1:]])
-        first, *rest = text.split(" ")
-        return self.ids(first) + b"".join(map(self.__getitem__, rest))
-
-
-_LOADED: dict[tuple[str, bool], ChunkEncoder] = {}
-
-
-def encoder(path: str, spaced: bool) -> ChunkEncoder:
+            a = _LOWER[a]
+        line = a == 10
+        divider = np.zeros(len(a), bool)
+        divider[offsets[1:] - 1] = True
+        space = (a == 32) | (divider if self.spaced else line)
+        letter = _ASCII_LETTER[a]
+        latin = np.zeros(len(a), bool)
+        latin[1:] = (a[:-1] == 0xC3) & (a[1:] != 0x97) & (a[1:] != 0xB7)
+        begin = ~space
+        fresh = np.ones(len(a), bool)
+        fresh[1:] = space[:-1] | ((letter | latin)[:-1] & ~letter[1:] & (a[1:] < 0x80))
+        if self.spaced:
+            fresh |= line
+            fresh[1:] |= line[:-1]
+        begin &= fresh
+        starts = np.flatnonzero(begin)
+        last = ~space
+        last[:-1] &= space[1:] | begin[1:]
+        ends = np.flatnonzero(last) + 1
+        before = np.zeros(len(starts), bool)
+        if len(starts):
+            before = (a[starts - 1] == 32) & (starts > 0) if self.spaced else np.ones(len(starts), bool)
+        keys = run_hash(byte_sums(a), starts, ends)
+        if self.spaced:
+            keys = keys ^ (before * np.uint64(0xA5A5A5A55A5A5A5B))
+        unique, first, inverse = np.unique(keys, return_index=True, return_inverse=True)
+        numbers = self.find(unique)
+        if len(new := np.flatnonzero(numbers < 0)):
+            data, at = a.tobytes(), first[new]
+            rows = self.learn([(data[s:e].decode(), b) for s, e, b in zip(starts[at].tolist(), ends[at].tolist(), before[at].tolist(), strict=True)])
+            numbers[new] = self.add(rows)
+            self.remember(unique[new], numbers[new])
+        found = numbers[inverse]
+        edges = np.searchsorted(starts, offsets)
+        if odd:
+            parts, own = np.split(found, edges[1:-1]), self.add([self.ids_of(texts[i]) for i in sorted(odd)])
+            for i, k in zip(sorted(odd), own, strict=True):
+                parts[i] = np.array([k], np.int32)
+            found, edges = np.concatenate(parts), np.cumsum([0, *map(len, parts)])
+        return found, edges
+
+    def expand(self, numbers: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of pieces in a row, and the number of ids before each piece (with the total)."""
+        sizes = self.size[numbers].astype(np.int64)
+        before = np.concatenate(([0], np.cumsum(sizes)))
+        return self.flat[np.repeat(self.start[numbers] - before[:-1], sizes) + np.arange(before[-1])], before
+
+    def encode_all(self, texts: list[str | None], group: int = 128):
+        """Ids of each text as little-endian unsigned 32-bit integers."""
+        for i in range(0, len(texts), group):
+            numbers, edges = self.pieces(texts[i : i + group])
+            ids, before = self.expand(numbers)
+            data, cuts = ids.astype("<u4").tobytes(), (4 * before[edges]).tolist()
+            for lo, hi in zip(cuts, cuts[1:], strict=False):
+                yield data[lo:hi]
+            if self.full():
+                self.forget()
+
+
+def _merge(keys: np.ndarray, values: np.ndarray, more: np.ndarray, more_values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    at = np.searchsorted(keys, more)
+    return np.insert(keys, at, more), np.insert(values, at, more_values)
+
+
+_LOADED: dict[tuple[str, bool], PieceEncoder] = {}
+
+
+def encoder(path: str, spaced: bool) -> PieceEncoder:
     """One encoder a worker process."""
     if (path, spaced) not in _LOADED:
-        _LOADED[path, spaced] = ChunkEncoder(path, spaced)
+        _LOADED[path, spaced] = PieceEncoder(path, spaced)
     return _LOADED[path, spaced]
