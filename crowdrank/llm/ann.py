@@ -17,7 +17,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -101,7 +101,7 @@ def matrix(column: pa.Array, d: int) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(-1, d)
 
 
-def search(base: DataFrame, is_query: F.Column, k: int = 20, id_col: str = "vec_id", vec_col: str = "embedding", measure: str = "ip", stages: int = 8, entries: int = 256, beam: int = 4, rerank: int = 256, sample_rows: int = 16_384, block_rows: int = 8_192, query_rows: int = 4_096) -> DataFrame:
+def search(base: DataFrame, is_query: Column, k: int = 20, id_col: str = "vec_id", vec_col: str = "embedding", measure: str = "ip", stages: int = 8, entries: int = 256, beam: int = 4, rerank: int = 256, sample_rows: int = 16_384, block_rows: int = 8_192, query_rows: int = 4_096) -> DataFrame:
     """The ``k`` nearest of each row for which ``is_query`` (over ``vec_id``) holds, against all rows.
 
     Codebooks are fitted on at most about ``sample_rows`` rows, picked by a hash of their id. Rows

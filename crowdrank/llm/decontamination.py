@@ -12,7 +12,7 @@ merged by ``doc_id``, so ids must be unique for row-wise results; extra columns
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 #: The characters between words, after A-Z have been lower-cased.
@@ -20,7 +20,7 @@ SEPARATORS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
-def words_of(text: F.Column) -> F.Column:
+def words_of(text: Column) -> Column:
     """The words of a text; a leading or trailing separator leaves an empty string, which goes."""
     return F.array_remove(F.split(F.coalesce(F.translate(text, UPPER, LOWER), F.lit("")), SEPARATORS), "")
 

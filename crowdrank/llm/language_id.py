@@ -17,7 +17,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 UNKNOWN = "und"
@@ -115,11 +115,25 @@ def predict(docs: DataFrame, model: WordFirstModel, id_col: str = "doc_id", text
     return docs.select(F.col(id_col), F.col(text_col)).mapInArrow(run, f"doc_id {kind}, lang_pred string, score double")
 
 
-def held_out(docs: DataFrame, id_col: str = "doc_id") -> F.Column:
+def keep_known(docs: DataFrame, model: WordFirstModel, min_score: float = 0.5, text_col: str = "text") -> DataFrame:
+    """The rows, all columns whole, whose text has a language with at least ``min_score``."""
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+
+    def run(batches):
+        m = shared.value
+        for b in batches:
+            found = [m.predict(t.as_py()) for t in b.column(b.schema.get_field_index(text_col))]
+            yield b.filter(pa.array([lang != UNKNOWN and score >= min_score for lang, score in found], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
+def held_out(id_col: str = "doc_id") -> Column:
+    """A fifth of the ids, by their checksum."""
     return F.crc32(F.col(id_col).cast("string")) % 5 == 0
 
 
 def op5_language_id(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text", "lang")
-    model = fit(docs.filter(~held_out(docs)))
-    return predict(docs, model).select("doc_id", (F.crc32(F.col("doc_id").cast("string")) % 5 == 0).alias("held_out"), "lang_pred", "score")
+    model = fit(docs.filter(~held_out()))
+    return predict(docs, model).select("doc_id", held_out().alias("held_out"), "lang_pred", "score")

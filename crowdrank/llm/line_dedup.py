@@ -14,13 +14,13 @@ should be unique; documents shorter than ``guarantee`` lines never lose a line.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from crowdrank.llm.common import cut
 
 
-def lines_of(text: F.Column) -> F.Column:
+def lines_of(text: Column) -> Column:
     return F.split(text, "\n")
 
 

@@ -27,52 +27,34 @@ SHARDS = "part int, shard int, ids_before long, n_ids long, blob binary"
 
 
 class ShardBuilder:
-    """Collects documents as chunk numbers; ``flush`` gives their shard.
+    """Collects documents as piece numbers; ``flush`` gives their shard."""
 
-    Numbers of chunks last over shards, up to ``keep`` of them; chunk 0 is the end of a document.
-    """
-
-    def __init__(self, enc, end_id: int, vocabulary: int, keep: int = 1_000_000) -> None:
-        self.enc, self.end, self.vocabulary, self.keep = enc, end_id.to_bytes(4, "little"), vocabulary, keep
-        self.forget()
+    def __init__(self, enc, end_id: int, vocabulary: int) -> None:
+        self.enc, self.end, self.vocabulary = enc, end_id, vocabulary
         self.docs, self.parts, self.words = [], [], 0
 
-    def forget(self) -> None:
-        self.number, self.first, self.ids = {}, {}, [self.end]
-
     def add(self, docs: list[int], texts: list[str | None]) -> None:
-        split = [self.enc.chunks(t) for t in texts]
-        number, ids = self.number, self.ids
-        if new := set().union(*(rest for _, rest in split)).difference(number):
-            for c in new:
-                number[c] = len(ids)
-                ids.append(self.enc[c])
-        for doc, (first, rest) in zip(docs, split, strict=True):
-            row = np.zeros(len(rest) + 1 + bool(first), np.int32)
-            if first:
-                if first not in self.first:
-                    self.first[first] = len(ids)
-                    ids.append(self.enc.ids(first))
-                row[0] = self.first[first]
-            row[len(row) - 1 - len(rest) : -1] = np.fromiter(map(number.__getitem__, rest), np.int32, len(rest))
-            self.docs.append(doc)
-            self.parts.append(row)
-            self.words += len(row)
+        numbers, edges = self.enc.pieces(texts)
+        # -1 stands for the end of a document
+        self.parts.append(np.insert(numbers.astype(np.int64), edges[1:], -1))
+        self.docs += docs
+        self.words += len(numbers) + len(docs)
 
     def flush(self) -> tuple[bytes, int]:
-        seq = np.concatenate(self.parts)
-        used = np.zeros(len(self.ids), bool)
-        used[seq] = True
-        own = [self.ids[i] for i in np.flatnonzero(used).tolist()]
-        sizes = np.array([len(x) // 4 for x in own])
+        seq = np.concatenate(self.parts) + 1
+        used = np.zeros(self.enc.count + 1, bool)
+        used[seq], used[0] = True, True
+        flat, before = self.enc.expand(np.flatnonzero(used[1:]))
+        sizes = np.concatenate(([1], np.diff(before)))
+        flat = np.concatenate((np.array([self.end], flat.dtype), flat))
         seq = (np.cumsum(used) - 1)[seq]
-        ends = np.cumsum([len(p) for p in self.parts])
-        counts = np.diff(np.concatenate(([0], np.cumsum(sizes[seq])[ends - 1])))
-        rules, symbols, last = compress((np.frombuffer(b"".join(own), "<u4"), sizes), seq, 0, self.vocabulary)
+        ends = np.flatnonzero(seq == 0)
+        counts = np.diff(np.concatenate(([0], np.cumsum(sizes[seq])[ends])))
+        rules, symbols, last = compress((flat, sizes), seq, 0, self.vocabulary)
         blob, total = write_shard(self.docs, counts, rules, symbols, last, self.vocabulary), int(counts.sum())
         self.docs, self.parts, self.words = [], [], 0
-        if len(self.ids) > self.keep:
-            self.forget()
+        if self.enc.full():
+            self.enc.forget()
         return blob, total
 
 
@@ -93,8 +75,8 @@ def write_ids(docs: DataFrame, path: str, vocabulary_path: str, end_id: int = 0,
             return out
 
         for b in batches:
-            for i in range(0, b.num_rows, 256):
-                own = b.slice(i, 256)
+            for i in range(0, b.num_rows, 128):
+                own = b.slice(i, 128)
                 build.add(own.column(0).to_pylist(), own.column(1).to_pylist())
                 if build.words >= shard_words:
                     yield row()
