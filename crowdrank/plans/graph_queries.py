@@ -41,14 +41,22 @@ def uv_of(w: str) -> str:
 QUERIES, SQL = {}, {}
 
 
-def query(name: str, sql: str | None = None):
-    def add(f):
-        QUERIES[name] = f
-        if sql:
-            SQL[name] = sql
-        return f
-
-    return add
+def query_maker(queries: dict, twins: dict):
+    """A decorator that registers a query and, if given, its SQL twin."""
+
+    def query(name: str, sql: str | None = None):
+        def add(f):
+            queries[name] = f
+            if sql:
+                twins[name] = sql
+            return f
+
+        return add
+
+    return query
+
+
+query = query_maker(QUERIES, SQL)
 
 
 for _w, _build in WORKLOADS.items():

@@ -4,10 +4,10 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from crowdrank.plans import graph_queries
+from crowdrank.plans import graph_queries, model_queries
 
-QUERIES = dict(graph_queries.QUERIES)
-SQL = dict(graph_queries.SQL)
+QUERIES = graph_queries.QUERIES | model_queries.QUERIES
+SQL = graph_queries.SQL | model_queries.SQL
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
