@@ -24,6 +24,10 @@ UNKNOWN = "und"
 _WORD = re.compile(r"[^\W\d_]+")
 
 
+#: The model whose word scores this process keeps; an earlier one gives its memory back.
+_ACTIVE: list = []
+
+
 @dataclass
 class WordFirstModel:
     """Log frequencies by language of words and of character n-grams (by length)."""
@@ -55,10 +59,14 @@ class WordFirstModel:
         self._rows[word] = i
         return i
 
-    def predict(self, text: str | None, cache: int = 500_000) -> tuple[str, float]:
+    def predict(self, text: str | None, cache: int = 200_000) -> tuple[str, float]:
         words = _WORD.findall(text.lower()) if text else []
         if not words or not self.langs:
             return UNKNOWN, 0.0
+        if not _ACTIVE or _ACTIVE[0] is not self:
+            for m in _ACTIVE:
+                m._rows, m._matrix = {}, None
+            _ACTIVE[:] = [self]
         if len(self._rows) > cache:
             self._rows, self._matrix = {}, None
         rows = self._rows
