@@ -95,9 +95,13 @@ def topn_lsh(groups: DataFrame, items: DataFrame, n: int = 10, bucket: float = 1
     return _ranked(near.select(F.col("datasetA.group_key").alias("group_key"), F.col("datasetB.item_id").alias("item_id"), dot("datasetA.vec", "datasetB.vec").alias("score")), n)
 
 
-def truth_rank_blocks(truth: DataFrame, groups: DataFrame, items: DataFrame, seen: DataFrame | None = None) -> DataFrame:
-    """``group_key, item_id, rnk, candidates`` from vectors: each item block counts what beats the truth."""
-    own = scores(groups, items, truth.select("group_key", "item_id")).withColumnRenamed("score", "own")
+def truth_rank_blocks(truth: DataFrame, groups: DataFrame, items: DataFrame, seen: DataFrame | None = None, score=None) -> DataFrame:
+    """``group_key, item_id, rnk, candidates`` from vectors: each item block counts what beats the truth.
+
+    ``score``: a function of two matrices; the product of vectors if not given.
+    """
+    score = score or (lambda g, v: g @ v.T)
+    own = truth.select("group_key", "item_id").distinct().join(items.select(F.col("id").alias("item_id"), F.col("vec").alias("own")), "item_id")
     left = with_seen(groups, seen).join(own, "group_key")
     x, y = blocked(left, items, key="group_key")
 
@@ -105,8 +109,9 @@ def truth_rank_blocks(truth: DataFrame, groups: DataFrame, items: DataFrame, see
         above = candidates = np.zeros(a.num_rows, np.int64)
         if a.num_rows and b.num_rows:
             ids, v = b["id"].to_numpy(), np.array(b["vec"].to_pylist())
-            s = np.array(a["vec"].to_pylist()) @ v.T
-            t, o = a["item_id"].to_numpy(), a["own"].to_numpy()
+            g, own = np.array(a["vec"].to_pylist()), np.array(a["own"].to_pylist())
+            s = score(g, v)
+            t, o = a["item_id"].to_numpy(), np.array([score(g[i : i + 1], own[i : i + 1])[0, 0] for i in range(len(g))])
             place = {q: i for i, q in enumerate(ids.tolist())}
             ok = ids[None, :] != t[:, None]
             for i, seen_items in enumerate(a["seen"].to_pylist()):

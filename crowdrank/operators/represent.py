@@ -111,7 +111,7 @@ def blocked(left: DataFrame, right: DataFrame, left_rows: int = 4096, right_rows
     every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
     x = left.withColumn("lb", F.pmod(F.xxhash64(key), F.lit(nl)).cast("int")).withColumn("rb", every(nr))
     y = right.withColumn("rb", F.pmod(F.xxhash64(rkey), F.lit(nr)).cast("int")).withColumn("lb", every(nl))
-    return x, y
+    return x.toDF(*x.columns), y.toDF(*y.columns)  # fresh columns, so both sides may share a source
 
 
 def exact_loss(edges: DataFrame, left: DataFrame, items: DataFrame) -> DataFrame:

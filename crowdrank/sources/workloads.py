@@ -73,3 +73,33 @@ def gatherings(spark: SparkSession, sf_dir: str) -> Workload:
 
 
 WORKLOADS = {"w1": crowds, "w2": teams, "w3": gatherings}
+
+
+def planted(spark: SparkSession, sf_dir: str, anchors_per_user: int = 4) -> Workload:
+    """W4: users and items with known vectors, so that accuracy can be compared.
+
+    Even ids are users and odd ids items, on the first 8 coordinates. A user's edges are the 12 best
+    items; ties are the 8 nearest users. Every user anchors four groups of 3 to 6 near users, whose
+    item is the best one for the members weighted by how often each is a neighbour.
+    """
+    from crowdrank.operators import rank, represent
+
+    v = read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.slice("embedding", 1, 8).cast("array<double>").alias("x"))
+    v = graph.store(v.withColumn("n", F.sqrt(represent.dot("x", "x"))).select("id", F.transform("x", lambda c: c / F.col("n")).alias("vec")))
+    users, items = v.filter("id % 2 = 0"), v.filter("id % 2 = 1")
+    keyed = users.select(F.col("id").cast("string").alias("group_key"), "vec")
+    uv = rank.topn(keyed, items, 12).select(F.col("group_key").cast("long").alias("user_id"), "item_id", F.lit(1.0).alias("w"), F.timestamp_seconds(F.lit(0)).alias("ts"))
+    own = keyed.select("group_key", F.col("group_key").cast("long").alias("item_id"))
+    near = graph.store(rank.topn(keyed, users, 8, seen=own).select(F.col("group_key").cast("long").alias("src"), (F.col("rnk") - 1).alias("at"), F.col("item_id").alias("dst")))
+    uu = graph.symmetrise(near.select("src", "dst"))
+    count = near.groupBy(F.col("dst").alias("user_id")).agg(F.count("*").alias("k"))
+    a = users.select(F.col("id").alias("anchor"), (F.col("id") / 2).cast("long").alias("a")).withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(anchors_per_user - 1))))
+    a = a.withColumn("m", 2 + (F.col("a") + F.col("rep")) % 4).withColumn("j", F.explode(F.sequence(F.lit(0), F.col("m").cast("int") - 1)))
+    a = a.withColumn("at", F.pmod(F.col("j") - 2 * F.col("rep"), F.lit(8)).cast("int"))
+    rows = a.join(near.withColumnRenamed("src", "anchor"), ["anchor", "at"]).groupBy("anchor", "a", "rep").agg(F.array_sort(F.array_distinct(F.concat(F.array("anchor"), F.collect_list("dst")))).alias("members"))
+    rows = graph.store(rows.withColumn("ts", F.timestamp_seconds(F.pmod(7919 * F.col("a") + 104729 * F.col("rep"), F.lit(1000003)))))
+    each = rows.select("anchor", "rep", F.explode("members").alias("user_id")).join(count, "user_id", "left").select(F.concat_ws(":", "anchor", "rep").alias("group_key"), "user_id", (F.coalesce("k", F.lit(0)) / 3.0).alias("influence"))
+    weights = represent.influence_weights(each.select("group_key", "user_id"), each.select("user_id", "influence").distinct())
+    best = rank.topn(represent.weighted_sum(each.select("group_key", "user_id"), weights, users), items, 1)
+    records = rows.withColumn("k", F.concat_ws(":", "anchor", "rep")).join(best.select(F.col("group_key").alias("k"), "item_id"), "k")
+    return Workload(graph.store(uv), graph.store(uu), graph.store(records.select(graph.group_key(F.col("members")).alias("group_key"), "members", "item_id", "ts")))
