@@ -29,7 +29,7 @@ def bucketed_join(a: DataFrame, b: DataFrame, key: str = "id", buckets: int = 8)
     for df in (a, b):
         names.append(f"bucketed_{uuid.uuid4().hex[:12]}")
         df.write.bucketBy(buckets, key).sortBy(key).option("path", _place(spark, "bucketed")).saveAsTable(names[-1])
-    return spark.table(names[0]).join(spark.table(names[1]), key)
+    return spark.table(names[0]).hint("merge").join(spark.table(names[1]), key)
 
 
 def save_model(spark: SparkSession, params: dict, users: DataFrame, items: DataFrame, config: dict) -> str:
