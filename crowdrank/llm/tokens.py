@@ -52,39 +52,47 @@ class PieceEncoder:
     def full(self) -> bool:
         return self.count > self.keep or self.used > 16 * self.keep
 
-    def add(self, rows: list) -> np.ndarray:
-        """New numbers for rows of ids."""
-        n, ids = len(rows), np.concatenate([np.asarray(r, np.uint32) for r in rows]) if rows else np.zeros(0, np.uint32)
+    def add(self, ids: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+        """New numbers for pieces whose ids stand in a row."""
+        n = len(sizes)
         while self.count + n > len(self.start):
             self.start, self.size = np.concatenate((self.start, np.zeros_like(self.start))), np.concatenate((self.size, np.zeros_like(self.size)))
         while self.used + len(ids) > len(self.flat):
             self.flat = np.concatenate((self.flat, np.zeros_like(self.flat)))
-        sizes = np.array([len(r) for r in rows], np.int64)
         at = slice(self.count, self.count + n)
         self.start[at], self.size[at] = self.used + np.cumsum(sizes) - sizes, sizes
         self.flat[self.used : self.used + len(ids)] = ids
         self.count, self.used = self.count + n, self.used + len(ids)
         return np.arange(at.start, at.stop, dtype=np.int32)
 
-    def ids_of(self, text: str) -> list[int]:
-        return self.tokenizer.encode(text, add_special_tokens=False).ids
-
-    def learn(self, pieces: list[tuple[str, bool]]) -> list:
-        """Ids of new pieces; those of letters alone, one pre-token each, share calls."""
-        out: list = [None] * len(pieces)
-        plain = [i for i, (w, space) in enumerate(pieces) if space and w.isalpha()]
-        for lo in range(0, len(plain), 512):
-            own = plain[lo : lo + 512]
-            text = " ".join([pieces[i][0] for i in own])
-            e = self.tokenizer.encode(f" {text}" if self.spaced else text, add_special_tokens=False)
-            of = np.array(e.word_ids)
-            cuts = np.flatnonzero(np.concatenate(([True], of[1:] != of[:-1])))
-            if len(cuts) == len(own):
-                for i, ids in zip(own, np.split(np.array(e.ids, np.uint32), cuts[1:]), strict=True):
-                    out[i] = ids
-        for i, (w, space) in enumerate(pieces):
-            if out[i] is None:
-                out[i] = self.ids_of(f" {w}" if space and self.spaced else w)
+    def ids_of(self, text: str) -> np.ndarray:
+        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, np.uint32)
+
+    def learn(self, pieces: list[str], spaced: list[bool]) -> np.ndarray:
+        """Numbers of new pieces. Those of letters alone, one pre-token each, share calls: words
+        are joined by spaces, or by line ends where they stand without a space."""
+        out = np.zeros(len(pieces), np.int32)
+        plain, bare, other = [], [], []
+        for i, (w, space) in enumerate(zip(pieces, spaced, strict=True)):
+            (other if not w.isalpha() else plain if space else bare).append(i)
+        for own, joint in ((plain, " "), (bare, "\n")):
+            for lo in range(0, len(own), 256):
+                part = own[lo : lo + 256]
+                text = joint.join([pieces[i] for i in part])
+                e = self.tokenizer.encode(f" {text}" if self.spaced and joint == " " else text, add_special_tokens=False)
+                of, ids = np.array(e.word_ids), np.array(e.ids, np.uint32)
+                cuts = np.flatnonzero(np.concatenate(([True], of[1:] != of[:-1], [True])))
+                sizes = np.diff(cuts)
+                if joint == "\n" and len(sizes) == 2 * len(part) - 1:
+                    ids, sizes = ids[np.repeat(np.arange(len(sizes)) % 2 == 0, sizes)], sizes[::2]
+                if len(sizes) == len(part):
+                    out[part] = self.add(ids, sizes)
+                else:
+                    other += part
+        for lo in range(0, len(other), 256):
+            part = other[lo : lo + 256]
+            rows = [self.ids_of(f" {pieces[i]}" if self.spaced and spaced[i] else pieces[i]) for i in part]
+            out[part] = self.add(np.concatenate(rows), np.array([len(r) for r in rows]))
         return out
 
     def find(self, keys: np.ndarray) -> np.ndarray:
@@ -139,15 +147,15 @@ class PieceEncoder:
         numbers = self.find(unique)
         if len(new := np.flatnonzero(numbers < 0)):
             data, at = a.tobytes(), first[new]
-            rows = self.learn([(data[s:e].decode(), b) for s, e, b in zip(starts[at].tolist(), ends[at].tolist(), before[at].tolist(), strict=True)])
-            numbers[new] = self.add(rows)
+            numbers[new] = self.learn([data[s:e].decode() for s, e in zip(starts[at].tolist(), ends[at].tolist(), strict=True)], before[at].tolist())
             self.remember(unique[new], numbers[new])
         found = numbers[inverse]
         edges = np.searchsorted(starts, offsets)
         if odd:
-            parts, own = np.split(found, edges[1:-1]), self.add([self.ids_of(texts[i]) for i in sorted(odd)])
-            for i, k in zip(sorted(odd), own, strict=True):
-                parts[i] = np.array([k], np.int32)
+            parts = np.split(found, edges[1:-1])
+            for i in odd:
+                ids = self.ids_of(texts[i])
+                parts[i] = self.add(ids, np.array([len(ids)]))
             found, edges = np.concatenate(parts), np.cumsum([0, *map(len, parts)])
         return found, edges
 
