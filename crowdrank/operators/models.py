@@ -20,7 +20,7 @@ class Config:
     """One estimator; the ablations and baselines are settings of it.
 
     ``aggregate``: attention, mean, influence, voting, metric, ncf or virtual. ``views``: names of the
-    neighbour lists that are convolved (empty: none). ``mode``: simple, two_stage, joint or pooled.
+    neighbour lists that are convolved (empty: none). ``dense``: learning rate of shared parameters as a share of ``lr``. ``mode``: simple, two_stage, joint or pooled.
     ``negatives``: degree, group or uniform. ``loss``: ns, pair or hinge.
     """
 
@@ -35,8 +35,10 @@ class Config:
     eta: float = 1.0
     gamma: float = 1.0
     lr: float = 0.15
-    rounds: int = 4
-    local: int = 4
+    dense: float = 0.1
+    over: str = "input"
+    rounds: int = 3
+    local: int = 12
     batch: int = 64
     unit_rows: int = 2000
     neighbours: int = 4
@@ -124,9 +126,7 @@ class Unit:
             if c.aggregate == "voting":
                 o = o + x
                 o = o + relu(o @ P["N1"].T + P["n1"]) @ P["N2"].T
-            g, w = kn.attentive_pool(o, mask, P, over="hidden" if c.aggregate == "attention" else "input")
-            if c.aggregate == "attention":
-                return g * 2.0, w
+            g, w = kn.attentive_pool(o, mask, P, over=c.over if c.aggregate == "attention" else "input")
             if c.aggregate == "metric":
                 return (w.reshape(b, 1, n) @ x).reshape(b, d), w
             return g, w
@@ -207,7 +207,7 @@ def train_unit(unit: Unit, examples: dict[str, list], P: dict[str, np.ndarray],
             for name, value, grad in [("U", U, Uv.grad), ("V", V, Vv.grad), *((k, params[k], Pv[k].grad) for k in params)]:
                 if grad is not None:
                     acc[name] += grad**2
-                    value -= c.lr * grad / np.sqrt(acc[name])
+                    value -= (c.lr if name in "UV" else c.lr * c.dense) * grad / np.sqrt(acc[name])
             if c.aggregate == "metric":
                 for m in (U, V):
                     m /= np.maximum(1, np.sqrt((m**2).sum(1, keepdims=True)))
