@@ -8,13 +8,16 @@ found, hashed and looked up as arrays; only new ones reach the library.
 
 from __future__ import annotations
 
-import re
-
 import numpy as np
 
 from crowdrank.llm.common import byte_sums, run_hash
 
-_ODD = re.compile(r"\s\s|\A\s|\s\Z")
+#: White space of one byte, and the UTF-8 forms of longer white space.
+_WHITE = np.zeros(256, bool)
+_WHITE[[*range(9, 14), *range(28, 33)]] = True
+_WIDE = ("\x85", "\xa0", "\u1680", *map(chr, range(0x2000, 0x200B)), "\u2028", "\u2029", "\u202f", "\u205f", "\u3000")
+_WIDE_LEADS = np.zeros(256, bool)
+_WIDE_LEADS[[c.encode()[0] for c in _WIDE]] = True
 _ASCII_LETTER = np.zeros(256, bool)
 _ASCII_LETTER[[*range(65, 91), *range(97, 123)]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
@@ -113,10 +116,11 @@ class PieceEncoder:
 
     def pieces(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
         """Piece numbers of all texts in a row, and where each text begins (with the end)."""
-        odd = {i for i, t in enumerate(texts) if t and _ODD.search(t)} if self.spaced else set()
-        coded = [b"" if not t or i in odd else t.encode() for i, t in enumerate(texts)]
-        offsets = np.cumsum([0, *(len(c) + 1 for c in coded)])
-        a = np.frombuffer(b"\n".join(coded) + b"\n", np.uint8)
+        coded = [t.encode() if t else b"" for t in texts]
+        a, offsets = _joined(coded)
+        odd = _odd(a, offsets, texts) if self.spaced else set()
+        if odd:
+            a, offsets = _joined([b"" if i in odd else c for i, c in enumerate(coded)])
         if not self.spaced:
             a = _LOWER[a]
         line = a == 10
@@ -177,6 +181,29 @@ class PieceEncoder:
                 self.forget()
 
 
+def _joined(coded: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """All texts with a line end behind each, and where they begin (with the end)."""
+    return np.frombuffer(b"\n".join(coded) + b"\n", np.uint8), np.cumsum([0, *(len(c) + 1 for c in coded)])
+
+
+def _odd(a: np.ndarray, offsets: np.ndarray, texts: list[str | None]) -> set[int]:
+    """Texts with white space at an end, next to other white space, or of more than one byte."""
+    white = _WHITE[a]
+    at = np.flatnonzero(white[1:] & white[:-1])
+    found = set(np.searchsorted(offsets, at + 1, side="right") - 1) | set(np.searchsorted(offsets, at, side="right") - 1)
+    if white[0]:
+        found.add(0)
+    lead = np.flatnonzero(_WIDE_LEADS[a])
+    if len(lead):
+        found |= {i for i in set(np.searchsorted(offsets, lead, side="right") - 1) - found if any(c in texts[i] for c in _WIDE)}
+    return {int(i) for i in found if texts[i] and (texts[i][0].isspace() or texts[i][-1].isspace() or _crowded(texts[i]))}
+
+
+def _crowded(text: str) -> bool:
+    space = np.array([c.isspace() for c in text])
+    return bool((space[1:] & space[:-1]).any()) or any(c in text for c in _WIDE)
+
+
 def _merge(keys: np.ndarray, values: np.ndarray, more: np.ndarray, more_values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     at = np.searchsorted(keys, more)
     return np.insert(keys, at, more), np.insert(values, at, more_values)
