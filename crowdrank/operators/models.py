@@ -35,7 +35,7 @@ class Config:
     eta: float = 1.0
     gamma: float = 1.0
     lr: float = 0.15
-    dense: float = 0.1
+    dense: float = 0.02
     over: str = "input"
     rounds: int = 3
     local: int = 12
@@ -71,11 +71,11 @@ def parameters(c: Config, features: int = 0) -> dict[str, np.ndarray]:
 class Unit:
     """Vectors and lists that a unit of work pulled, by dense local numbers."""
 
-    def __init__(self, users: dict[int, np.ndarray], items: dict[int, np.ndarray], near: dict[str, dict[int, list[int]]], features: dict[int, np.ndarray] | None = None) -> None:
+    def __init__(self, users: dict[int, np.ndarray], items: dict[int, np.ndarray], near: dict[str, dict[int, list[int]]], features: dict[int, np.ndarray] | None = None, taste: dict[int, tuple[np.ndarray, np.ndarray]] | None = None) -> None:
         self.user_at, self.item_at = {u: i for i, u in enumerate(users)}, {v: i for i, v in enumerate(items)}
         self.U = np.array(list(users.values())) if users else np.zeros((0, 1))
         self.V = np.array(list(items.values())) if items else np.zeros((0, 1))
-        self.near, self.features = near, features or {}
+        self.near, self.features, self.taste = near, features or {}, taste or {}
 
     def lists(self, ids: list[int], view: str) -> tuple[np.ndarray, np.ndarray]:
         rows = [[self.user_at[n] for n in self.near.get(view, {}).get(u, ()) if n in self.user_at] for u in ids]
@@ -163,6 +163,18 @@ def train_unit(unit: Unit, examples: dict[str, list], P: dict[str, np.ndarray],
     acc = {k: np.full_like(v, 1e-2) for k, v in params.items()} | {"U": np.full_like(U, 1e-2), "V": np.full_like(V, 1e-2)}
     cdf = np.cumsum(noise / noise.sum())
     total, steps = 0.0, 0
+    known = np.array(list(unit.item_at), np.int64)
+    order = np.argsort(known)
+
+    def sparse(row) -> tuple[np.ndarray, np.ndarray, float]:
+        """Local numbers of the items that members touched, their running mass, and the mass of the others."""
+        own = [unit.taste[u] for u in row[0] if u in unit.taste]
+        t, at = np.unique(np.concatenate([x for x, _ in own]), return_inverse=True) if own else (known[:0], known[:0])
+        pop = np.bincount(at, np.concatenate([x for _, x in own])) if own else np.zeros(0)
+        at = order[np.minimum(np.searchsorted(known, t, sorter=order), len(known) - 1)] if len(t) else t
+        ok = known[at] == t
+        return at[ok], np.cumsum((pop[ok] + c.gamma) ** 0.75), (len(V) - int(ok.sum())) * c.gamma**0.75
+
     n_g, n_u = len(examples["g"]), len(examples["u"])
     for _ in range(c.local):
         size = {"simple": n_g, "group": n_g, "user": n_u}.get(stage, n_g + n_u)
@@ -191,12 +203,12 @@ def train_unit(unit: Unit, examples: dict[str, list], P: dict[str, np.ndarray],
             neg = np.minimum(np.searchsorted(cdf, rng.random((len(part), c.m))), len(V) - 1)
             if kind == "g" and c.negatives == "group":  # sparse mixture: touched items by popularity, the others evenly
                 for i, r in enumerate(part):
-                    touched = [(unit.item_at[t], x) for t, x in zip(r[2], r[3], strict=True) if t in unit.item_at]
-                    mass = np.array([(x + c.gamma) ** 0.75 for _, x in touched])
-                    rest = (len(V) - len(touched)) * c.gamma**0.75
-                    hit = rng.random(c.m) < mass.sum() / (mass.sum() + rest) if touched else np.zeros(c.m, bool)
+                    at, run, rest = sparse(r)
+                    top = run[-1] if len(run) else 0.0
+                    u = rng.random(c.m) * (top + rest)
+                    hit = u < top
                     if hit.any():
-                        neg[i, hit] = rng.choice([t for t, _ in touched], hit.sum(), p=mass / mass.sum())
+                        neg[i, hit] = at[np.minimum(np.searchsorted(run, u[hit], side="right"), len(at) - 1)]
                     neg[i, ~hit] = rng.integers(0, len(V), (~hit).sum())
             s = pair_scores(g, Vv.rows(np.concatenate([pos[:, None], neg], 1)), Pv, c)
             pick = np.zeros((1 + c.m, 1))

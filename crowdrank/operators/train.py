@@ -63,9 +63,8 @@ def centrality_features(uu: DataFrame) -> DataFrame:
 def fit(uv: DataFrame, uu: DataFrame, records: DataFrame, c: Config, users: DataFrame | None = None, items: DataFrame | None = None) -> Trained:
     """``records``: training rows of ``group_key, members, item_id``."""
     near, features = neighbour_lists(uu, c), centrality_features(uu) if c.aggregate == "influence" else None
-    touched = records.select("group_key", F.explode("members").alias("user_id")).distinct().join(uv, "user_id").groupBy("group_key", F.col("item_id").alias("t")).agg(F.sum("w").alias("pop")).groupBy("group_key").agg(F.collect_list("t").alias("t"), F.collect_list("pop").alias("pop"))
-    ex = uv.select(F.lit("u").alias("kind"), F.array("user_id").alias("members"), "item_id", F.array().cast("array<long>").alias("t"), F.array().cast("array<double>").alias("pop"), F.xxhash64("user_id", "item_id").alias("h"))
-    gr = records.join(touched, "group_key", "left").select(F.lit("g"), "members", "item_id", F.coalesce("t", F.array().cast("array<long>")), F.coalesce("pop", F.array().cast("array<double>")), F.xxhash64("group_key", "item_id"))
+    ex = uv.select(F.lit("u").alias("kind"), F.array("user_id").alias("members"), "item_id", F.xxhash64("user_id", "item_id").alias("h"))
+    gr = records.select(F.lit("g"), "members", "item_id", F.xxhash64("group_key", "item_id"))
     if c.mode == "simple":
         ex = ex.limit(0)
     ex = ex.union(gr)
@@ -81,8 +80,13 @@ def fit(uv: DataFrame, uu: DataFrame, records: DataFrame, c: Config, users: Data
         lists = graph.store(need_u.join(near, "id").select("unit", F.concat(F.lit("n:"), "view").alias("what"), "id", "ids", F.array().cast("array<double>").alias("x")))
         need_u = need_u.union(lists.select("unit", F.explode("ids"))).distinct()
     need_u, need_v = graph.store(need_u), graph.store(need_v.join(mass.withColumnRenamed("item_id", "id"), "id").select("unit", "id", "mass"))
-    fixed = ex.select("unit", F.concat(F.lit("e:"), "kind").alias("what"), F.col("item_id").alias("id"), F.concat("members", F.array(F.lit(-1).cast("long")), "t").alias("ids"), F.col("pop").alias("x"))
+    fixed = ex.select("unit", F.concat(F.lit("e:"), "kind").alias("what"), F.col("item_id").alias("id"), F.col("members").alias("ids"), F.array().cast("array<double>").alias("x"))
     none = F.array().cast("array<long>")
+    if c.negatives == "group":
+        # member popularity is added up inside a unit from the members' own lists: no row a group and item
+        taste = uv.groupBy(F.col("user_id").alias("id")).agg(F.array_sort(F.collect_list(F.struct("item_id", "w"))).alias("s")).select("id", F.col("s.item_id").alias("ids"), F.col("s.w").alias("x"))
+        wanted = ex.filter("kind = 'g'").select("unit", F.explode("members").alias("id")).distinct()
+        fixed = fixed.union(wanted.join(taste, "id").select("unit", F.lit("t"), "id", "ids", "x"))
     fixed = fixed.union(need_v.select("unit", F.lit("m"), "id", none, F.array("mass")))
     if near is not None:
         fixed = fixed.union(lists)
@@ -108,9 +112,18 @@ def fit(uv: DataFrame, uu: DataFrame, records: DataFrame, c: Config, users: Data
     return Trained(c, P, users, items, near, features, losses)
 
 
+def _lists(column: pa.ChunkedArray) -> list[np.ndarray]:
+    """List cells as slices of one array, without a Python object for each number."""
+    out: list[np.ndarray] = []
+    for c in column.chunks:
+        flat, cuts = c.values.to_numpy(zero_copy_only=False), c.offsets.to_numpy()
+        out += [flat[a:b] for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)]
+    return out
+
+
 def _unit(t: pa.Table) -> tuple[Unit, dict[str, list], np.ndarray]:
-    users, items, near, features, examples, mass = {}, {}, {}, {}, {"g": [], "u": []}, {}
-    for what, key, ids, x in zip(t["what"].to_pylist(), t["id"].to_pylist(), t["ids"].to_pylist(), t["x"].to_pylist(), strict=True):
+    users, items, near, features, taste, examples, mass = {}, {}, {}, {}, {}, {"g": [], "u": []}, {}
+    for what, key, ids, x in zip(t["what"].to_pylist(), t["id"].to_pylist(), _lists(t["ids"]), _lists(t["x"]), strict=True):
         if what == "u":
             users[key] = x
         elif what == "v":
@@ -118,14 +131,15 @@ def _unit(t: pa.Table) -> tuple[Unit, dict[str, list], np.ndarray]:
         elif what == "m":
             mass[key] = x[0]
         elif what == "f":
-            features[key] = np.array(x)
+            features[key] = x
+        elif what == "t":
+            taste[key] = (ids, x)
         elif what[:2] == "n:":
-            near.setdefault(what[2:], {})[key] = ids
+            near.setdefault(what[2:], {})[key] = ids.tolist()
         else:
-            cut = ids.index(-1)
-            examples[what[2:]].append((ids[:cut], key, ids[cut + 1 :], x))
+            examples[what[2:]].append((ids.tolist(), key))
     users, items = dict(sorted(users.items())), dict(sorted(items.items()))
-    return Unit(users, items, near, features), {k: sorted(v, key=lambda r: (r[0], r[1])) for k, v in examples.items()}, np.array([mass.get(i, 1.0) for i in items])
+    return Unit(users, items, near, features, taste), {k: sorted(v) for k, v in examples.items()}, np.array([mass.get(i, 1.0) for i in items])
 
 
 def _work(t: pa.Table, P: dict, c: Config, stage: str, r: int) -> pa.Table:

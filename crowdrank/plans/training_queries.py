@@ -19,6 +19,7 @@ QUERIES, SQL = {}, {}
 query = query_maker(QUERIES, SQL)
 VIEWS = ("degree", "pagerank")
 FULL = Config(views=VIEWS, negatives="group")
+QUICK = replace(FULL, views=(), rounds=2, local=6)
 
 #: Settings of one estimator: the paper's model, its ablations and the learned baselines.
 METHODS = {
@@ -143,7 +144,8 @@ def _(spark, d):
 
 @query("exp_training_w4")
 def _(spark, d):
-    return compare(planted(spark, d), {k: METHODS[k] for k in ("simple", "two_stage", "joint_degree", "consensus", "pooled")})
+    """Training modes without convolution, so that only the procedure differs."""
+    return compare(planted(spark, d), {k: replace(METHODS[k], views=()) for k in ("simple", "two_stage", "joint_degree", "consensus", "pooled")})
 
 
 def sweep(spark, d, name: str, values, change) -> DataFrame:
@@ -153,11 +155,11 @@ def sweep(spark, d, name: str, values, change) -> DataFrame:
 
 
 SWEEPS = {
-    "dim": ((4, 8, 16, 32), lambda v: replace(FULL, views=(), d=v)),
-    "heads": ((1, 2, 4), lambda v: replace(FULL, views=(), heads=v)),
-    "steps": ((1, 2, 4), lambda v: replace(FULL, views=(), rounds=v)),
-    "negatives": ((2, 4, 6), lambda v: replace(FULL, views=(), m=v)),
-    "neighbours": ((1, 4, 8), lambda v: replace(FULL, views=("degree",), neighbours=v)),
+    "dim": ((4, 8, 16, 32), lambda v: replace(QUICK, d=v)),
+    "heads": ((1, 2, 4), lambda v: replace(QUICK, heads=v)),
+    "steps": ((1, 2, 4), lambda v: replace(QUICK, rounds=v)),
+    "negatives": ((2, 4, 6), lambda v: replace(QUICK, m=v)),
+    "neighbours": ((1, 4, 8), lambda v: replace(QUICK, views=("degree",), neighbours=v)),
 }
 for _name, (_values, _change) in SWEEPS.items():
     query(f"exp_{_name}")(lambda spark, d, n=_name, v=_values, f=_change: sweep(spark, d, n, v, f))
@@ -190,7 +192,7 @@ def _(spark, d):
     out = None
     for m in (2, 4):
         for eta in (0.5, 2.0):
-            part = g.store(run(w, f"m={m} eta={eta}", replace(FULL, views=(), m=m, eta=eta, rounds=2), parts).filter("metric = 'mrr'"))
+            part = g.store(run(w, f"m={m} eta={eta}", replace(QUICK, m=m, eta=eta), parts).filter("metric = 'mrr'"))
             out = part if out is None else out.union(part)
     return out
 
@@ -199,3 +201,24 @@ def _(spark, d):
 def _(spark, d):
     rows = [(a, m, v, ev.cost_model(a, m, v, 1)["step"]) for a in (16, 32, 64, 128) for m in (2, 6) for v in (1, 5)]
     return spark.createDataFrame(rows, "d int, m int, views int, step long")
+
+
+@query("exp_overall_w2")
+def _(spark, d):
+    """Explicit teams; the tables carry no preference to learn, so this checks scale, not order."""
+    c = replace(FULL, views=("degree",), rounds=1, local=1)
+    return compare(WORKLOADS["w2"](spark, d), {"consensus": c, "mean_aggregation": replace(c, aggregate="mean", views=())}, floors=True)
+
+
+@query("bench_step_cost")
+def _(spark, d):
+    """Seconds of one round by dimension, next to the multiply-adds that the cost model gives."""
+    import time
+
+    w, rows = WORKLOADS["w2"](spark, d), []
+    for dim in (8, 16, 32):
+        c = replace(FULL, views=(), d=dim, rounds=1, local=1)
+        began = time.time()
+        tr.fit(w.uv, w.uu, w.records, c)
+        rows.append((dim, ev.cost_model(dim, c.m, 1, 1)["step"], time.time() - began))
+    return spark.createDataFrame(rows, "d int, step long, seconds double")
