@@ -136,7 +136,7 @@ def jaccard_classes(docs: DataFrame, n: int = 5, threshold: float = 0.8, trees:
     prefix = tree.select("rep", F.xxhash64("tree", F.expr(f"substring(sig, tree * {4 * depth} + 1, {4 * d})")).alias("prefix"))
     leads = cut(prefix.groupBy("prefix").agg(F.min("rep").alias("lead"), F.count("*").alias("c")).filter("c > 1").select("prefix", "lead"))
     stars = prefix.join(leads, "prefix").filter("rep <> lead").select(F.col("rep").alias("a"), F.col("lead").alias("b"))
-    found = cut(components(stars))
+    found = components(stars)
     sizes = cut(found.groupBy("root").count())
     # groups up to a block stay whole, and several share a task; larger ones meet block by block
     blocks = F.ceil(F.col("count") / block_docs).cast("int")

@@ -59,7 +59,7 @@ class WordFirstModel:
         self._rows[word] = i
         return i
 
-    def predict(self, text: str | None, cache: int = 200_000) -> tuple[str, float]:
+    def predict(self, text: str | None, cache: int = 100_000) -> tuple[str, float]:
         words = _WORD.findall(text.lower()) if text else []
         if not words or not self.langs:
             return UNKNOWN, 0.0

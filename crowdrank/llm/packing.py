@@ -32,7 +32,7 @@ def pieces(docs: DataFrame, path: str, end_id: int, capacity: int, id_col: str =
     def run(batches):
         from pyspark import TaskContext
 
-        enc, part, seen = encoder(path, spaced=False), TaskContext.get().partitionId(), Counter()
+        enc, part, seen = encoder(path, spaced=False, keep=600_000), TaskContext.get().partitionId(), Counter()
         end = end_id.to_bytes(4, "little")
         for b in batches:
             out = []

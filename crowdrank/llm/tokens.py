@@ -212,8 +212,8 @@ def _merge(keys: np.ndarray, values: np.ndarray, more: np.ndarray, more_values:
 _LOADED: dict[tuple[str, bool], PieceEncoder] = {}
 
 
-def encoder(path: str, spaced: bool) -> PieceEncoder:
+def encoder(path: str, spaced: bool, keep: int = 1_500_000) -> PieceEncoder:
     """One encoder a worker process."""
     if (path, spaced) not in _LOADED:
-        _LOADED[path, spaced] = PieceEncoder(path, spaced)
+        _LOADED[path, spaced] = PieceEncoder(path, spaced, keep)
     return _LOADED[path, spaced]
