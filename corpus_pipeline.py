@@ -1,7 +1,7 @@
 """The corpus pipeline: five stages over ``documents``, each written as Parquet and read by the next.
 
 Language ID drops texts without a recognisable language; line dedup deletes later repeated runs of
-lines, and documents that lose all their lines go; the n-gram Jaccard join keeps the smallest id of
+lines and later copies of single lines of four words or more, and documents that lose all their lines go; the n-gram Jaccard join keeps the smallest id of
 each group; decontamination drops documents that hold benchmark passages by the contract's rule;
 packing cuts the rest into sequences.
 """
@@ -15,6 +15,9 @@ from crowdrank.llm import decontamination, jaccard_join, language_id, line_dedup
 from crowdrank.llm.common import cut, table
 from crowdrank.session import ship
 
+#: Lines of at least so many words are deduplicated alone too; shorter ones (headings, answers) in runs only.
+SINGLE_WORDS = 4
+
 
 def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship(spark)
@@ -23,7 +26,7 @@ def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def without_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship(spark)
-    out = line_dedup.dedup_lines(docs).filter("n_removed = 0 OR n_removed < n_lines")
+    out = line_dedup.dedup_lines(docs, single_words=SINGLE_WORDS).filter("n_removed = 0 OR n_removed < n_lines")
     return out.withColumn("n_chars", F.when(F.col("n_removed") > 0, F.char_length("text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
 
 

@@ -7,9 +7,13 @@ match is extended both ways over the lines around the fingerprint, up to the win
 it; equal windows join their first position in (id, line) order, and the lines of all later ones are
 deleted. Overlapping windows merge into maximal runs.
 
+With ``single_words`` a line of at least that many words also counts alone: all its occurrences but
+the first in (id, line) order go, whatever stands around them. 1 takes every line that holds a word.
+
 Defined results: null text stays null with no lines; the empty text is one empty line; windows of
 blank lines only are left alone; of repeated rows with the same id each is cleaned alike, so ids
-should be unique; documents shorter than ``guarantee`` lines never lose a line. Extra columns stay.
+should be unique; documents shorter than ``guarantee`` lines lose only lines that count alone. Extra
+columns stay.
 """
 
 from __future__ import annotations
@@ -47,11 +51,27 @@ def repeats(docs: DataFrame, guarantee: int = 2, id_col: str = "doc_id", text_co
     return win.join(first, ["key", "check"]).filter(later).select("doc", "pos", F.col("f.doc").alias("first_doc"), F.col("f.pos").alias("first_pos"))
 
 
-def dedup_lines(docs: DataFrame, guarantee: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def has_words(line: Column, least: int) -> Column:
+    return line.rlike(rf"\A[\x20\x09-\x0D]*+(?:[^\x20\x09-\x0D]++[\x20\x09-\x0D]++){{{least - 1}}}[^\x20\x09-\x0D]")
+
+
+def repeated_singles(docs: DataFrame, single_words: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Later occurrences of lines that count alone: ``doc, pos`` (lines from 1)."""
+    rows = docs.filter(F.col(text_col).isNotNull()).select(F.col(id_col).alias("doc"), F.posexplode(lines_of(F.col(text_col))).alias("at", "line"))
+    lines = cut(rows.filter(has_words(F.col("line"), single_words)).select("doc", (F.col("at") + 1).alias("pos"), F.xxhash64("line").alias("key"), F.hash("line").alias("check")))
+    first = cut(lines.groupBy("key", "check").agg(F.min(F.struct("doc", "pos")).alias("f"), F.count("*").alias("n")).filter("n > 1").select("key", "check", "f"))
+    later = (F.col("doc") != F.col("f.doc")) | (F.col("pos") != F.col("f.pos"))
+    return lines.join(first, ["key", "check"]).filter(later).select("doc", "pos")
+
+
+def dedup_lines(docs: DataFrame, guarantee: int = 2, id_col: str = "doc_id", text_col: str = "text", single_words: int | None = None) -> DataFrame:
     """``docs`` with later repeated runs deleted from ``text_col``, plus ``n_lines`` and ``n_removed``."""
-    gone = repeats(docs, guarantee, id_col, text_col).groupBy("doc").agg(F.collect_set("pos").alias("_starts"))
+    hits = repeats(docs, guarantee, id_col, text_col).select("doc", "pos", F.lit(guarantee).alias("width"))
+    if single_words is not None:
+        hits = hits.union(repeated_singles(docs, single_words, id_col, text_col).select("doc", "pos", F.lit(1)))
+    gone = hits.groupBy("doc").agg(F.collect_set(F.struct("pos", "width")).alias("_starts"))
     # a line goes if one of the windows that hold it goes
-    hit = F.array_distinct(F.flatten(F.transform("_starts", lambda s: F.sequence(s, s + (guarantee - 1)))))
+    hit = F.array_distinct(F.flatten(F.transform("_starts", lambda s: F.sequence(s["pos"], s["pos"] + s["width"] - 1))))
     gone = gone.select(F.col("doc").alias(id_col), hit.alias("_gone"))
     both = docs.join(gone, id_col, "left").withColumn("_gone", F.coalesce("_gone", F.array().cast("array<int>")))
     lines = lines_of(F.col(text_col))
@@ -68,6 +88,12 @@ def op2_line_dedup(spark, sf_dir: str) -> DataFrame:
     return dedup_lines(docs).select("doc_id", "n_lines", "n_removed", "text")
 
 
+def op2_line_dedup_single(spark, sf_dir: str) -> DataFrame:
+    """Runs of one line too: no line that holds a word is left twice."""
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
+    return dedup_lines(docs, single_words=1).select("doc_id", "n_lines", "n_removed", "text")
+
+
 SQL = r"""
 WITH d AS (SELECT doc_id, text, string_split(text, chr(10)) AS l FROM documents),
 w AS (SELECT doc_id, p, l[p] AS a, l[p + 1] AS b FROM (SELECT doc_id, l, unnest(range(1, len(l))) AS p FROM d WHERE text IS NOT NULL)),
@@ -79,3 +105,16 @@ SELECT doc_id, coalesce(len(l), 0)::BIGINT AS n_lines, coalesce(n, 0)::BIGINT AS
   CASE WHEN text IS NULL THEN NULL ELSE coalesce(t, '') END AS text
 FROM d LEFT JOIN kept USING (doc_id) LEFT JOIN n USING (doc_id)
 """
+
+SQL_SINGLE = r"""
+WITH d AS (SELECT doc_id, text, string_split(text, chr(10)) AS l FROM documents),
+p AS (SELECT doc_id, p, l[p] AS a, l[p + 1] AS b, p < len(l) AS two FROM (SELECT doc_id, l, unnest(range(1, len(l) + 1)) AS p FROM d WHERE text IS NOT NULL)),
+pairs AS (SELECT doc_id, p, row_number() OVER (PARTITION BY a, b ORDER BY doc_id, p) AS k FROM p WHERE two AND NOT (trim(a, ' ') = '' AND trim(b, ' ') = '')),
+singles AS (SELECT doc_id, p, row_number() OVER (PARTITION BY a ORDER BY doc_id, p) AS k FROM p WHERE regexp_matches(a, '[^\x20\x09-\x0D]')),
+gone AS (SELECT doc_id, unnest([p, p + 1]) AS p FROM pairs WHERE k > 1 UNION SELECT doc_id, p FROM singles WHERE k > 1),
+kept AS (SELECT doc_id, string_agg(a, chr(10) ORDER BY p) AS t FROM p WHERE NOT EXISTS (SELECT 1 FROM gone g WHERE g.doc_id = p.doc_id AND g.p = p.p) GROUP BY doc_id),
+n AS (SELECT doc_id, count(*) AS n FROM gone GROUP BY doc_id)
+SELECT doc_id, coalesce(len(l), 0)::BIGINT AS n_lines, coalesce(n, 0)::BIGINT AS n_removed,
+  CASE WHEN text IS NULL THEN NULL ELSE coalesce(t, '') END AS text
+FROM d LEFT JOIN kept USING (doc_id) LEFT JOIN n USING (doc_id)
+"""

@@ -15,6 +15,7 @@ import crowdrank.llm.token_output as token_output
 
 QUERIES = {
     "op1_additive_quantisation": ann.op1_additive_quantisation,
+    "op2_line_dedup_single": line_dedup.op2_line_dedup_single,
     "op2_line_dedup": line_dedup.op2_line_dedup,
     "op3_jaccard_join": jaccard_join.op3_jaccard_join,
     "op4_packing": packing.op4_packing,
@@ -27,6 +28,7 @@ QUERIES = {
 }
 SQL = {
     "op3_jaccard_join": jaccard_join.SQL,
+    "op2_line_dedup_single": line_dedup.SQL_SINGLE,
     "op2_line_dedup": line_dedup.SQL,
     "op6_lm_scoring": lm_scoring.SQL,
     "op7_decontamination": decontamination.SQL,
