@@ -144,6 +144,12 @@ def op6_lm_scoring(spark, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_words", F.round("log_score", 4).alias("log_score"))
 
 
+def op6_lm_scoring_trigram(spark, sf_dir: str) -> DataFrame:
+    """The operator's full order: trigrams, then bigrams, then words."""
+    out = score(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text"))
+    return out.select("doc_id", "n_words", F.round("log_score", 4).alias("log_score"))
+
+
 SQL = r"""
 WITH d AS (SELECT doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents),
 t AS (SELECT doc_id, p, w[p] AS b, CASE WHEN p > 1 THEN w[p - 1] END AS a FROM (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS p FROM d)),
@@ -155,3 +161,18 @@ s AS (SELECT doc_id, CASE WHEN t.a IS NULL THEN ln(u.c1 / n.n) WHEN g.c2 >= 2 TH
 x AS (SELECT doc_id, sum(l) AS l FROM s GROUP BY doc_id)
 SELECT doc_id, len(w)::BIGINT AS n_words, round(coalesce(l, 0), 4) AS log_score FROM d LEFT JOIN x USING (doc_id)
 """
+
+SQL_TRIGRAM = r"""
+WITH d AS (SELECT doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents),
+t AS (SELECT doc_id, p, w[p] AS c, CASE WHEN p > 1 THEN w[p - 1] END AS b, CASE WHEN p > 2 THEN w[p - 2] END AS a FROM (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS p FROM d)),
+u AS (SELECT c, count(*) AS c1 FROM t GROUP BY c),
+g AS (SELECT b, c, count(*) AS c2 FROM t WHERE b IS NOT NULL GROUP BY b, c),
+h AS (SELECT a, b, c, count(*) AS c3 FROM t WHERE a IS NOT NULL GROUP BY a, b, c),
+n AS (SELECT count(*) AS n FROM t),
+s2 AS (SELECT t.doc_id, t.a, t.b, t.c, CASE WHEN t.b IS NULL THEN ln(u.c1 / n.n) WHEN g.c2 >= 2 THEN ln(g.c2 / ub.c1) ELSE ln(0.4) + ln(u.c1 / n.n) END AS l
+  FROM t CROSS JOIN n JOIN u ON u.c = t.c LEFT JOIN g ON g.b = t.b AND g.c = t.c LEFT JOIN u ub ON ub.c = t.b),
+s3 AS (SELECT s2.doc_id, CASE WHEN s2.a IS NULL THEN s2.l WHEN h.c3 >= 2 THEN ln(h.c3 / gab.c2) ELSE ln(0.4) + s2.l END AS l
+  FROM s2 LEFT JOIN h ON h.a = s2.a AND h.b = s2.b AND h.c = s2.c LEFT JOIN g gab ON gab.b = s2.a AND gab.c = s2.b),
+x AS (SELECT doc_id, sum(l) AS l FROM s3 GROUP BY doc_id)
+SELECT doc_id, len(w)::BIGINT AS n_words, round(coalesce(l, 0), 4) AS log_score FROM d LEFT JOIN x USING (doc_id)
+"""

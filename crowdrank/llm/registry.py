@@ -21,6 +21,7 @@ QUERIES = {
     "op4_packing": packing.op4_packing,
     "op5_language_id": language_id.op5_language_id,
     "op7_decontamination": decontamination.op7_decontamination,
+    "op6_lm_scoring_trigram": lm_scoring.op6_lm_scoring_trigram,
     "op6_lm_scoring": lm_scoring.op6_lm_scoring,
     "op8_token_output": token_output.op8_token_output,
     "op9_html_extraction": html_text.op9_html_extraction,
@@ -30,6 +31,7 @@ SQL = {
     "op3_jaccard_join": jaccard_join.SQL,
     "op2_line_dedup_single": line_dedup.SQL_SINGLE,
     "op2_line_dedup": line_dedup.SQL,
+    "op6_lm_scoring_trigram": lm_scoring.SQL_TRIGRAM,
     "op6_lm_scoring": lm_scoring.SQL,
     "op7_decontamination": decontamination.SQL,
     "op10_substring_dedup": substring_dedup.SQL,

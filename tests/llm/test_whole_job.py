@@ -1,10 +1,13 @@
 """Cases that the operators once left out, against brute force."""
 
+import math
+from collections import Counter
+
 import duckdb
 import pytest
 
 import corpus_pipeline
-from crowdrank.llm import line_dedup
+from crowdrank.llm import line_dedup, lm_scoring
 from tests.llm.test_operators import by_id, corpus, frame
 
 LONG = " ".join(f"w{i}" for i in range(60))
@@ -44,3 +47,25 @@ def test_single_lines_query_and_sql(spark, tmp_path):
 def test_pipeline_single_lines(spark):
     got = by_id(corpus_pipeline.without_repeated_lines(spark, frame(spark, LINES), ""), "text")
     assert got[2] == ("c\nd\na",) and 3 not in got and got[5] == ("x\ny\n\t\nz\n\t",)
+
+
+def test_trigram_query_and_sql(spark, tmp_path):
+    frame(spark).write.parquet(f"{tmp_path}/documents.parquet")
+    words = {i: (t or "").encode().split() for i, t in corpus()}
+    count = Counter(tuple(w[s : s + k]) for w in words.values() for k in (1, 2, 3) for s in range(len(w) - k + 1))
+    total = sum(map(len, words.values()))
+
+    def log(gram):
+        if len(gram) == 1:
+            return math.log(count[gram] / total)
+        return math.log(count[gram] / count[gram[:-1]]) if count[gram] >= 2 else math.log(0.4) + log(gram[1:])
+
+    got = by_id(lm_scoring.op6_lm_scoring_trigram(spark, str(tmp_path)), "n_words", "log_score")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    sql = {i: r for i, *r in con.execute(lm_scoring.SQL_TRIGRAM).fetchall()}
+    assert got.keys() == words.keys() == sql.keys()
+    for i, w in words.items():
+        want = sum(log(tuple(w[max(0, p - 2) : p + 1])) for p in range(len(w)))
+        assert got[i][0] == sql[i][0] == len(w)
+        assert abs(got[i][1] - want) < 1e-3 and abs(sql[i][1] - want) < 1e-3
