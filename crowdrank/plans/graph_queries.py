@@ -294,6 +294,15 @@ def _(spark, d):
     return s.draw_negatives(pos, s.degree_noise(uv), 2).select("user_id", "pos", "slot", "neg")
 
 
+DRAWS_ALL = DRAWS.replace(" WHERE user_id < 20)", ")")
+
+
+@query("negatives_drawn_all", DRAWS_ALL)
+def _(spark, d):
+    uv = teams(spark, d).uv
+    return s.draw_negatives(uv.select("user_id", F.col("item_id").alias("pos")), s.degree_noise(uv), 2).select("user_id", "pos", "slot", "neg")
+
+
 @query("softmax_groups_window", full("w2") + ", x AS (SELECT group_key, user_id, (user_id % 7)::DOUBLE AS i FROM mem) SELECT group_key, user_id, round(exp(i - max(i) OVER p) / sum(exp(i)) OVER p * exp(max(i) OVER p), 9) AS weight FROM x WINDOW p AS (PARTITION BY group_key)")
 def _(spark, d):
     m = teams(spark, d).membership.withColumn("i", (F.col("user_id") % 7).cast("double"))

@@ -242,9 +242,9 @@ def _(spark, d):
 SAMPLES = DRAWS[: DRAWS.rindex("SELECT q.user_id")].rstrip() + ", dr AS (SELECT q.user_id, ns.item_id FROM q JOIN ns ON q.u >= ns.lo AND q.u < ns.hi), sa AS (SELECT user_id AS l, item_id, 1.0::DOUBLE AS y FROM uv WHERE user_id < 20 UNION ALL SELECT user_id, item_id, 0.0::DOUBLE FROM dr) "
 
 
-def samples(w):
+def samples(w, users="user_id < 20"):
     uv = w.uv
-    pos = uv.filter("user_id < 20").select("user_id", F.col("item_id").alias("pos"))
+    pos = uv.filter(users).select("user_id", F.col("item_id").alias("pos"))
     neg = sm.draw_negatives(pos, sm.degree_noise(uv), 2)
     return pos.select(F.col("user_id").alias("left"), F.col("pos").alias("item_id"), F.lit(1.0).alias("y")).union(neg.select("user_id", "neg", F.lit(0.0)))
 
@@ -262,6 +262,22 @@ def _(spark, d):
     return rp.exploded(u, "id").select(F.lit("user").alias("side"), "id", "k", "x").union(rp.exploded(v, "id").select(F.lit("item"), "id", "k", "x"))
 
 
+SAMPLES_ALL = SAMPLES.replace(" WHERE user_id < 20", "")
+
+
+@query("ns_loss_all", SAMPLES_ALL + f", s AS (SELECT y, {dots('l', 1, 'item_id', 2)} AS s FROM sa) SELECT round(sum(ln(1 + exp(CASE WHEN y = 1 THEN -s ELSE s END))), 4) AS loss_sum, round(avg(ln(1 + exp(CASE WHEN y = 1 THEN -s ELSE s END))), 6) AS loss_mean, count(*) AS n FROM s")
+def _(spark, d):
+    w = teams(spark, d)
+    return rp.ns_loss(samples(w, "true"), all_users(w), items(w)).select(F.round("loss_sum", 4).alias("loss_sum"), F.round("loss_mean", 6).alias("loss_mean"), "n")
+
+
+@query("sgd_step_all", SAMPLES_ALL + f", {KS}, e AS (SELECT l, item_id, 1 / (1 + exp(-{dots('l', 1, 'item_id', 2)})) - y AS e FROM sa), gu AS (SELECT l, k, sum(e * {pp('item_id', 'k', 2)}) AS g FROM e CROSS JOIN ks GROUP BY 1, 2), gi AS (SELECT item_id, k, sum(e * {pp('l', 'k', 1)}) AS g FROM e CROSS JOIN ks GROUP BY 1, 2) SELECT 'user' AS side, user_id AS id, ks.k::INT AS k, round({pp('user_id', 'ks.k', 1)} - 0.1 * coalesce(g, 0), 6) + 0.0 AS x FROM (SELECT DISTINCT user_id FROM uv) CROSS JOIN ks LEFT JOIN gu ON gu.l = user_id AND gu.k = ks.k UNION ALL SELECT 'item', i.item_id, ks.k::INT, round({pp('i.item_id', 'ks.k', 2)} - 0.1 * coalesce(g, 0), 6) + 0.0 FROM (SELECT DISTINCT item_id FROM uv) i CROSS JOIN ks LEFT JOIN gi ON gi.item_id = i.item_id AND gi.k = ks.k")
+def _(spark, d):
+    w = teams(spark, d)
+    u, v = rp.sgd_step(samples(w, "true"), all_users(w), items(w), 0.1)
+    return rp.exploded(u, "id").select(F.lit("user").alias("side"), "id", "k", "x").union(rp.exploded(v, "id").select(F.lit("item"), "id", "k", "x"))
+
+
 @query("joint_loss", full("w2") + ", us AS (SELECT ln(1 + exp(-" + dots("user_id", 1, "item_id", 2) + ")) AS l FROM uv), gm AS (SELECT group_key, " + ", ".join(f"avg({pp('user_id', str(k), 1)}) AS g{k}" for k in range(D)) + " FROM mem GROUP BY 1), gs AS (SELECT ln(1 + exp(-(" + " + ".join(f"g{k} * {pp('item_id', str(k), 2)}" for k in range(D)) + "))) AS l FROM gv JOIN gm USING (group_key)) SELECT round((SELECT avg(l) FROM gs), 6) AS group_loss, round((SELECT avg(l) FROM us), 6) AS user_loss, round((SELECT avg(l) FROM gs) + 2.0 * (SELECT avg(l) FROM us), 6) AS joint_loss")
 def _(spark, d):
     w = teams(spark, d)
