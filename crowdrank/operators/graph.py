@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import itertools
 import uuid
 
 from pyspark.sql import Column, DataFrame, Window
@@ -186,17 +187,21 @@ def centrality_eigenvector(uu: DataFrame, iters: int = 20, every: int = 5) -> Da
     return now
 
 
-def distances(uu: DataFrame, sources: DataFrame, limit: int = 50) -> DataFrame:
-    """Breadth-first levels from many sources at once: ``source, node, dist, sigma`` (path counts)."""
+def distances(uu: DataFrame, sources: DataFrame, limit: int | None = None) -> DataFrame:
+    """Breadth-first levels from many sources at once: ``source, node, dist, sigma`` (path counts).
+
+    Levels end where nothing new is reached; a ``limit`` that comes first is an error.
+    """
     front = sources.select(F.col("user_id").alias("source"), F.col("user_id").alias("node"), F.lit(0).alias("dist"), F.lit(1.0).alias("sigma"))
     seen = front = store(front)
-    for d in range(1, limit + 1):
+    for d in itertools.count(1):
         step = front.join(uu, front["node"] == uu["src"]).groupBy("source", F.col("dst").alias("node")).agg(F.sum("sigma").alias("sigma"))
         front = store(step.join(seen.select("source", "node"), ["source", "node"], "left_anti").select("source", "node", F.lit(d).alias("dist"), "sigma"))
         if not front.limit(1).count():
-            break
+            return seen
+        if limit is not None and d > limit:
+            raise RuntimeError(f"distances have not ended after {limit} levels")
         seen = store(seen.unionByName(front))
-    return seen
 
 
 def centrality_closeness(uu: DataFrame, landmarks: int | None = None) -> DataFrame:
@@ -212,13 +217,19 @@ def centrality_closeness(uu: DataFrame, landmarks: int | None = None) -> DataFra
     return nodes.join(d, "user_id", "left").select("user_id", F.coalesce(F.col("reached") / F.col("total") * F.col("reached") / F.lit(max(1, other)), F.lit(0.0)).alias("score"))
 
 
-def centrality_closeness_sketch(uu: DataFrame, hops: int = 4) -> DataFrame:
-    """Sum over hops of newly reached nodes divided by the hop, reached sets kept as sketches."""
+def centrality_closeness_sketch(uu: DataFrame, hops: int | None = None) -> DataFrame:
+    """Sum over hops of newly reached nodes divided by the hop, reached sets kept as sketches.
+
+    Ends where no sketch changes, or after ``hops``.
+    """
     now = store(uu.select("src").distinct().groupBy("src").agg(F.hll_sketch_agg("src").alias("h")))
     size = now.select("src", F.lit(1.0).alias("n"), F.lit(0.0).alias("score"))
-    for hop in range(1, hops + 1):
+    for hop in itertools.count(1) if hops is None else range(1, hops + 1):
+        before = now
         near = uu.join(now.withColumnRenamed("src", "dst"), "dst").select("src", "h").union(now)
         now = store(near.groupBy("src").agg(F.hll_union_agg("h").alias("h")))
+        if hops is None and not now.join(before.select("src", F.col("h").alias("was")), "src").filter(F.hll_sketch_estimate("h") != F.hll_sketch_estimate("was")).limit(1).count():
+            break
         grown = now.select("src", F.hll_sketch_estimate("h").cast("double").alias("m"))
         size = store(size.join(grown, "src").select("src", F.col("m").alias("n"), (F.col("score") + F.greatest(F.col("m") - F.col("n"), F.lit(0.0)) / hop).alias("score")))
     return size.select(F.col("src").alias("user_id"), "score")
