@@ -19,7 +19,6 @@ QUERIES, SQL = {}, {}
 query = query_maker(QUERIES, SQL)
 VIEWS = ("degree", "pagerank")
 FULL = Config(views=VIEWS, negatives="group")
-QUICK = replace(FULL, views=(), rounds=2, local=6)
 
 #: Settings of one estimator: the paper's model, its ablations and the learned baselines.
 METHODS = {
@@ -38,6 +37,8 @@ METHODS = {
     "metric": Config(aggregate="metric", loss="hinge", mode="simple"),
     "neural_cf": Config(aggregate="ncf", mode="simple"),
 }
+#: The settings of the overall comparisons; popularity and random vectors come as floors.
+OVERALL = ("consensus", "voting", "influence", "metric", "neural_cf")
 
 
 def split(w) -> tuple[DataFrame, DataFrame]:
@@ -115,12 +116,12 @@ for _name, _key in (("als_personal", "als"), ("pairwise_personal", "pairwise_mf"
 
 @query("exp_overall_w4")
 def _(spark, d):
-    return compare(planted(spark, d), {k: METHODS[k] for k in ("consensus", "voting", "influence", "metric", "neural_cf")}, floors=True)
+    return compare(planted(spark, d), {k: METHODS[k] for k in OVERALL}, floors=True)
 
 
 @query("exp_overall_w3")
 def _(spark, d):
-    return compare(WORKLOADS["w3"](spark, d), {k: replace(METHODS[k], views=(), rounds=2) for k in ("consensus", "influence")}, floors=True)
+    return compare(WORKLOADS["w3"](spark, d), {k: METHODS[k] for k in OVERALL}, floors=True)
 
 
 @query("exp_static_w4")
@@ -155,11 +156,11 @@ def sweep(spark, d, name: str, values, change) -> DataFrame:
 
 
 SWEEPS = {
-    "dim": ((4, 8, 16, 32), lambda v: replace(QUICK, d=v)),
-    "heads": ((1, 2, 4), lambda v: replace(QUICK, heads=v)),
-    "steps": ((1, 2, 4), lambda v: replace(QUICK, rounds=v)),
-    "negatives": ((2, 4, 6), lambda v: replace(QUICK, m=v)),
-    "neighbours": ((1, 4, 8), lambda v: replace(QUICK, views=("degree",), neighbours=v)),
+    "dim": ((4, 8, 16, 32, 64), lambda v: replace(FULL, d=v)),
+    "heads": ((1, 2, 4, 8), lambda v: replace(FULL, heads=v)),
+    "steps": ((1, 2, 3, 4, 5, 6), lambda v: replace(FULL, rounds=v)),
+    "negatives": ((2, 3, 4, 5, 6, 7), lambda v: replace(FULL, m=v)),
+    "neighbours": ((1, 2, 4, 6, 8, 10), lambda v: replace(FULL, neighbours=v)),
 }
 for _name, (_values, _change) in SWEEPS.items():
     query(f"exp_{_name}")(lambda spark, d, n=_name, v=_values, f=_change: sweep(spark, d, n, v, f))
@@ -192,7 +193,7 @@ def _(spark, d):
     out = None
     for m in (2, 4):
         for eta in (0.5, 2.0):
-            part = g.store(run(w, f"m={m} eta={eta}", replace(QUICK, m=m, eta=eta), parts).filter("metric = 'mrr'"))
+            part = g.store(run(w, f"m={m} eta={eta}", replace(FULL, m=m, eta=eta), parts).filter("metric = 'mrr'"))
             out = part if out is None else out.union(part)
     return out
 
@@ -206,8 +207,7 @@ def _(spark, d):
 @query("exp_overall_w2")
 def _(spark, d):
     """Explicit teams; the tables carry no preference to learn, so this checks scale, not order."""
-    c = replace(FULL, views=("degree",), rounds=1, local=1)
-    return compare(WORKLOADS["w2"](spark, d), {"consensus": c, "mean_aggregation": replace(c, aggregate="mean", views=())}, floors=True)
+    return compare(WORKLOADS["w2"](spark, d), {k: METHODS[k] for k in (*OVERALL, "mean_aggregation")}, floors=True)
 
 
 @query("bench_step_cost")
