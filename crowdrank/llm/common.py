@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import tempfile
 import uuid
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 
@@ -14,21 +17,69 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The shared folder of ``spark.checkpoint.dir``; a folder of our own only where it is unset."""
+    """The shared folder of ``spark.checkpoint.dir``; one of our own only where all runs on one machine."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
+        if not spark.sparkContext.master.startswith("local["):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         root = f"file://{tempfile.gettempdir()}/checkpoints"
     return root.rstrip("/")
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """Write ``df`` to the shared folder and read it back: lineage ends, lost executors lose nothing."""
+def cut(df: DataFrame, thin: bool = False) -> DataFrame:
+    """Write ``df`` to the shared folder and read it back: lineage ends, lost executors lose nothing.
+
+    ``thin``: narrow rows (labels, edges) are written by as many tasks as twice the cores, not by one
+    a shuffle partition, so small tables do not become thousands of files.
+    """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/cut-{uuid.uuid4().hex}"
+    if thin:
+        df = df.coalesce(max(8, 2 * spark.sparkContext.defaultParallelism))
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def lean(run):
+    """A function over Arrow batches that gives freed memory back to the system when it ends.
+
+    Python workers are used again by later stages; without this each keeps its peak.
+    """
+
+    def wrapped(*args):
+        try:
+            yield from run(*args)
+        finally:
+            release()
+
+    return wrapped
+
+
+def lean_call(f):
+    """The same for a function of one group or of two (Spark counts the arguments)."""
+
+    def one(a):
+        try:
+            return f(a)
+        finally:
+            release()
+
+    def two(a, b):
+        try:
+            return f(a, b)
+        finally:
+            release()
+
+    return one if f.__code__.co_argcount == 1 else two
+
+
+def release() -> None:
+    """Drop what the allocators of this process hold but do not use."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 #: The white space of the word contract, 0x20 and 0x09 to 0x0D.
 _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
