@@ -15,13 +15,11 @@ import crowdrank.llm.token_output as token_output
 
 QUERIES = {
     "op1_additive_quantisation": ann.op1_additive_quantisation,
-    "op2_line_dedup_single": line_dedup.op2_line_dedup_single,
     "op2_line_dedup": line_dedup.op2_line_dedup,
     "op3_jaccard_join": jaccard_join.op3_jaccard_join,
     "op4_packing": packing.op4_packing,
     "op5_language_id": language_id.op5_language_id,
     "op7_decontamination": decontamination.op7_decontamination,
-    "op6_lm_scoring_trigram": lm_scoring.op6_lm_scoring_trigram,
     "op6_lm_scoring": lm_scoring.op6_lm_scoring,
     "op8_token_output": token_output.op8_token_output,
     "op9_html_extraction": html_text.op9_html_extraction,
@@ -29,9 +27,7 @@ QUERIES = {
 }
 SQL = {
     "op3_jaccard_join": jaccard_join.SQL,
-    "op2_line_dedup_single": line_dedup.SQL_SINGLE,
     "op2_line_dedup": line_dedup.SQL,
-    "op6_lm_scoring_trigram": lm_scoring.SQL_TRIGRAM,
     "op6_lm_scoring": lm_scoring.SQL,
     "op7_decontamination": decontamination.SQL,
     "op10_substring_dedup": substring_dedup.SQL,
