@@ -3,13 +3,14 @@
 A round counts all adjacent pairs of a shard and replaces the most frequent ones by new symbols,
 many at once: a symbol is either a left or a right member in a round, so replacements never overlap
 (runs of one symbol are paired from their left). Pairs inside chunks are counted on the distinct
-chunks with their frequencies; a few rounds over the whole sequence follow for pairs that cross
-chunks. No pair crosses the end of a document, so every document starts at a symbol.
-
-Shard: magic ``RPSHARD1``; five unsigned 64-bit numbers: documents, rules, symbols, ids, first
-nonterminal; document ids (signed 64 bits); first symbol of each document, plus the end (64 bits);
-ids of each document (64 bits); rules (two 24-bit symbols each); expansion length of each rule (32
-bits); the sequence (24-bit symbols). All little-endian.
+chunks with their frequencies; rounds over the whole sequence follow for pairs that cross chunks. Both
+go on until no pair is frequent enough or a round saves less than a stated share of the symbols. No
+pair crosses the end of a document, so every document starts at a symbol.
+
+Shard: magic ``RPSHARD2``; five unsigned 64-bit numbers: documents, rules, symbols, ids, first
+nonterminal; document ids (signed 64 bits) and a byte each, 1 where there is no id; first symbol of
+each document, plus the end (64 bits); ids of each document (64 bits); rules (two 24-bit symbols
+each); expansion length of each rule (32 bits); the sequence (24-bit symbols). All little-endian.
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ import struct
 
 import numpy as np
 
-MAGIC = b"RPSHARD1"
+MAGIC = b"RPSHARD2"
 
 
 _SLOTS = 1 << 21
@@ -78,24 +79,32 @@ def replace(seq: np.ndarray, joined: np.ndarray, pairs: np.ndarray, first: int)
     return out
 
 
-def compress(chunks: list[np.ndarray] | tuple[np.ndarray, np.ndarray], sequence: np.ndarray, end_chunk: int, first: int, chunk_rounds: int = 6, rounds: int = 3, least: int = 8, most: int = 4096) -> tuple[np.ndarray, np.ndarray]:
-    """Rules ``(n, 2)`` and symbols of a sequence of chunk numbers; ``chunks``: flat ids and sizes."""
+def compress(chunks: list[np.ndarray] | tuple[np.ndarray, np.ndarray], sequence: np.ndarray, end_chunk: int, first: int, least: int = 8, most: int = 16_384, share: float = 0.01) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Rules ``(n, 2)``, symbols and places of document ends for a sequence of chunk numbers.
+
+    ``chunks``: flat ids and sizes. A pair must occur ``least`` times; a round replaces at most
+    ``most`` pairs and the next one takes the others; rounds end when one saves less than ``share``.
+    """
     flat, sizes = chunks
     rules: list[np.ndarray] = []
     weight = np.bincount(sequence, minlength=len(sizes)).astype(np.float64)
     owner = np.repeat(np.arange(len(sizes)), sizes)
     flat = flat.astype(np.int64)
     symbol = first
-    for _ in range(chunk_rounds):
+    while True:
         joined = owner[1:] == owner[:-1]
         inner = np.flatnonzero(joined)
         pairs = pick_pairs((flat[inner] << np.int64(32)) | flat[inner + 1], weight[owner[inner]], least, most) if len(inner) else flat[:0]
         if not len(pairs):
             break
         flat = replace(flat, joined, pairs, symbol)
-        owner, flat = owner[flat >= 0], flat[flat >= 0]
+        kept = flat >= 0
+        saved, size = weight[owner[~kept]].sum(), weight[owner].sum()
+        owner, flat = owner[kept], flat[kept]
         rules.append(np.stack((pairs >> 32, pairs & 0xFFFFFFFF), 1))
         symbol += len(pairs)
+        if saved < share * size:
+            break
     sizes = np.bincount(owner, minlength=len(sizes))
     starts = np.cumsum(sizes) - sizes
     n = sizes[sequence]
@@ -103,18 +112,21 @@ def compress(chunks: list[np.ndarray] | tuple[np.ndarray, np.ndarray], sequence:
     seq = flat[where]
     last = np.zeros(len(seq), bool)
     last[np.cumsum(n)[sequence == end_chunk] - 1] = True
-    for _ in range(rounds):
+    while True:
         joined = ~last[:-1]
         inner = np.flatnonzero(joined)
-        pairs = pick_pairs((seq[inner] << np.int64(32)) | seq[inner + 1], None, 4 * least, most) if len(inner) else seq[:0]
+        pairs = pick_pairs((seq[inner] << np.int64(32)) | seq[inner + 1], None, least, most) if len(inner) else seq[:0]
         if not len(pairs):
             break
         new = replace(seq, joined, pairs, symbol)
         gone = new < 0
         last[:-1] |= gone[1:] & last[1:]
+        size = len(seq)
         last, seq = last[~gone], new[~gone]
         rules.append(np.stack((pairs >> 32, pairs & 0xFFFFFFFF), 1))
         symbol += len(pairs)
+        if size - len(seq) < share * size:
+            break
     return (np.concatenate(rules) if rules else np.zeros((0, 2), np.int64)), seq, np.flatnonzero(last)
 
 
@@ -135,21 +147,20 @@ def lengths_of(rules: np.ndarray, first: int) -> np.ndarray:
     return out
 
 
-def write_shard(docs: list[int], counts: np.ndarray, rules: np.ndarray, seq: np.ndarray, ends: np.ndarray, first: int) -> bytes:
+def write_shard(docs: list[int | None], counts: np.ndarray, rules: np.ndarray, seq: np.ndarray, ends: np.ndarray, first: int) -> bytes:
     starts = np.concatenate(([0], ends + 1)).astype("<i8")
     head = struct.pack("<5Q", len(docs), len(rules), len(seq), int(counts.sum()), first)
-    return b"".join((MAGIC, head, np.array(docs, "<i8").tobytes(), starts.tobytes(), counts.astype("<i8").tobytes(), _pack24(rules.ravel()), lengths_of(rules, first).astype("<u4").tobytes(), _pack24(seq)))
+    ids = np.array([0 if d is None else d for d in docs], "<i8").tobytes()
+    return b"".join((MAGIC, head, ids, bytes(d is None for d in docs), starts.tobytes(), counts.astype("<i8").tobytes(), _pack24(rules.ravel()), lengths_of(rules, first).astype("<u4").tobytes(), _pack24(seq)))
 
 
 class Shard:
-    """Random access to the documents of a shard."""
-
-    _terminals: list[bytes] = []
+    """Random access to the documents of a shard; a rule is expanded when first needed."""
 
     def __init__(self, blob: bytes) -> None:
         if blob[:8] != MAGIC:
             raise ValueError("not a shard of this format")
-        d, r, s, self.n_ids, first = struct.unpack("<5Q", blob[8:48])
+        d, r, s, self.n_ids, self.first = struct.unpack("<5Q", blob[8:48])
         at = 48
 
         def take(n: int) -> bytes:
@@ -157,18 +168,54 @@ class Shard:
             at += n
             return blob[at - n : at]
 
-        self.docs = np.frombuffer(take(8 * d), "<i8")
+        numbers = np.frombuffer(take(8 * d), "<i8").tolist()
+        self.docs = [None if none else x for x, none in zip(numbers, take(d), strict=True)]
         self.starts = np.frombuffer(take(8 * (d + 1)), "<i8")
         self.counts = np.frombuffer(take(8 * d), "<i8")
-        rules = _unpack24(take(6 * r)).reshape(-1, 2)
+        self.rules = _unpack24(take(6 * r)).reshape(-1, 2)
         self.lengths = np.frombuffer(take(4 * r), "<u4")
         self.symbols = _unpack24(take(3 * s))
-        if len(Shard._terminals) < first:
-            Shard._terminals = [i.to_bytes(4, "little") for i in range(first)]
-        self.bytes_of = Shard._terminals[:first]
-        for a, b in rules.tolist():
-            self.bytes_of.append(self.bytes_of[a] + self.bytes_of[b])
-
-    def ids(self, i: int) -> bytes:
-        """Ids of the i-th document, its end id included, as little-endian 32-bit integers."""
-        return b"".join(map(self.bytes_of.__getitem__, self.symbols[self.starts[i] : self.starts[i + 1]].tolist()))
+        self._known: dict[int, bytes] = {}
+
+    def expand(self, symbol: int) -> bytes:
+        """Ids of a symbol, as little-endian 32-bit integers."""
+        known, first, todo = self._known, self.first, [symbol]
+        while todo:
+            x = todo[-1]
+            if x in known:
+                todo.pop()
+            elif x < first:
+                known[x] = x.to_bytes(4, "little")
+                todo.pop()
+            else:
+                a, b = self.rules[x - first].tolist()
+                if a in known and b in known:
+                    known[x] = known[a] + known[b]
+                    todo.pop()
+                else:
+                    todo += [y for y in (b, a) if y not in known]
+        return known[symbol]
+
+    def ids(self, i: int, start: int = 0, stop: int | None = None) -> bytes:
+        """Ids ``start`` to ``stop`` of the i-th document (with its end id), as little-endian 32-bit integers.
+
+        Expansion lengths say which symbols hold them; no others are expanded.
+        """
+        own = self.symbols[self.starts[i] : self.starts[i + 1]]
+        n = int(self.counts[i])
+        stop = n if stop is None else min(stop, n)
+        if start >= stop:
+            return b""
+        cut = 0
+        if start > 0 or stop < n:
+            sizes = np.ones(len(own), np.int64)
+            rule = own >= self.first
+            sizes[rule] = self.lengths[own[rule] - self.first]
+            ends = np.cumsum(sizes)
+            lo, hi = int(np.searchsorted(ends, start, side="right")), int(np.searchsorted(ends, stop)) + 1
+            own, cut = own[lo:hi], start - (int(ends[lo - 1]) if lo else 0)
+        known, parts = self._known, []
+        for x in own.tolist():
+            part = known.get(x)
+            parts.append(self.expand(x) if part is None else part)
+        return b"".join(parts)[4 * cut : 4 * (cut + stop - start)]

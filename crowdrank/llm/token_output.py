@@ -5,8 +5,9 @@ shards of about ``shard_ids`` ids, whole documents each; a shard is one row of t
 (``part, shard, ids_before, n_ids, blob``), so any store that Spark reaches can hold it. Reading
 decodes document by document.
 
-Defined results: null and empty texts are the end id alone; repeated ids stay as rows of their own,
-in any order among themselves; an empty table gives no rows. Extra columns are ignored.
+Defined results: null and empty texts are the end id alone; documents without an id come first;
+repeated ids stay as rows of their own, in any order among themselves; an empty table gives no rows.
+Extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -19,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from crowdrank.llm.common import shared_dir
+from crowdrank.llm.common import lean, shared_dir, table
 from crowdrank.llm.repair import Shard, compress, write_shard
 from crowdrank.llm.tokens import default_path, encoder
 
@@ -84,7 +85,7 @@ def write_ids(docs: DataFrame, path: str, vocabulary_path: str, end_id: int = 0,
             yield row()
 
     ordered = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col)).repartitionByRange("doc_id").sortWithinPartitions("doc_id")
-    ordered.mapInArrow(run, SHARDS).write.option("compression", "zstd").parquet(path)
+    ordered.mapInArrow(lean(run), SHARDS).write.option("compression", "zstd").parquet(path)
 
 
 def read_ids(spark, path: str, keep_ids: bool = False) -> DataFrame:
@@ -103,16 +104,16 @@ def read_ids(spark, path: str, keep_ids: bool = False) -> DataFrame:
                     n = np.array([len(x) // 4 for x in rows])
                     starts = at + np.concatenate(([0], np.cumsum(n)[:-1]))
                     at += int(n.sum())
-                    cols = [pa.array(s.docs[lo : lo + len(rows)]), pa.array([part] * len(rows), pa.int32()), pa.array(starts, pa.int64()), pa.array(n, pa.int64()), pa.array([zlib.crc32(x) for x in rows], pa.int64()), pa.array(rows if keep_ids else [None] * len(rows), pa.binary())]
+                    cols = [pa.array(s.docs[lo : lo + len(rows)], pa.int64()), pa.array([part] * len(rows), pa.int32()), pa.array(starts, pa.int64()), pa.array(n, pa.int64()), pa.array([zlib.crc32(x) for x in rows], pa.int64()), pa.array(rows if keep_ids else [None] * len(rows), pa.binary())]
                     yield pa.RecordBatch.from_arrays(cols, ["doc_id", "part", "start", "n_tokens", "ids_crc32", "ids"])
 
-    docs = shards.select("part", "ids_before", "blob").mapInArrow(run, "doc_id long, part int, start long, n_tokens long, ids_crc32 long, ids binary")
+    docs = shards.select("part", "ids_before", "blob").mapInArrow(lean(run), "doc_id long, part int, start long, n_tokens long, ids_crc32 long, ids binary")
     out = docs.join(F.broadcast(base), "part").select("doc_id", (F.col("base") + F.col("start")).alias("start"), "n_tokens", "ids_crc32", "ids")
     return out if keep_ids else out.drop("ids")
 
 
 def op8_token_output(spark, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     path = f"{shared_dir(spark)}/ids-{uuid.uuid4().hex}"
     write_ids(docs, path, default_path("byte_bpe_50k.json"))
     return read_ids(spark, path)
