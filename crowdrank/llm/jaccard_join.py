@@ -14,8 +14,9 @@ once the estimated recall reaches ``recall``, and at the latest where every sing
 threshold has that chance. All offered pairs are verified exactly on the n-gram sets; groups larger
 than ``block_docs`` meet block by block, and only counts and spanning links leave a task.
 
-Result: ``doc_id, class_id, n_links, n_grams``: ``class_id`` is the smallest id connected by links,
-``n_links`` counts the other documents at or above the threshold, exact copies included.
+Result: ``doc_id, class_id, n_links, n_grams, th, first``: ``class_id`` is the smallest id connected by
+links, ``n_links`` counts the other documents at or above the threshold, exact copies included, ``th``
+is a hash of the text, and ``first`` holds for one text of each class, that of the smallest id.
 
 Defined results: null, empty or blank text has no n-grams, links nothing and is its own class; a
 text of fewer than ``n`` words has one n-gram of them all; repeated rows count as copies, also under
@@ -33,7 +34,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from crowdrank.llm.common import cut, gram_hashes, lean, mix, word_hashes
+from crowdrank.llm.common import cut, gram_hashes, lean, mix, table, word_hashes
 from crowdrank.llm.components import components, star
 
 #: Similarities from the threshold to 1 are counted in so many steps.
@@ -334,7 +335,7 @@ def jaccard_classes(docs: DataFrame, n: int = 5, threshold: float = 0.8, trees:
         raise ValueError("labels have eight values")
     text = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(F.col(text_col)).alias("th"), F.col(text_col).alias("t"))
     signed = cut(signed_texts(text, n, trees, depth, seed))
-    one = signed.filter("key IS NOT NULL").groupBy("key").agg(F.min("doc_id").alias("rep"), F.max(F.struct("doc_id", "th")).alias("at"), F.count("*").alias("copies"), F.min("sig").alias("sig"))
+    one = signed.filter("key IS NOT NULL").groupBy("key").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "th")).alias("at"), F.count("*").alias("copies"), F.min("sig").alias("sig"))
     reps = cut(one.withColumn("rid", F.monotonically_increasing_id()))
     least = shortest_needed(trees, depth, threshold, recall)
     tries = cut(sorted_labels(reps, trees, least))
@@ -369,16 +370,18 @@ def jaccard_classes(docs: DataFrame, n: int = 5, threshold: float = 0.8, trees:
         checked = checked.union(more)
     links = checked.groupBy("rid").agg(F.sum("links").alias("links"))
     roots = components(star(checked.filter("rid <> root"), "rid", "root")).withColumnRenamed("id", "rid")
-    own = cut(reps.select("key", "rid", "rep", "copies").join(links, "rid", "left").join(roots, "rid", "left").select("key", "rep", F.coalesce("root", "rid").alias("root"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links")))
-    names = own.groupBy("root").agg(F.min("rep").alias("class_id"))
-    classes = own.join(names, "root").select("key", "class_id", "n_links")
-    out = signed.select("doc_id", "key", "n_grams").join(classes, "key", "left")
-    class_id = F.when(F.col("n_links").isNull(), F.col("doc_id")).otherwise(F.col("class_id"))
-    return out.select("doc_id", class_id.alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.col("n_grams").cast("long").alias("n_grams"))
+    own = cut(reps.select("key", "rid", "at", "copies").join(links, "rid", "left").join(roots, "rid", "left").select("key", "at", F.coalesce("root", "rid").alias("root"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links")))
+    heads = own.groupBy("root").agg(F.min("at").alias("head"))
+    classes = own.join(heads, "root").select("key", "head", "n_links")
+    out = signed.select("doc_id", "th", "key", "n_grams").join(classes, "key", "left")
+    alone = F.col("n_links").isNull()
+    class_id = F.when(alone, F.col("doc_id")).otherwise(F.col("head.doc_id"))
+    first = alone | (F.col("doc_id").eqNullSafe(F.col("head.doc_id")) & (F.col("th") == F.col("head.th")))
+    return out.select("doc_id", class_id.alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.col("n_grams").cast("long").alias("n_grams"), "th", first.alias("first"))
 
 
 def op3_jaccard_join(spark, sf_dir: str) -> DataFrame:
-    return jaccard_classes(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text"))
+    return jaccard_classes(table(spark, sf_dir, "documents").select("doc_id", "text")).select("doc_id", "class_id", "n_links", "n_grams")
 
 
 SQL = r"""

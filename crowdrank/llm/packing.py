@@ -6,8 +6,9 @@ into the packs with the smallest sum, and keeps counts of packing patterns inste
 finds its pattern by its rank among the pieces of its length; ranks come from counts by partition
 and length, so no length gathers in one task.
 
-Defined results: null or empty text is a document of its end id alone; repeated rows are packed one
-by one; an empty table gives no rows. Columns other than the id and the text are ignored.
+Defined results: null or empty text is a document of its end id alone; repeated rows and rows without
+an id are packed one by one; lengths that tie take ranks in the order in which they are read; an empty
+table gives no rows. Columns other than the id and the text are ignored.
 """
 
 from __future__ import annotations

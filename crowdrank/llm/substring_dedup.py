@@ -10,8 +10,8 @@ windows, counted before they are shuffled, so no minimiser fills a shard.
 
 Defined results: null or blank text has no words; texts shorter than the window lose nothing; a
 window that repeats only within its own document counts, also overlapping itself; repeated rows are
-copies of each other, so both lose their words; ids must be unique for row-wise results. Extra
-columns are ignored.
+copies of each other, so both lose their words; rows of one id with different texts and rows without
+an id are told apart by a hash of their text; an empty table gives no rows. Extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from crowdrank.llm.common import _BASE, _INVERSE, cut, gram_hashes, mix, word_hashes
+from crowdrank.llm.common import _BASE, _INVERSE, cut, gram_hashes, lean, lean_call, mix, word_hashes
 from crowdrank.llm.fm_index import FMIndex
 
 _POWER: dict[int, np.ndarray] = {}
@@ -74,18 +74,19 @@ def _words(text) -> np.ndarray:
 def cut_segments(text: DataFrame, width: int, gram: int) -> DataFrame:
     def run(batches):
         for batch in batches:
-            parts = [segments(_words(t.as_py()), width, gram) for t in batch.column(1)]
-            counts = [len(p[0]) for p in parts]
-            ids = np.repeat(batch.column(0).to_numpy(zero_copy_only=False), counts)
-            start, n, m, seg = (np.concatenate(c) if c else np.zeros(0, np.uint64) for c in ([p[i] for p in parts] for i in range(4)))
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(start.astype(np.int32)), pa.array(n.astype(np.int16)), pa.array(m.view(np.int64)), pa.array(seg.view(np.int64))], ["doc_id", "start", "n", "m", "seg"])
+            for lo in range(0, batch.num_rows, 1024):
+                own = batch.slice(lo, 1024)
+                parts = [segments(_words(t.as_py()), width, gram) for t in own.column(2)]
+                of = pa.array(np.repeat(np.arange(own.num_rows), [len(p[0]) for p in parts]))
+                start, n, m, seg = (np.concatenate([p[i] for p in parts]) for i in range(4))
+                yield pa.RecordBatch.from_arrays([own.column(0).take(of), own.column(1).take(of), pa.array(start.astype(np.int32)), pa.array(n.astype(np.int16)), pa.array(m.astype(np.uint64).view(np.int64)), pa.array(seg.astype(np.uint64).view(np.int64))], ["doc_id", "th", "start", "n", "m", "seg"])
 
-    return text.mapInArrow(run, "doc_id long, start int, n short, m long, seg long")
+    return text.mapInArrow(lean(run), "doc_id long, th long, start int, n short, m long, seg long")
 
 
 def fetch(reps: DataFrame, text: DataFrame, width: int) -> DataFrame:
     """Words of the representatives: whole segments, or single windows where ``hot``."""
-    places = reps.groupBy("doc_id").agg(F.collect_list(F.struct("start", "n", "m", "seg", "c", "hot")).alias("places"))
+    places = reps.groupBy(F.col("doc_id").alias("d"), F.col("th").alias("h")).agg(F.collect_list(F.struct("start", "n", "m", "seg", "c", "hot")).alias("places"))
 
     def run(batches):
         names = ["m", "seg", "off", "route", "c", "n", "words"]
@@ -107,7 +108,9 @@ def fetch(reps: DataFrame, text: DataFrame, width: int) -> DataFrame:
             kinds = [pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int32(), pa.binary()]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(out, kinds, strict=True)], names)
 
-    return text.join(places, "doc_id").select("doc_id", "t", "places").mapInArrow(run, "m long, seg long, off int, route long, c long, n int, words binary")
+    met = text.join(places, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("th") == F.col("h")))
+    # a row repeated under one id brings its segments again; they count twice or more already
+    return met.select("doc_id", "t", "places").mapInArrow(lean(run), "m long, seg long, off int, route long, c long, n int, words binary")
 
 
 def search_shard(table: pa.Table, width: int) -> pa.Table:
@@ -122,14 +125,14 @@ def search_shard(table: pa.Table, width: int) -> pa.Table:
 
 
 def repeated(docs: DataFrame, width: int = 35, gram: int = 12, hot_segments: int = 64, shard_texts: int = 4000, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Places of windows that also start elsewhere: ``doc_id, start, offs`` (offsets from ``start``)."""
-    text = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("t"))
+    """Places of windows that also start elsewhere: ``doc_id, th, start, offs`` (offsets from ``start``)."""
+    text = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text_col).alias("th"), F.col(text_col).alias("t"))
     segs = cut(cut_segments(text, width, gram))
-    twice = cut(segs.groupBy("m").count().filter("count > 1").select("m"))
+    twice = cut(segs.groupBy("m").count().filter("count > 1").select("m"), thin=True)
     live = cut(segs.join(twice, "m", "left_semi"))
-    reps = live.groupBy("m", "seg").agg(F.count("*").alias("c"), F.min(F.struct("doc_id", "start", "n")).alias("p"))
-    reps = cut(reps.select("m", "seg", "c", "p.doc_id", "p.start", "p.n"))
-    many = cut(reps.groupBy("m").count().filter(F.col("count") > hot_segments).select("m"))
+    reps = live.groupBy("m", "seg").agg(F.count("*").alias("c"), F.min(F.struct("doc_id", "th", "start", "n")).alias("p"))
+    reps = cut(reps.select("m", "seg", "c", "p.doc_id", "p.th", "p.start", "p.n"))
+    many = cut(reps.groupBy("m").count().filter(F.col("count") > hot_segments).select("m"), thin=True)
     marked = reps.join(many.withColumn("hot", F.lit(True)), "m", "left").withColumn("hot", F.coalesce("hot", F.lit(False)))
     fetched = cut(fetch(marked, text, width))
     whole, single = fetched.filter("off < 0"), fetched.filter("off >= 0")
@@ -138,18 +141,18 @@ def repeated(docs: DataFrame, width: int = 35, gram: int = 12, hot_segments: int
     texts = whole.select("m", "seg", "route", "c", "words").union(counted.select(F.lit(0).cast("long"), F.lit(0).cast("long"), "route", "c", "words"))
     shards = max(1, -(-fetched.count() // shard_texts))
     shard = F.pmod(F.xxhash64("route", F.lit(2)), F.lit(shards))
-    found = cut(texts.withColumn("shard", shard).groupBy("shard").applyInArrow(lambda t: search_shard(t.drop(["shard"]), width), "m long, seg long, route long, offs array<int>"))
+    found = cut(texts.withColumn("shard", shard).groupBy("shard").applyInArrow(lean_call(lambda t: search_shard(t.drop(["shard"]), width)), "m long, seg long, route long, offs array<int>"))
     mine = found.filter("NOT (m = 0 AND seg = 0)").select("m", "seg", "offs")
     by_window = found.filter("m = 0 AND seg = 0").select("route")
     spread = single.select("m", "seg", "off", "route").join(by_window, "route", "left_semi").groupBy("m", "seg").agg(F.collect_list("off").alias("offs"))
     hits = cut(mine.union(spread))
-    return live.join(hits, ["m", "seg"]).select("doc_id", "start", "offs")
+    return live.join(hits, ["m", "seg"]).select("doc_id", "th", "start", "offs")
 
 
 def remove_repeats(docs: DataFrame, width: int = 35, id_col: str = "doc_id", text_col: str = "text", keep_text: bool = True, **how) -> DataFrame:
     """One row a document: ``doc_id, n_words, n_removed, kept_sha256`` and, if asked for, ``kept`` text."""
-    spots = repeated(docs, width, id_col=id_col, text_col=text_col, **how).groupBy("doc_id").agg(F.collect_list(F.struct("start", "offs")).alias("spots"))
-    text = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("t"))
+    spots = repeated(docs, width, id_col=id_col, text_col=text_col, **how).groupBy(F.col("doc_id").alias("d"), F.col("th").alias("h")).agg(F.collect_list(F.struct("start", "offs")).alias("spots"))
+    text = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text_col).alias("th"), F.col(text_col).alias("t"))
 
     def run(batches):
         names = ["doc_id", "n_words", "n_removed", "kept_sha256", "kept"]
@@ -170,7 +173,8 @@ def remove_repeats(docs: DataFrame, width: int = 35, id_col: str = "doc_id", tex
             kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string()]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names)
 
-    out = text.join(spots, "doc_id", "left").select("doc_id", "t", "spots").mapInArrow(run, "doc_id long, n_words long, n_removed long, kept_sha256 string, kept string")
+    met = text.join(spots, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("th") == F.col("h")), "left")
+    out = met.select("doc_id", "t", "spots").mapInArrow(lean(run), "doc_id long, n_words long, n_removed long, kept_sha256 string, kept string")
     return out if keep_text else out.drop("kept")
 
 

@@ -230,7 +230,21 @@ def test_repair_round_trip():
     shard = repair.Shard(repair.write_shard(list(range(len(docs))), np.array([len(w) for w in want]), rules, symbols, ends, 6))
     assert [np.frombuffer(shard.ids(i), "<u4").tolist() for i in reversed(range(len(docs)))] == [w.tolist() for w in reversed(want)]
     assert len(rules) and len(symbols) < sum(map(len, want)) / 2
-    assert shard.lengths.tolist() == [len(b) // 4 for b in shard.bytes_of[6:]]
+    assert shard.lengths.tolist() == [len(shard.expand(x)) // 4 for x in range(6, 6 + len(rules))]
+    for i, w in enumerate(want):
+        for _ in range(20):
+            lo, hi = sorted(r.integers(0, len(w) + 2, 2).tolist())
+            assert np.frombuffer(shard.ids(i, lo, hi), "<u4").tolist() == w[lo:hi].tolist()
+
+
+def test_repair_goes_on_until_nothing_is_frequent():
+    """A passage of 4,096 different ids that is repeated whole, with its end, becomes one symbol."""
+    flat, sizes = np.arange(4097, dtype=np.uint32), np.ones(4097, np.int64)
+    seq = np.concatenate([np.append(np.arange(1, 4097), 0)] * 40)
+    rules, symbols, ends = repair.compress((flat, sizes), seq, 0, 4097)
+    assert len(symbols) == 40 and len(rules) == 4096
+    shard = repair.Shard(repair.write_shard([None, *range(39)], np.full(40, 4097), rules, symbols, ends, 4097))
+    assert shard.docs[0] is None and np.frombuffer(shard.ids(7, 4000, 4003), "<u4").tolist() == [4001, 4002, 4003]
 
 
 def test_language_id(spark):
@@ -263,7 +277,7 @@ def test_scores(spark):
                 return np.log(counts[tuple(w[i - k + 1 : i + 1])] / counts[tuple(w[i - k + 1 : i])]) + np.log(0.4) * (min(3, i + 1) - k)
         return np.log(counts[(w[i],)] / total) + np.log(0.4) * (min(3, i + 1) - 1)
 
-    got = by_id(lm_scoring.score(frame(spark, extra=True), block_docs=6, slice_grams=500), "n_words", "log_score")
+    got = by_id(lm_scoring.score(frame(spark, extra=True), block_bytes=5_000, slice_bytes=20_000), "n_words", "log_score")
     for i, w in words.items():
         assert got[i][0] == len(w) and np.isclose(got[i][1], sum(one(w, p) for p in range(len(w))))
     assert lm_scoring.score(frame(spark, [])).count() == 0

@@ -36,12 +36,12 @@ def test_single_lines(spark, least):
     assert got[6] == (None,) and LONG not in got[2][0] and got[3] == ("",)
 
 
-def test_single_lines_query_and_sql(spark, tmp_path):
+def test_line_query_and_sql(spark, tmp_path):
     frame(spark, LINES + [(100 + i, t) for i, t in corpus()]).write.parquet(f"{tmp_path}/documents.parquet")
-    got = sorted(map(tuple, line_dedup.op2_line_dedup_single(spark, str(tmp_path)).collect()))
+    got = sorted(map(tuple, line_dedup.op2_line_dedup(spark, str(tmp_path)).collect()))
     con = duckdb.connect()
     con.execute(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
-    assert got == sorted(con.execute(line_dedup.SQL_SINGLE).fetchall())
+    assert got == sorted(con.execute(line_dedup.SQL).fetchall())
 
 
 def test_pipeline_single_lines(spark):
@@ -49,7 +49,7 @@ def test_pipeline_single_lines(spark):
     assert got[2] == ("c\nd\na",) and 3 not in got and got[5] == ("x\ny\n\t\nz\n\t",)
 
 
-def test_trigram_query_and_sql(spark, tmp_path):
+def test_score_query_and_sql(spark, tmp_path):
     frame(spark).write.parquet(f"{tmp_path}/documents.parquet")
     words = {i: (t or "").encode().split() for i, t in corpus()}
     count = Counter(tuple(w[s : s + k]) for w in words.values() for k in (1, 2, 3) for s in range(len(w) - k + 1))
@@ -60,10 +60,10 @@ def test_trigram_query_and_sql(spark, tmp_path):
             return math.log(count[gram] / total)
         return math.log(count[gram] / count[gram[:-1]]) if count[gram] >= 2 else math.log(0.4) + log(gram[1:])
 
-    got = by_id(lm_scoring.op6_lm_scoring_trigram(spark, str(tmp_path)), "n_words", "log_score")
+    got = by_id(lm_scoring.op6_lm_scoring(spark, str(tmp_path)), "n_words", "log_score")
     con = duckdb.connect()
     con.execute(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
-    sql = {i: r for i, *r in con.execute(lm_scoring.SQL_TRIGRAM).fetchall()}
+    sql = {i: r for i, *r in con.execute(lm_scoring.SQL).fetchall()}
     assert got.keys() == words.keys() == sql.keys()
     for i, w in words.items():
         want = sum(log(tuple(w[max(0, p - 2) : p + 1])) for p in range(len(w)))
