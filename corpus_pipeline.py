@@ -1,9 +1,12 @@
 """The corpus pipeline: five stages over ``documents``, each written as Parquet and read by the next.
 
 Language ID drops texts without a recognisable language; line dedup deletes later repeated runs of
-lines and later copies of single lines of four words or more, and documents that lose all their lines go; the n-gram Jaccard join keeps the smallest id of
-each group; decontamination drops documents that hold benchmark passages by the contract's rule;
-packing cuts the rest into sequences.
+lines and later copies of single lines of ``SINGLE_WORDS`` words or more, and documents that lose all
+their lines go; the n-gram Jaccard join keeps the smallest id of each group; decontamination drops
+documents that hold benchmark passages by the contract's rule; packing cuts the rest into sequences.
+
+Null texts have no language and go first. Rows without an id are told apart by their text; identical
+rows of one id stay or go together. An empty table gives no rows, and extra columns stay up to packing.
 """
 
 from __future__ import annotations
@@ -15,8 +18,11 @@ from crowdrank.llm import decontamination, jaccard_join, language_id, line_dedup
 from crowdrank.llm.common import cut, table
 from crowdrank.session import ship
 
-#: Lines of at least so many words are deduplicated alone too; shorter ones (headings, answers) in runs only.
-SINGLE_WORDS = 4
+
+def of_texts(docs: DataFrame, found: DataFrame, how: str) -> DataFrame:
+    """Rows of ``docs`` that have, or have not, a row ``doc_id, th`` in ``found``."""
+    found = found.select(F.col("doc_id").alias("__id"), F.col("th").alias("__th"))
+    return docs.join(found, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.xxhash64("text") == F.col("__th")), how)
 
 
 def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -26,20 +32,21 @@ def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def without_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship(spark)
-    out = line_dedup.dedup_lines(docs, single_words=SINGLE_WORDS).filter("n_removed = 0 OR n_removed < n_lines")
-    return out.withColumn("n_chars", F.when(F.col("n_removed") > 0, F.char_length("text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
+    clash = {c: f"kept {c}" for c in ("n_lines", "n_removed") if c in docs.columns}
+    out = line_dedup.dedup_lines(docs.withColumnsRenamed(clash), single_words=line_dedup.SINGLE_WORDS)
+    out = out.filter("n_removed = 0 OR n_removed < n_lines")
+    n_chars = F.when(F.col("n_removed") > 0, F.char_length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType)
+    return out.withColumn("n_chars", n_chars).select(*(F.col(f"`{clash.get(c, c)}`").alias(c) for c in docs.columns))
 
 
 def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship(spark)
-    first = jaccard_join.jaccard_classes(docs).filter("doc_id <=> class_id").select(F.col("doc_id").alias("first_id"))
-    return docs.join(first, F.col("doc_id").eqNullSafe(F.col("first_id")), "left_semi").select(*docs.columns)
+    return of_texts(docs, jaccard_join.jaccard_classes(docs).filter("first"), "left_semi")
 
 
 def without_benchmarks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship(spark)
-    bad = decontamination.decontaminate(docs, table(spark, sf_dir, "benchmark")).filter("contaminated").select("doc_id")
-    return docs.join(bad, "doc_id", "left_anti").select(*docs.columns)
+    return of_texts(docs, decontamination.decontaminate(docs, table(spark, sf_dir, "benchmark")).filter("contaminated"), "left_anti")
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
