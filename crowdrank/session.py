@@ -10,11 +10,26 @@ from pathlib import Path
 from pyspark.sql import SparkSession
 
 _SHIPPED: set[str] = set()
+#: Rows of an Arrow batch at most: texts of some kilobytes then make batches of a few megabytes.
+BATCH_ROWS = 1024
+
+
+def shared_dir(spark: SparkSession) -> str:
+    """The shared folder of ``spark.checkpoint.dir``; one of our own only where all runs on one machine."""
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        if not spark.sparkContext.master.startswith("local["):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+        root = f"file://{tempfile.gettempdir()}/checkpoints"
+    return root.rstrip("/")
 
 
 def ship(spark: SparkSession) -> SparkSession:
     """Send this package to the executors once, so workers import it wherever they start."""
     sc = spark.sparkContext
+    rows = int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch", "10000"))
+    if not 0 < rows <= BATCH_ROWS:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
     if sc.applicationId not in _SHIPPED:
         root = Path(__file__).resolve().parent
         path = os.path.join(tempfile.mkdtemp(), f"{root.name}.zip")
