@@ -21,6 +21,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -86,16 +87,24 @@ def _planes(x: np.ndarray) -> bytes:
     return np.ascontiguousarray(x.astype("<u8").view(np.uint8).reshape(-1, 8).T).tobytes()
 
 
+def _from_planes(data: bytes) -> np.ndarray:
+    return np.ascontiguousarray(np.frombuffer(data, np.uint8).reshape(8, -1).T).view("<i8").ravel()
+
+
 def _narrow(sorted_hashes: np.ndarray) -> bytes:
     return _planes(np.diff(sorted_hashes, prepend=np.uint64(0)))
 
 
 def _wide(data: bytes) -> np.ndarray:
-    return np.cumsum(_counts(data).view(np.uint64), dtype=np.uint64)
+    return np.cumsum(_from_planes(data).view(np.uint64), dtype=np.uint64)
+
+
+def _packed(counts: np.ndarray) -> bytes:
+    return zstandard.compress(_planes(counts), 1)
 
 
 def _counts(data: bytes) -> np.ndarray:
-    return np.ascontiguousarray(np.frombuffer(data, np.uint8).reshape(8, -1).T).view("<i8").ravel()
+    return _from_planes(zstandard.decompress(data))
 
 
 def question(block: Block, number: int, slices: int) -> pa.Table:
@@ -107,7 +116,7 @@ def question(block: Block, number: int, slices: int) -> pa.Table:
     spans = [(int(cuts[i]), int(cuts[i + 1])) for i in own]
     n = len(own)
     cols = [pa.array([number] * n, pa.int32()), pa.array([len(block.known) + 1] * n, pa.int32()), pa.array(own.astype(np.int32))]
-    cols += [pa.array([f(x[a:b]) for a, b in spans], pa.binary()) for f, x in ((_narrow, grams), (_planes, counts))]
+    cols += [pa.array([f(x[a:b]) for a, b in spans], pa.binary()) for f, x in ((_narrow, grams), (_packed, counts))]
     return pa.table(cols, ["block", "k", "slice", "grams", "counts"])
 
 
@@ -125,11 +134,11 @@ def tally(table: pa.Table) -> pa.Table:
     sums = np.bincount(group, own[order].astype(np.float64)).astype(np.int64)
     back = np.empty(len(flat), np.int64)
     back[order] = sums[group]
-    answers = pa.array([_planes(back[a:b]) for a, b in zip(cuts, cuts[1:], strict=False)], pa.binary())
+    answers = pa.array([_packed(back[a:b]) for a, b in zip(cuts, cuts[1:], strict=False)], pa.binary())
     return table.select(["block", "k", "slice"]).append_column("counts", answers)
 
 
-def score(docs: DataFrame, order: int = 3, alpha: float = 0.4, min_count: int = 2, block_bytes: int = 6_000_000, slice_bytes: int = 6_000_000, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def score(docs: DataFrame, order: int = 3, alpha: float = 0.4, min_count: int = 2, block_bytes: int = 12_000_000, slice_bytes: int = 6_000_000, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, n_words, log_score, mean_log`` for each document, counts taken over all documents."""
     words = F.size(F.array_remove(F.split(F.coalesce(F.col(text_col), F.lit("")), "[\\x20\\x09-\\x0D]+"), ""))
     size = docs.select(F.sum(F.octet_length(text_col)).alias("b"), F.sum(words).alias("n")).first()
