@@ -18,17 +18,22 @@ def self_attention(x: Var, mask: np.ndarray, wq, wk, wv) -> Var:
     return softmax((q @ k.T) * (1 / np.sqrt(d)), mask[:, None, :]) @ v
 
 
-def multi_head(x: Var, mask: np.ndarray, p: dict, heads: int, scale: str = "model") -> Var:
+def masked_heads(x: Var, pairs: np.ndarray, p: dict, heads: int, scale: str = "model") -> Var:
+    """Heads over the pairs of members that ``pairs`` (groups, members, members) allows."""
     b, n, d = x.shape
     if d % heads:
         raise ValueError(f"dimension {d} is not divisible by {heads} heads")
     w = d // heads
     split = lambda y: y.reshape(b, n, heads, w).swap(1, 2)
     q, k, v = (split((x @ p[f"W{c}"].T) @ p[f"H{c}"].T) for c in "qkv")
-    s = softmax((q @ k.T) * (1 / np.sqrt(d if scale == "model" else w)), mask[:, None, None, :])
+    s = softmax((q @ k.T) * (1 / np.sqrt(d if scale == "model" else w)), pairs[:, None])
     return (s @ v).swap(1, 2).reshape(b, n, d) @ p["Wo"].T
 
 
+def multi_head(x: Var, mask: np.ndarray, p: dict, heads: int, scale: str = "model") -> Var:
+    return masked_heads(x, np.broadcast_to(mask[:, None, :], (*mask.shape, mask.shape[1])), p, heads, scale)
+
+
 def attentive_pool(o: Var, mask: np.ndarray, p: dict, over: str = "hidden") -> tuple[Var, Var]:
     """The pooled vectors and the member weights."""
     a = tanh(o @ p["Ws"].T + p["bs"])

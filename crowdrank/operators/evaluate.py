@@ -71,6 +71,23 @@ def paired_test(a: DataFrame, b: DataFrame) -> DataFrame:
     return a.sparkSession.createDataFrame(rows, "metric string, mean_diff double, stat double, n long, p_value double")
 
 
+def time_folds(records: DataFrame, folds: int = 3) -> list[tuple[DataFrame, DataFrame]]:
+    """Training and validation parts in time order: fold ``k`` trains on all that is before its part.
+
+    Records are cut at even counts in (time, group, item) order, found through day totals.
+    """
+    day = records.withColumn("_day", F.date_trunc("day", "ts"))
+    totals = day.groupBy("_day").count()
+    before = Window.orderBy("_day").rowsBetween(Window.unboundedPreceding, -1)
+    base = totals.select("_day", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("_base"))
+    inner = Window.partitionBy("_day").orderBy("ts", "group_key", "item_id")
+    n = records.count()
+    r = day.withColumn("_r", F.row_number().over(inner) - 1).join(base, "_day")
+    part = F.floor((F.col("_r") + F.col("_base")) * (folds + 1) / F.lit(max(1, n)))
+    cut = r.withColumn("_part", part).drop("_day", "_r", "_base")
+    return [(cut.filter(F.col("_part") < k).drop("_part"), cut.filter(F.col("_part") == k).drop("_part")) for k in range(1, folds + 1)]
+
+
 def cost_model(d: int, negatives: int, views: int, edges: int, epochs: int = 1) -> dict[str, int]:
     """Multiply-adds of a step and of training: dimension x negatives x views, steps with the edges."""
     step = d * (1 + negatives) * max(1, views)

@@ -8,14 +8,17 @@ import uuid
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from crowdrank.session import shared_dir
+
 Cols = list[str | Column]
+#: Users of one context that meet in one task; larger contexts are dealt to blocks of about so many.
+CONTEXT_BLOCK = 1024
 
 
 def store(df: DataFrame) -> DataFrame:
     """Cut the lineage of an iteration by a table in the shared folder of ``spark.checkpoint.dir``."""
     spark = df.sparkSession
-    root = (spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints").rstrip("/")
-    path = f"{root}/step-{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark)}/step-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -65,16 +68,21 @@ def _ddl(df: DataFrame, names: list[str]) -> str:
 
 
 def _components_in(pairs: DataFrame, names: list[str]) -> DataFrame:
-    """Smallest-label propagation along ties, in all cells at once, until nothing changes."""
+    """Label minima along ties in all cells at once, with shortcuts, until nothing changes.
+
+    A user takes the smallest label of its neighbours and then the label of that label, so chains
+    shorten by doubling and rounds grow with the logarithm of the diameter.
+    """
     pairs = store(pairs)
-    label = pairs.groupBy(*names, "a").agg(F.least(F.min("b"), F.first("a")).alias("l"))
+    label = store(pairs.groupBy(*names, "a").agg(F.least(F.min("b"), F.first("a")).alias("l")))
     while True:
-        label = store(label)
         near = pairs.join(label.withColumnRenamed("a", "b"), [*names, "b"]).groupBy(*names, "a").agg(F.min("l").alias("m"))
-        new = store(label.join(near, [*names, "a"]).select(*names, "a", F.least("l", "m").alias("l"), (F.col("m") < F.col("l")).alias("moved")))
-        if not new.filter("moved").limit(1).count():
+        new = label.join(near, [*names, "a"]).select(*names, "a", F.least("l", "m").alias("to"), F.col("l").alias("was"))
+        far = label.select(*names, F.col("a").alias("to"), F.col("l").alias("far"))
+        new = store(new.join(far, [*names, "to"]).select(*names, "a", F.least("to", "far").alias("l"), "was"))
+        if not new.filter("l <> was").limit(1).count():
             return new.groupBy(*names, "l").agg(F.array_sort(F.collect_set("a")).alias("members")).drop("l")
-        label = new.drop("moved")
+        label = new.drop("was")
 
 
 def _cliques(pdf):
@@ -122,10 +130,19 @@ def symmetrise(pairs: DataFrame) -> DataFrame:
 
 
 def derive_ties(log: DataFrame, context: Cols, tau: int = 1) -> DataFrame:
-    """Users who share at least ``tau`` contexts; both directions."""
+    """Users who share at least ``tau`` contexts; both directions.
+
+    The ties are all pairs of a context, so they are the size of the result; a context of many users
+    is dealt to blocks, and a task holds two blocks of it.
+    """
     rows = log.select("user_id", *context).distinct()
     keys = [c for c in rows.columns if c != "user_id"]
-    both = rows.withColumnRenamed("user_id", "src").join(rows.withColumnRenamed("user_id", "dst"), keys).filter("src <> dst")
+    blocks = rows.groupBy(*keys).agg(F.ceil(F.count("*") / CONTEXT_BLOCK).cast("int").alias("_nb"))
+    dealt = rows.join(blocks, keys).withColumn("_own", F.pmod(F.xxhash64("user_id"), F.col("_nb")).cast("int"))
+    every = F.explode(F.sequence(F.lit(0), F.col("_nb") - 1))
+    left = dealt.select(*keys, F.col("user_id").alias("src"), F.col("_own").alias("_i"), every.alias("_j"))
+    right = dealt.select(*keys, F.col("user_id").alias("dst"), F.col("_own").alias("_j"), every.alias("_i"))
+    both = left.join(right.toDF(*right.columns), [*keys, "_i", "_j"]).filter("src <> dst")
     if tau <= 1:
         return both.select("src", "dst").distinct()
     return both.groupBy("src", "dst").count().filter(F.col("count") >= tau).select("src", "dst")
@@ -155,6 +172,13 @@ def cold_flags(test: DataFrame, train: DataFrame) -> DataFrame:
     return test.select("group_key").distinct().join(train.select("group_key").distinct(), "group_key", "left_anti")
 
 
+def cold_members(test: DataFrame, train: DataFrame) -> DataFrame:
+    """``group_key, members, new_members``: how many members of a test group were in no training group."""
+    known = train.select(F.explode("members").alias("user_id")).distinct().withColumn("known", F.lit(1))
+    rows = test.select("group_key", F.explode("members").alias("user_id")).distinct().join(known, "user_id", "left")
+    return rows.groupBy("group_key").agg(F.count("*").alias("members"), F.count_if(F.col("known").isNull()).alias("new_members"))
+
+
 # --- centralities
 
 
@@ -177,13 +201,17 @@ def centrality_pagerank(uu: DataFrame, damping: float = 0.85, iters: int = 20, e
 
 
 def centrality_eigenvector(uu: DataFrame, iters: int = 20, every: int = 5) -> DataFrame:
-    """Power iteration, scaled by the largest score each round."""
+    """Power iteration, scaled by the largest score every few rounds and at the end.
+
+    Scaling does not change the direction, so the rounds between need no maximum.
+    """
     now = uu.select(F.col("src").alias("user_id")).distinct().withColumn("score", F.lit(1.0))
     for i in range(iters):
-        s = uu.join(now, uu["src"] == now["user_id"]).groupBy("dst").agg(F.sum("score").alias("s"))
-        now = s.join(F.broadcast(s.agg(F.max("s").alias("top")))).select(F.col("dst").alias("user_id"), (F.col("s") / F.col("top")).alias("score"))
-        if i % every == every - 1:
+        now = uu.join(now, uu["src"] == now["user_id"]).groupBy(F.col("dst").alias("user_id")).agg(F.sum("score").alias("score"))
+        if i % every == every - 1 or i == iters - 1:
             now = store(now)
+            top = now.agg(F.max("score")).first()[0] or 1.0
+            now = now.select("user_id", (F.col("score") / F.lit(top)).alias("score"))
     return now
 
 
@@ -204,6 +232,17 @@ def distances(uu: DataFrame, sources: DataFrame, limit: int | None = None) -> Da
         seen = store(seen.unionByName(front))
 
 
+def picked(nodes: DataFrame, k: int) -> DataFrame:
+    """``k`` nodes in a reproducible pseudo-random order."""
+    return nodes.orderBy(spread(F.col("user_id"), F.lit(0), 1), "user_id").limit(k)
+
+
+def centrality_harmonic(uu: DataFrame) -> DataFrame:
+    """Sum of the reciprocal distances to all nodes reached; what the sketched closeness estimates."""
+    d = distances(uu, uu.select(F.col("src").alias("user_id")).distinct())
+    return d.groupBy(F.col("source").alias("user_id")).agg(F.sum(F.when(F.col("dist") > 0, 1 / F.col("dist")).otherwise(0.0)).alias("score"))
+
+
 def centrality_closeness(uu: DataFrame, landmarks: int | None = None) -> DataFrame:
     """Reached nodes over the sum of their distances, times the reached share of the graph.
 
@@ -211,7 +250,7 @@ def centrality_closeness(uu: DataFrame, landmarks: int | None = None) -> DataFra
     """
     nodes = uu.select(F.col("src").alias("user_id")).distinct()
     n = nodes.count()
-    sources = nodes if landmarks is None else nodes.orderBy(F.xxhash64("user_id")).limit(landmarks)
+    sources = nodes if landmarks is None else picked(nodes, landmarks)
     d = distances(uu, sources).filter("dist > 0").groupBy(F.col("node").alias("user_id")).agg(F.sum("dist").alias("total"), F.count("*").alias("reached"))
     other = (n if landmarks is None else landmarks) - (1 if landmarks is None else 0)
     return nodes.join(d, "user_id", "left").select("user_id", F.coalesce(F.col("reached") / F.col("total") * F.col("reached") / F.lit(max(1, other)), F.lit(0.0)).alias("score"))
@@ -242,7 +281,7 @@ def centrality_betweenness(uu: DataFrame, pivots: int | None = None) -> DataFram
     """
     nodes = uu.select(F.col("src").alias("user_id")).distinct()
     n = nodes.count()
-    sources = nodes if pivots is None else nodes.orderBy(F.xxhash64("user_id")).limit(pivots)
+    sources = nodes if pivots is None else picked(nodes, pivots)
     level = store(distances(uu, sources))
     deepest = level.agg(F.max("dist")).first()[0] or 0
     delta = None
@@ -298,20 +337,22 @@ def walk_corpus(uu: DataFrame, length: int = 8, per_node: int = 2, p: float = 1.
         else:
             at = at.withColumn("was", F.element_at("path", -2)).join(near.select(F.col("src").alias("was"), F.col("near").alias("wasnear")), "was")
             weight = F.transform("near", lambda x: F.when(x == F.col("was"), 1 / p).when(F.array_contains("wasnear", x), 1.0).otherwise(1 / q))
-            at = at.withColumn("ws", weight)
-            run = F.transform("ws", lambda x, i: F.aggregate(F.slice("ws", 1, i + 1), F.lit(0.0), lambda s, y: s + y))
-            at = at.withColumn("run", run)
-            pick = F.size(F.filter("run", lambda x: x <= u * F.element_at("run", -1))) + 1
+            # one pass over the neighbours: the last one whose share of the total begins below ``u``
+            at = at.withColumn("ws", weight).withColumn("total", F.aggregate("ws", F.lit(0.0), lambda s, y: s + y))
+            start = F.struct(F.lit(0.0).alias("run"), F.lit(0).alias("n"))
+            step_over = lambda s, y: F.struct((s["run"] + y).alias("run"), (s["n"] + F.when(s["run"] + y <= u * F.col("total"), 1).otherwise(0)).alias("n"))
+            pick = F.aggregate("ws", start, step_over, lambda s: s["n"]) + 1
             walks = at.select("src", "walk", F.concat("path", F.array(F.element_at("near", F.least(pick, F.size("near"))))).alias("path"))
         if step % 4 == 0:
             walks = store(walks)
     return walks
 
 
-def walk_embedding(walks: DataFrame, d: int = 16, window: int = 3, seed: int = 3) -> DataFrame:
-    """Node vectors of the walks by Spark's skip-gram."""
+def walk_embedding(walks: DataFrame, d: int = 16, window: int = 3, seed: int = 3, walks_each: int = 100_000) -> DataFrame:
+    """Node vectors of the walks by Spark's skip-gram, on about ``walks_each`` walks a partition."""
     from pyspark.ml.feature import Word2Vec
     from pyspark.ml.functions import vector_to_array
 
-    model = Word2Vec(vectorSize=d, windowSize=window, minCount=0, maxIter=1, numPartitions=1, seed=seed, inputCol="words", outputCol="v").fit(walks.select(F.col("path").cast("array<string>").alias("words")))
+    parts = max(1, walks.count() // walks_each)
+    model = Word2Vec(vectorSize=d, windowSize=window, minCount=0, maxIter=1, numPartitions=parts, seed=seed, inputCol="words", outputCol="v").fit(walks.select(F.col("path").cast("array<string>").alias("words")))
     return model.getVectors().select(F.col("word").cast("long").alias("user_id"), vector_to_array("vector").alias("vec"))

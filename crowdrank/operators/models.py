@@ -7,7 +7,7 @@ scores them against items.
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 import numpy as np
 
@@ -20,8 +20,12 @@ class Config:
     """One estimator; the ablations and baselines are settings of it.
 
     ``aggregate``: attention, mean, influence, voting, metric, ncf or virtual. ``views``: names of the
-    neighbour lists that are convolved (empty: none). ``dense``: learning rate of shared parameters as a share of ``lr``. ``mode``: simple, two_stage, joint or pooled.
-    ``negatives``: degree, group or uniform. ``loss``: ns, pair or hinge.
+    neighbour lists that are convolved (empty: none); ``skip`` adds the base vector to a convolved one.
+    ``over``: pools the tanh layer (``hidden``) or its ``input``. ``layers``: stacked blocks of voting.
+    ``dense``: learning rate of shared parameters as a share of ``lr``. ``mode``: simple, two_stage,
+    joint or pooled. ``negatives``: degree (each graph by its own noise), group or uniform. ``loss``: ns,
+    pair or hinge. ``pool``: draws from the noise that a unit gets a graph; ``touched``: draws from the
+    items that a group's members touched.
     """
 
     aggregate: str = "attention"
@@ -34,17 +38,20 @@ class Config:
     m: int = 4
     eta: float = 1.0
     gamma: float = 1.0
-    lr: float = 0.15
+    lr: float = 0.3
     dense: float = 0.02
-    over: str = "input"
+    over: str = "hidden"
+    skip: bool = False
+    layers: int = 2
     rounds: int = 3
-    local: int = 12
+    local: int = 24
     batch: int = 64
-    unit_rows: int = 2000
+    unit_rows: int = 4000
+    pool: int = 2048
+    touched: int = 16
     neighbours: int = 4
     margin: float = 0.5
     seed: int = 7
-    extra: dict = field(default_factory=dict)
 
 
 def parameters(c: Config, features: int = 0) -> dict[str, np.ndarray]:
@@ -53,12 +60,16 @@ def parameters(c: Config, features: int = 0) -> dict[str, np.ndarray]:
     near_one = lambda: np.eye(d) + rng.normal(0, 0.05, (d, d))
     small = lambda *s: rng.normal(0, 0.1, s)
     p: dict[str, np.ndarray] = {}
+    if c.aggregate in ("attention", "metric", "ncf"):
+        p |= {n: near_one() for n in ("Wq", "Wk", "Wv", "Hq", "Hk", "Hv", "Wo")}
     if c.aggregate in ("attention", "voting", "metric", "ncf"):
-        p |= {n: near_one() for n in ("Wq", "Wk", "Wv", "Hq", "Hk", "Hv", "Wo", "Ws")} | {"bs": np.zeros(d), "ctx": small(d)}
+        p |= {"Ws": near_one(), "bs": np.zeros(d), "ctx": small(d)}
     if c.aggregate == "influence":
         p |= {"F1": small(8, max(1, features)), "f1": np.zeros(8), "F2": small(1, 8)}
     if c.aggregate == "voting":
-        p |= {"N1": small(d, d), "n1": np.zeros(d), "N2": small(d, d)}
+        p |= {"A": small(d, 2 * d)}
+        for i in range(c.layers):
+            p |= {f"{n}{i}": near_one() for n in ("Wq", "Wk", "Wv", "Hq", "Hk", "Hv", "Wo")} | {f"N1{i}": small(d, d), f"n1{i}": np.zeros(d), f"N2{i}": small(d, d)}
     if c.aggregate == "ncf":
         p |= {"M1": small(d, 3 * d), "m1": np.zeros(d), "M2": small(1, d), "m2": np.ones((1, d))}
     for v in c.views:
@@ -69,13 +80,17 @@ def parameters(c: Config, features: int = 0) -> dict[str, np.ndarray]:
 
 
 class Unit:
-    """Vectors and lists that a unit of work pulled, by dense local numbers."""
+    """Vectors and lists that a unit of work pulled, by dense local numbers.
 
-    def __init__(self, users: dict[int, np.ndarray], items: dict[int, np.ndarray], near: dict[str, dict[int, list[int]]], features: dict[int, np.ndarray] | None = None, taste: dict[int, tuple[np.ndarray, np.ndarray]] | None = None) -> None:
+    ``near``: neighbours by view and user; ``features``: hand-made numbers of users; ``around``: mean
+    vectors of the items and of the friends of users, side by side.
+    """
+
+    def __init__(self, users: dict[int, np.ndarray], items: dict[int, np.ndarray], near: dict[str, dict[int, list[int]]], features: dict[int, np.ndarray] | None = None, around: dict[int, np.ndarray] | None = None) -> None:
         self.user_at, self.item_at = {u: i for i, u in enumerate(users)}, {v: i for i, v in enumerate(items)}
         self.U = np.array(list(users.values())) if users else np.zeros((0, 1))
         self.V = np.array(list(items.values())) if items else np.zeros((0, 1))
-        self.near, self.features, self.taste = near, features or {}, taste or {}
+        self.near, self.features, self.around = near, features or {}, around or {}
 
     def lists(self, ids: list[int], view: str) -> tuple[np.ndarray, np.ndarray]:
         rows = [[self.user_at[n] for n in self.near.get(view, {}).get(u, ()) if n in self.user_at] for u in ids]
@@ -85,18 +100,24 @@ class Unit:
         return at, mask
 
     def users(self, ids: list[int], U: Var, P: dict[str, Var], c: Config) -> Var:
-        own = U.rows(np.array([self.user_at[u] for u in ids]))
+        own = U.rows(np.array([self.user_at[u] for u in ids], np.int64))
+        if c.aggregate == "voting":
+            none = np.zeros(2 * c.d)
+            own = own + Var(np.array([self.around.get(u, none) for u in ids])) @ P["A"].T
         if not c.views:
             return own
         views = []
         for v in c.views:
             at, mask = self.lists(ids, v)
-            # the base vector stays in the view, so an untrained convolution does no harm
-            views.append(own + kn.convolve(own, U.rows(at), mask, P, v))
+            y = kn.convolve(own, U.rows(at), mask, P, v)
+            views.append(own + y if c.skip else y)
         return views[0] if len(views) == 1 else kn.mix_views(views, P["Z"])
 
-    def groups(self, groups: list[list[int]], U: Var, P: dict[str, Var], c: Config) -> tuple[Var, Var | None]:
-        """Vectors of member lists, and the weights of their members."""
+    def groups(self, groups: list[list[int]], U: Var, P: dict[str, Var], c: Config, ties: list[list[int]] | None = None) -> tuple[Var, Var | None]:
+        """Vectors of member lists, and the weights of their members.
+
+        ``ties``: for each group its tied members, pair after pair (voting listens along ties only).
+        """
         groups = [[u for u in g if u in self.user_at] for g in groups]
         ids = sorted({u for g in groups for u in g})
         local = {u: i for i, u in enumerate(ids)}
@@ -114,18 +135,20 @@ class Unit:
             w = softmax(score.rows(at).reshape(b, n), mask)
         else:
             pair = mask[:, None, :] & mask[:, :, None]
-            if c.aggregate == "voting":  # members listen to those they are tied to, and to themselves
-                tied = {u: set(self.near.get("ties", {}).get(u, ())) for u in ids}
-                for i, g in enumerate(groups):
-                    pair[i, : len(g), : len(g)] &= np.array([[a == o or o in tied[a] for o in g] for a in g]).reshape(len(g), len(g))
-            q, k, v = ((x @ P[f"W{s}"].T) @ P[f"H{s}"].T for s in "qkv")
-            h, e = c.heads, d // c.heads
-            split = lambda y: y.reshape(b, n, h, e).swap(1, 2)
-            s = softmax((split(q) @ split(k).T) * (1 / np.sqrt(d)), pair[:, None])
-            o = (s @ split(v)).swap(1, 2).reshape(b, n, d) @ P["Wo"].T
             if c.aggregate == "voting":
-                o = o + x
-                o = o + relu(o @ P["N1"].T + P["n1"]) @ P["N2"].T
+                tied = np.zeros_like(pair)
+                tied[:, np.arange(n), np.arange(n)] = mask
+                for i, (g, flat) in enumerate(zip(groups, ties or [[]] * len(groups), strict=True)):
+                    place = {u: k for k, u in enumerate(g)}
+                    for p, q in zip(flat[::2], flat[1::2], strict=True):
+                        if p in place and q in place:
+                            tied[i, place[p], place[q]] = True
+                o = x
+                for layer in range(c.layers):
+                    o = o + kn.masked_heads(o, tied, {k: P[f"{k}{layer}"] for k in ("Wq", "Wk", "Wv", "Hq", "Hk", "Hv", "Wo")}, c.heads)
+                    o = o + relu(o @ P[f"N1{layer}"].T + P[f"n1{layer}"]) @ P[f"N2{layer}"].T
+            else:
+                o = kn.masked_heads(x, pair, P, c.heads)
             g, w = kn.attentive_pool(o, mask, P, over=c.over if c.aggregate == "attention" else "input")
             if c.aggregate == "metric":
                 return (w.reshape(b, 1, n) @ x).reshape(b, d), w
@@ -155,25 +178,46 @@ def loss_of(pos: Var, neg: Var, c: Config) -> Var:
     return -(log_sigmoid(pos).sum() + log_sigmoid(-neg).sum())
 
 
-def train_unit(unit: Unit, examples: dict[str, list], P: dict[str, np.ndarray], c: Config, stage: str, rng: np.random.Generator, noise: np.ndarray) -> tuple[np.ndarray, np.ndarray, dict, float]:
-    """Local epochs over a unit's examples; returns what changed. ``noise``: mass of each local item."""
+@dataclass
+class Example:
+    """A positive: members (one for a user edge), item, weight, and what was drawn for a group.
+
+    ``touched``: items that the members touched, drawn by popularity; ``share``: the part of the noise
+    that touched items hold; ``ties``: tied members, pair after pair.
+    """
+
+    members: list[int]
+    item: int
+    w: float = 1.0
+    touched: list[int] | None = None
+    share: float = 0.0
+    ties: list[int] | None = None
+
+
+def draw(kind: str, part: list[Example], pools: dict[str, np.ndarray], unit: Unit, c: Config, rng: np.random.Generator) -> np.ndarray:
+    """Local numbers of ``m`` negatives a positive, from the draws that the unit got."""
+    neg = rng.choice(pools[kind], (len(part), c.m))
+    if kind == "g" and c.negatives == "group":  # sparse mixture: touched items by popularity, the others evenly
+        for i, e in enumerate(part):
+            if e.touched:
+                hit = rng.random(c.m) < e.share
+                neg[i, hit] = [unit.item_at[x] for x in rng.choice(e.touched, int(hit.sum()))]
+    return neg
+
+
+def train_unit(unit: Unit, examples: dict[str, list[Example]], P: dict[str, np.ndarray], c: Config, stage: str, rng: np.random.Generator, pools: dict[str, np.ndarray]) -> tuple[np.ndarray, np.ndarray, dict, float]:
+    """Local epochs over a unit's examples; returns what changed. ``pools``: local numbers of drawn items."""
     U, V = unit.U.copy(), unit.V.copy()
     params = {k: v.copy() for k, v in P.items()}
     start = {k: v.copy() for k, v in P.items()}
     acc = {k: np.full_like(v, 1e-2) for k, v in params.items()} | {"U": np.full_like(U, 1e-2), "V": np.full_like(V, 1e-2)}
-    cdf = np.cumsum(noise / noise.sum())
     total, steps = 0.0, 0
-    known = np.array(list(unit.item_at), np.int64)
-    order = np.argsort(known)
-
-    def sparse(row) -> tuple[np.ndarray, np.ndarray, float]:
-        """Local numbers of the items that members touched, their running mass, and the mass of the others."""
-        own = [unit.taste[u] for u in row[0] if u in unit.taste]
-        t, at = np.unique(np.concatenate([x for x, _ in own]), return_inverse=True) if own else (known[:0], known[:0])
-        pop = np.bincount(at, np.concatenate([x for _, x in own])) if own else np.zeros(0)
-        at = order[np.minimum(np.searchsorted(known, t, sorter=order), len(known) - 1)] if len(t) else t
-        ok = known[at] == t
-        return at[ok], np.cumsum((pop[ok] + c.gamma) ** 0.75), (len(V) - int(ok.sum())) * c.gamma**0.75
+    run = {k: np.cumsum([e.w for e in rows]) for k, rows in examples.items() if rows}
+    pick = np.zeros((1 + c.m, 1))
+    pick[0] = 1
+    rest = np.eye(1 + c.m)[:, 1:]
+    # the influence baseline learns its weights on vectors that the first stage has fixed
+    frozen = c.aggregate == "influence" and stage == "group"
 
     n_g, n_u = len(examples["g"]), len(examples["u"])
     for _ in range(c.local):
@@ -190,34 +234,24 @@ def train_unit(unit: Unit, examples: dict[str, list], P: dict[str, np.ndarray],
             rows = examples[kind]
             if not rows:
                 continue
-            part = [rows[i] for i in rng.integers(0, len(rows), c.batch)]
+            # edges are drawn in proportion to their weight
+            part = [rows[i] for i in np.searchsorted(run[kind], rng.random(c.batch) * run[kind][-1], side="right").clip(0, len(rows) - 1)]
             Uv, Vv, Pv = Var(U), Var(V), {k: Var(v) for k, v in params.items()}
             if kind == "g":
-                g, _ = unit.groups([r[0] for r in part], Uv, Pv, c)
+                g, _ = unit.groups([e.members for e in part], Uv, Pv, c, [e.ties or [] for e in part])
             else:
-                ids = [r[0][0] for r in part]
+                ids = [e.members[0] for e in part]
                 uniq = sorted(set(ids))
                 at = {u: i for i, u in enumerate(uniq)}
                 g = unit.users(uniq, Uv, Pv, c).rows(np.array([at[u] for u in ids]))
-            pos = np.array([unit.item_at[r[1]] for r in part])
-            neg = np.minimum(np.searchsorted(cdf, rng.random((len(part), c.m))), len(V) - 1)
-            if kind == "g" and c.negatives == "group":  # sparse mixture: touched items by popularity, the others evenly
-                for i, r in enumerate(part):
-                    at, run, rest = sparse(r)
-                    top = run[-1] if len(run) else 0.0
-                    u = rng.random(c.m) * (top + rest)
-                    hit = u < top
-                    if hit.any():
-                        neg[i, hit] = at[np.minimum(np.searchsorted(run, u[hit], side="right"), len(at) - 1)]
-                    neg[i, ~hit] = rng.integers(0, len(V), (~hit).sum())
+            pos = np.array([unit.item_at[e.item] for e in part])
+            neg = draw(kind, part, pools, unit, c, rng)
             s = pair_scores(g, Vv.rows(np.concatenate([pos[:, None], neg], 1)), Pv, c)
-            pick = np.zeros((1 + c.m, 1))
-            pick[0] = 1
-            loss = loss_of(s @ pick, s @ np.eye(1 + c.m)[:, 1:], c) * (1 / len(part))
+            loss = loss_of(s @ pick, s @ rest, c) * (1 / len(part))
             loss.backward()
             total, steps = total + float(loss.data), steps + 1
             for name, value, grad in [("U", U, Uv.grad), ("V", V, Vv.grad), *((k, params[k], Pv[k].grad) for k in params)]:
-                if grad is not None:
+                if grad is not None and not (frozen and name in "UV"):
                     acc[name] += grad**2
                     value -= (c.lr if name in "UV" else c.lr * c.dense) * grad / np.sqrt(acc[name])
             if c.aggregate == "metric":
@@ -226,4 +260,4 @@ def train_unit(unit: Unit, examples: dict[str, list], P: dict[str, np.ndarray],
     return U - unit.U, V - unit.V, {k: params[k] - start[k] for k in params}, total / max(1, steps)
 
 
-__all__ = ["Config", "Unit", "exp", "loss_of", "pair_scores", "parameters", "stack", "train_unit"]
+__all__ = ["Config", "Example", "Unit", "draw", "exp", "loss_of", "pair_scores", "parameters", "stack", "train_unit"]

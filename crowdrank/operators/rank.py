@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from crowdrank.operators.represent import blocked, dot
@@ -95,10 +95,11 @@ def topn_lsh(groups: DataFrame, items: DataFrame, n: int = 10, bucket: float = 1
     return _ranked(near.select(F.col("datasetA.group_key").alias("group_key"), F.col("datasetB.item_id").alias("item_id"), dot("datasetA.vec", "datasetB.vec").alias("score")), n)
 
 
-def truth_rank_blocks(truth: DataFrame, groups: DataFrame, items: DataFrame, seen: DataFrame | None = None, score=None) -> DataFrame:
+def truth_rank_blocks(truth: DataFrame, groups: DataFrame, items: DataFrame, seen: DataFrame | None = None, score=None, ragged: bool = False) -> DataFrame:
     """``group_key, item_id, rnk, candidates`` from vectors: each item block counts what beats the truth.
 
-    ``score``: a function of two matrices; the product of vectors if not given.
+    ``score``: a function of two matrices; the product of vectors if not given. ``ragged``: groups are
+    lists of different lengths, which only ``score`` understands.
     """
     score = score or (lambda g, v: g @ v.T)
     own = truth.select("group_key", "item_id").distinct().join(items.select(F.col("id").alias("item_id"), F.col("vec").alias("own")), "item_id")
@@ -109,7 +110,8 @@ def truth_rank_blocks(truth: DataFrame, groups: DataFrame, items: DataFrame, see
         above = candidates = np.zeros(a.num_rows, np.int64)
         if a.num_rows and b.num_rows:
             ids, v = b["id"].to_numpy(), np.array(b["vec"].to_pylist())
-            g, own = np.array(a["vec"].to_pylist()), np.array(a["own"].to_pylist())
+            g, own = a["vec"].to_pylist(), np.array(a["own"].to_pylist())
+            g = g if ragged else np.array(g)
             s = score(g, v)
             t, o = a["item_id"].to_numpy(), np.array([score(g[i : i + 1], own[i : i + 1])[0, 0] for i in range(len(g))])
             place = {q: i for i, q in enumerate(ids.tolist())}
@@ -150,14 +152,36 @@ def static_rank(membership: DataFrame, users: DataFrame, items: DataFrame, how:
     return x.groupBy("lb", "rb").cogroup(y.groupBy("lb", "rb")).applyInArrow(run, "group_key string, item_id long, score double")
 
 
+def static_truth_rank(truth: DataFrame, membership: DataFrame, users: DataFrame, items: DataFrame, how: str = "avg", seen: DataFrame | None = None) -> DataFrame:
+    """Ranks of the truth by an aggregate of member scores, counted block by block.
+
+    No row a group and item is written: each block of items counts what beats the truth.
+    """
+    from crowdrank.operators.represent import gather
+
+    groups = gather(membership, users).select("group_key", F.flatten("vecs").alias("vec"))
+
+    def score(g, v: np.ndarray) -> np.ndarray:
+        d = v.shape[1]
+        rows = [np.asarray(x).reshape(-1, d) @ v.T for x in g]
+        return np.array([getattr(r, {"avg": "mean", "min": "min", "max": "max"}[how])(axis=0) for r in rows]).reshape(len(g), len(v))
+
+    return truth_rank_blocks(truth, groups, items, seen=seen, score=score, ragged=True)
+
+
 def popularity_vectors(uv: DataFrame, groups: DataFrame) -> tuple[DataFrame, DataFrame]:
     """Popularity as one-component vectors, so that it ranks through the same operators."""
     items = uv.groupBy(F.col("item_id").alias("id")).agg(F.array(F.sum("w")).alias("vec"))
     return groups.select("group_key").distinct().withColumn("vec", F.array(F.lit(1.0))), items
 
 
-def random_vectors(uv: DataFrame, groups: DataFrame, d: int = 8, seed: int = 0) -> tuple[DataFrame, DataFrame]:
-    """Random scores as products of hashed vectors."""
-    noise = lambda key: F.transform(F.sequence(F.lit(1), F.lit(d)), lambda k: F.pmod(F.xxhash64(key, k, F.lit(seed)), F.lit(1 << 30)) / float(1 << 30) - 0.5)
-    items = uv.select(F.col("item_id").alias("id")).distinct().withColumn("vec", noise("id"))
-    return groups.select("group_key").distinct().withColumn("vec", noise("group_key")), items
+def hashed(number: Column, salt: int, d: int) -> Column:
+    """A vector of reproducible numbers around 0 in plain integer arithmetic."""
+    return F.transform(F.sequence(F.lit(0), F.lit(d - 1)), lambda k: F.pmod(number * 7919 + k * 104729 + F.lit(salt * 1299709), F.lit(1000003)) / 1000003.0 - 0.5)
+
+
+def random_vectors(uv: DataFrame, membership: DataFrame, d: int = 8, salt: int = 61) -> tuple[DataFrame, DataFrame]:
+    """Random scores as products of hashed vectors; a group's number comes from its members."""
+    number = F.pmod(F.sum(F.col("user_id") * 31 + 17), F.lit(1000003))
+    groups = membership.groupBy("group_key").agg(number.alias("n")).select("group_key", hashed(F.col("n"), salt, d).alias("vec"))
+    return groups, uv.select(F.col("item_id").alias("id")).distinct().select("id", hashed(F.col("id"), salt + 1, d).alias("vec"))

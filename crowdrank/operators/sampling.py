@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
-def _ranges(mass: DataFrame) -> DataFrame:
+def ranges(mass: DataFrame) -> DataFrame:
     """``item_id, mass, p, lo, hi``: cumulative shares in item order.
 
     Blocks of ids are summed first, so the running total over blocks is short and each block adds its
@@ -24,11 +24,11 @@ def _ranges(mass: DataFrame) -> DataFrame:
 
 
 def degree_noise(edges: DataFrame, power: float = 0.75) -> DataFrame:
-    return _ranges(edges.groupBy("item_id").agg(F.pow(F.sum("w"), F.lit(power)).alias("mass")))
+    return ranges(edges.groupBy("item_id").agg(F.pow(F.sum("w"), F.lit(power)).alias("mass")))
 
 
 def uniform_noise(edges: DataFrame) -> DataFrame:
-    return _ranges(edges.select("item_id").distinct().withColumn("mass", F.lit(1.0)))
+    return ranges(edges.select("item_id").distinct().withColumn("mass", F.lit(1.0)))
 
 
 def group_aware_noise(membership: DataFrame, uv: DataFrame, gamma: float = 1.0, power: float = 0.75) -> DataFrame:
@@ -51,16 +51,47 @@ def unit(a: Column, b: Column, c: Column) -> Column:
     return (F.pmod(a * 7919 + b * 104729 + c * 1299709, F.lit(1000003)) + 0.5) / 1000003.0
 
 
-def draw_negatives(pos: DataFrame, noise: DataFrame, m: int, seed: int = 0, buckets: int = 64) -> DataFrame:
+def hashed_unit(*ids: Column) -> Column:
+    """The same from 53 bits of a hash: even an item with a tiny share can be drawn."""
+    return (F.shiftrightunsigned(F.xxhash64(*ids), 11) + 0.5) / float(1 << 53)
+
+
+def cells(noise: DataFrame, n: int) -> DataFrame:
+    """``cell, neg, lo, hi``: the unit interval in ``n`` cells, each with the items that reach into it.
+
+    An item stands in as many cells as its share covers, so there are at most ``n`` rows more than items.
+    """
+    rows = noise.select(F.col("item_id").alias("neg"), F.round("lo", 12).alias("lo"), F.round("hi", 12).alias("hi"))
+    at = lambda c: F.least(F.lit(n - 1), F.floor(F.col(c) * n).cast("long"))
+    return rows.withColumn("cell", F.explode(F.sequence(at("lo"), at("hi"))))
+
+
+def look_up(draws: DataFrame, noise: DataFrame, u: str = "u", items_a_cell: int = 16) -> DataFrame:
+    """Adds ``neg`` to rows with a number ``u`` in (0, 1): an equi-join on cells with a short check.
+
+    Cells grow with the number of items, so each holds about ``items_a_cell`` of even share.
+    """
+    n = max(1, noise.count() // items_a_cell)
+    q = draws.withColumn("cell", F.floor(F.col(u) * n).cast("long"))
+    return q.join(cells(noise, n), "cell").filter((F.col(u) >= F.col("lo")) & (F.col(u) < F.col("hi"))).drop("cell", "lo", "hi")
+
+
+def draw_negatives(pos: DataFrame, noise: DataFrame, m: int, seed: int = 0, observed: DataFrame | None = None, tries: int = 8) -> DataFrame:
     """``m`` draws a positive (columns ``user_id, pos``): adds ``slot, neg``.
 
-    The unit interval is cut into buckets, so the range lookup is an equi-join with a short check.
+    With ``observed`` (``user_id, item_id``) a draw that the user has touched is drawn again, up to
+    ``tries`` times; one that still hits stays, as a user may have touched everything.
     """
-    q = pos.withColumn("slot", F.explode(F.sequence(F.lit(0), F.lit(m - 1)))).withColumn("u", unit(F.col("user_id"), F.col("pos"), F.col("slot") + seed * m))
-    q = q.withColumn("cell", F.floor(F.col("u") * buckets).cast("int"))
-    n = noise.select(F.col("item_id").alias("neg"), F.round("lo", 12).alias("lo"), F.round("hi", 12).alias("hi"))
-    n = n.withColumn("cell", F.explode(F.sequence(F.floor(F.col("lo") * buckets).cast("int"), F.least(F.lit(buckets - 1), F.floor(F.col("hi") * buckets).cast("int")))))
-    return q.join(n, "cell").filter("u >= lo AND u < hi").drop("cell", "lo", "hi", "u")
+    q = pos.withColumn("slot", F.explode(F.sequence(F.lit(0), F.lit(m - 1))))
+    draw = lambda k: unit(F.col("user_id"), F.col("pos"), F.col("slot") + (seed + k) * m)
+    if observed is None:
+        return look_up(q.withColumn("u", draw(F.lit(0))), noise).drop("u")
+    wide = q.withColumn("k", F.explode(F.sequence(F.lit(0), F.lit(tries - 1)))).withColumn("u", draw(F.col("k")))
+    drawn = look_up(wide, noise).drop("u")
+    seen = observed.select("user_id", F.col("item_id").alias("neg"), F.lit(1).alias("hit")).distinct()
+    marked = drawn.join(seen, ["user_id", "neg"], "left").withColumn("hit", F.coalesce("hit", F.lit(0)))
+    best = marked.groupBy(*pos.columns, "slot").agg(F.min(F.struct("hit", "k", "neg")).alias("b"))
+    return best.select(*pos.columns, "slot", "b.neg")
 
 
 def noise_report(noise: DataFrame, popularity: DataFrame) -> DataFrame:

@@ -86,7 +86,13 @@ def _(spark, d):
     return g.mine_groups(log, uu, [F.col("item_id"), F.date_trunc("quarter", "ts").alias("bucket")], mode="pairwise").select("group_key", "item_id", "ts")
 
 
-@query("groups_clique_w3")
+CLIQUES = full("w3") + """, adj AS (SELECT item_id, bucket, a AS u, list(DISTINCT b) AS ns FROM pr GROUP BY ALL),
+cq AS (SELECT item_id, bucket, [u] AS members FROM adj UNION ALL SELECT c.item_id, c.bucket, list_append(c.members, j.u) FROM cq c JOIN adj j ON j.item_id = c.item_id AND j.bucket = c.bucket AND j.u > c.members[-1] AND list_has_all(j.ns, c.members)),
+mx AS (SELECT * FROM cq c WHERE len(members) >= 2 AND NOT EXISTS (SELECT 1 FROM adj j WHERE j.item_id = c.item_id AND j.bucket = c.bucket AND NOT list_contains(c.members, j.u) AND list_has_all(j.ns, c.members)))
+SELECT array_to_string(members, '-') AS group_key, m.item_id, max(cell.ts) AS ts FROM mx m JOIN cell ON cell.item_id = m.item_id AND cell.bucket = m.bucket AND list_contains(m.members, cell.user_id) GROUP BY m.item_id, m.bucket, m.members"""
+
+
+@query("groups_clique_w3", CLIQUES)
 def _(spark, d):
     from crowdrank.sources.workloads import touches
 
@@ -144,6 +150,16 @@ def _(spark, d):
     return g.cold_flags(sp.filter("split = 'test'"), sp.filter("split <> 'test'"))
 
 
+@query("cold_members", full("w2")[:-1] + SPLIT + ", m AS (SELECT DISTINCT group_key, unnest(members) AS user_id FROM rec), kn AS (SELECT DISTINCT user_id FROM m WHERE group_key IN (SELECT group_key FROM sp WHERE split <> 'test')) SELECT group_key, count(*) AS members, count(*) FILTER (user_id NOT IN (SELECT user_id FROM kn)) AS new_members FROM m WHERE group_key IN (SELECT group_key FROM sp WHERE split = 'test') GROUP BY 1")
+def _(spark, d):
+    """Members of test groups without any group history."""
+    from crowdrank.operators.evaluate import time_split
+
+    w = teams(spark, d)
+    sp = time_split(w.gv, exact=True).join(g.canonical_groups(w.records).select("group_key", "members"), "group_key")
+    return g.cold_members(sp.filter("split = 'test'"), sp.filter("split <> 'test'"))
+
+
 # --- centralities
 
 
@@ -198,19 +214,46 @@ def _(spark, d):
     return g.centrality_betweenness(_small(spark, d)).withColumn("score", F.round("score", 4))
 
 
-@query("betweenness_pivots")
+PICKED = ", pick AS (SELECT src AS id FROM (SELECT DISTINCT src FROM uu) ORDER BY (src * 7919 + 1299709) % 1000003, src LIMIT 16)"
+
+
+@query("betweenness_pivots", SIGMA + PICKED + """, st AS (SELECT a.s, a.v AS t, b.v AS u, a.sigma AS total, b.sigma * c.sigma AS through FROM sg a JOIN pick ON pick.id = a.s JOIN sg b ON b.s = a.s AND b.v <> a.s AND b.v <> a.v JOIN sg c ON c.s = a.v AND c.v = b.v AND b.dist + c.dist = a.dist)
+ SELECT n.src AS user_id, round(coalesce(x.b, 0) * (SELECT count(DISTINCT src) FROM uu) / (SELECT count(*) FROM pick), 3) AS score FROM (SELECT DISTINCT src FROM uu) n LEFT JOIN (SELECT u, sum(through / total) / 2 AS b FROM st GROUP BY u) x ON x.u = n.src""")
+def _(spark, d):
+    """Sixteen sources instead of all; on smaller graphs every node is one."""
+    uu = _small(spark, d)
+    return g.centrality_betweenness(uu, pivots=min(16, uu.select("src").distinct().count())).withColumn("score", F.round("score", 3))
+
+
+def landmark_sql(graph: str) -> str:
+    return graph + PICKED + ", walk AS (SELECT id AS s, id AS v, 0 AS dist FROM pick UNION SELECT s, uu.dst, dist + 1 FROM walk JOIN uu ON uu.src = walk.v WHERE dist < 12), lv AS (SELECT s, v, min(dist) AS dist FROM walk GROUP BY 1, 2), c AS (SELECT v, count(*) AS n, sum(dist) AS total FROM lv WHERE dist > 0 GROUP BY 1) SELECT src AS user_id, round(coalesce(n / total * n / 16.0, 0), 6) AS score FROM (SELECT DISTINCT src FROM uu) LEFT JOIN c ON c.v = src"
+
+
+@query("closeness_landmarks", landmark_sql("WITH RECURSIVE " + SMALL))
 def _(spark, d):
-    return g.centrality_betweenness(_small(spark, d), pivots=16)
+    return g.centrality_closeness(_small(spark, d), landmarks=16).withColumn("score", F.round("score", 6))
+
+
+@query("closeness_landmarks_w1", landmark_sql("WITH RECURSIVE " + W1))
+def _(spark, d):
+    """Landmarks keep closeness affordable on the whole social network of the crowds."""
+    return g.centrality_closeness(g.store(crowds(spark, d).uu), landmarks=16).withColumn("score", F.round("score", 6))
+
+
+HARMONIC = BFS + " SELECT s AS user_id, round(sum(CASE WHEN dist > 0 THEN 1.0 / dist ELSE 0 END), 6) AS score"
 
 
-@query("closeness_landmarks")
+@query("harmonic_small", HARMONIC + " FROM lv GROUP BY 1")
 def _(spark, d):
-    return g.centrality_closeness(_small(spark, d), landmarks=16)
+    return g.centrality_harmonic(_small(spark, d)).withColumn("score", F.round("score", 6))
 
 
-@query("closeness_sketch")
+@query("closeness_sketch", HARMONIC + ", TRUE AS within FROM lv GROUP BY 1")
 def _(spark, d):
-    return g.centrality_closeness_sketch(_small(spark, d))
+    """The sketched sum against the exact one: within a twentieth for every user."""
+    uu = _small(spark, d)
+    both = g.centrality_harmonic(uu).join(g.centrality_closeness_sketch(uu).withColumnRenamed("score", "sketched"), "user_id")
+    return both.select("user_id", F.round("score", 6).alias("score"), (F.abs(F.col("sketched") - F.col("score")) <= 0.05 * F.col("score") + 1e-9).alias("within"))
 
 
 @query("top_neighbours_degree", "WITH " + W1 + ", sc AS (SELECT src AS user_id, count(*)::DOUBLE AS score FROM uu GROUP BY 1) SELECT * FROM (SELECT src AS user_id, row_number() OVER (PARTITION BY src ORDER BY score DESC, dst)::INT AS rnk, dst AS nbr, score FROM uu JOIN sc ON sc.user_id = dst) WHERE rnk <= 4")
@@ -231,19 +274,33 @@ def _(spark, d):
     return g.sample_neighbours(crowds(spark, d).uu, 4, seed=1)
 
 
-@query("random_walks")
+WALKS = "WITH " + SMALL + " SELECT src, walk::INT AS walk, 6::INT AS nodes, TRUE AS along_ties FROM (SELECT DISTINCT src FROM uu) CROSS JOIN (SELECT unnest(range(1, 3)) AS walk)"
+
+
+def walk_checks(uu, walks):
+    """Length of each walk, and whether each of its steps is a tie."""
+    steps = walks.select("src", "walk", "path", F.posexplode(F.slice("path", 1, 5)).alias("i", "a")).select("src", "walk", F.col("a").alias("x"), F.element_at("path", F.col("i") + 2).alias("y"))
+    ties = uu.select(F.col("src").alias("x"), F.col("dst").alias("y"), F.lit(1).alias("tie"))
+    checked = steps.join(ties, ["x", "y"], "left").groupBy("src", "walk").agg(F.count("tie").alias("ties"))
+    return walks.join(checked, ["src", "walk"]).select("src", "walk", F.size("path").alias("nodes"), (F.col("ties") == 5).alias("along_ties"))
+
+
+@query("random_walks", WALKS)
 def _(spark, d):
-    return g.walk_corpus(_small(spark, d), length=6)
+    uu = _small(spark, d)
+    return walk_checks(uu, g.store(g.walk_corpus(uu, length=6)))
 
 
-@query("biased_walks")
+@query("biased_walks", WALKS)
 def _(spark, d):
-    return g.walk_corpus(_small(spark, d), length=6, p=0.5, q=2.0)
+    uu = _small(spark, d)
+    return walk_checks(uu, g.store(g.walk_corpus(uu, length=6, p=0.5, q=2.0)))
 
 
-@query("walk_embedding")
+@query("walk_embedding", "WITH " + SMALL + " SELECT DISTINCT src AS user_id, 8::INT AS d, TRUE AS finite FROM uu")
 def _(spark, d):
-    return g.walk_embedding(g.walk_corpus(_small(spark, d), length=6), d=8)
+    v = g.walk_embedding(g.walk_corpus(_small(spark, d), length=6), d=8)
+    return v.select("user_id", F.size("vec").alias("d"), F.forall("vec", lambda x: ~F.isnan(x) & (F.abs(x) < 1e9)).alias("finite"))
 
 
 # --- noise distributions
@@ -284,23 +341,25 @@ def _(spark, d):
     return s.noise_report(s.degree_noise(uv), g.degrees(uv, "item_id"))
 
 
-DRAWS = uv_of("w2")[:-1] + ", m AS (SELECT item_id, pow(sum(w), 0.75) AS mass FROM uv GROUP BY 1), ns AS (SELECT item_id, round(coalesce(lag(c) OVER (ORDER BY item_id), 0), 12) AS lo, round(c, 12) AS hi FROM (SELECT item_id, sum(mass) OVER (ORDER BY item_id) / sum(mass) OVER () AS c FROM m)), q AS (SELECT user_id, item_id AS pos, slot, ((user_id * 7919 + item_id * 104729 + slot * 1299709) % 1000003 + 0.5) / 1000003.0 AS u FROM uv, (SELECT unnest(range(0, 2)) AS slot) WHERE user_id < 20) SELECT q.user_id, q.pos, q.slot::INT AS slot, ns.item_id AS neg FROM q JOIN ns ON q.u >= ns.lo AND q.u < ns.hi"
+DRAWS = uv_of("w2")[:-1] + ", m AS (SELECT item_id, pow(sum(w), 0.75) AS mass FROM uv GROUP BY 1), ns AS (SELECT item_id, round(coalesce(lag(c) OVER (ORDER BY item_id), 0), 12) AS lo, round(c, 12) AS hi FROM (SELECT item_id, sum(mass) OVER (ORDER BY item_id) / sum(mass) OVER () AS c FROM m)), q AS (SELECT user_id, item_id AS pos, slot, ((user_id * 7919 + item_id * 104729 + slot * 1299709) % 1000003 + 0.5) / 1000003.0 AS u FROM uv, (SELECT unnest(range(0, 2)) AS slot)) SELECT q.user_id, q.pos, q.slot::INT AS slot, ns.item_id AS neg FROM q JOIN ns ON q.u >= ns.lo AND q.u < ns.hi"
 
 
 @query("negatives_drawn", DRAWS)
 def _(spark, d):
     uv = teams(spark, d).uv
-    pos = uv.filter("user_id < 20").select("user_id", F.col("item_id").alias("pos"))
-    return s.draw_negatives(pos, s.degree_noise(uv), 2).select("user_id", "pos", "slot", "neg")
+    return s.draw_negatives(uv.select("user_id", F.col("item_id").alias("pos")), s.degree_noise(uv), 2).select("user_id", "pos", "slot", "neg")
 
 
-DRAWS_ALL = DRAWS.replace(" WHERE user_id < 20)", ")")
+UNSEEN = DRAWS[: DRAWS.rindex(", q AS (")] + """, q AS (SELECT user_id, item_id AS pos, slot, k, ((user_id * 7919 + item_id * 104729 + (slot + k * 2) * 1299709) % 1000003 + 0.5) / 1000003.0 AS u FROM uv, (SELECT unnest(range(0, 2)) AS slot), (SELECT unnest(range(0, 4)) AS k)),
+dr AS (SELECT q.user_id, q.pos, q.slot, q.k, ns.item_id AS neg, CASE WHEN EXISTS (SELECT 1 FROM uv o WHERE o.user_id = q.user_id AND o.item_id = ns.item_id) THEN 1 ELSE 0 END AS hit FROM q JOIN ns ON q.u >= ns.lo AND q.u < ns.hi)
+SELECT user_id, pos, slot::INT AS slot, neg FROM dr QUALIFY row_number() OVER (PARTITION BY user_id, pos, slot ORDER BY hit, k) = 1"""
 
 
-@query("negatives_drawn_all", DRAWS_ALL)
+@query("negatives_unobserved", UNSEEN)
 def _(spark, d):
+    """Draws that a user has touched are drawn again."""
     uv = teams(spark, d).uv
-    return s.draw_negatives(uv.select("user_id", F.col("item_id").alias("pos")), s.degree_noise(uv), 2).select("user_id", "pos", "slot", "neg")
+    return s.draw_negatives(uv.select("user_id", F.col("item_id").alias("pos")), s.degree_noise(uv), 2, observed=uv, tries=4).select("user_id", "pos", "slot", "neg")
 
 
 @query("softmax_groups_window", full("w2") + ", x AS (SELECT group_key, user_id, (user_id % 7)::DOUBLE AS i FROM mem) SELECT group_key, user_id, round(exp(i - max(i) OVER p) / sum(exp(i)) OVER p * exp(max(i) OVER p), 9) AS weight FROM x WINDOW p AS (PARTITION BY group_key)")

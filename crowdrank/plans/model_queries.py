@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from crowdrank.functions import kernels as kn
@@ -136,22 +137,22 @@ def _(spark, d):
 
 # --- users: convolution and view mixing
 
-NEAR = uv_of("w2")[:-1] + f", {KS}, sc AS (SELECT src AS user_id, count(*)::DOUBLE AS score FROM uu GROUP BY 1), nb AS (SELECT * FROM (SELECT src AS u, dst AS n, row_number() OVER (PARTITION BY src ORDER BY score DESC, dst) AS r, score FROM uu JOIN sc ON sc.user_id = dst) WHERE r <= 4), us AS (SELECT DISTINCT s_suppkey AS u FROM supplier)"
+#: Ranked neighbours of the users ``us``, and their convolution, as CTEs over ``uu`` and ``ks``.
+NEAR = "deg AS (SELECT src AS user_id, count(*)::DOUBLE AS score FROM uu GROUP BY 1), nb AS (SELECT * FROM (SELECT src AS u, dst AS n, row_number() OVER (PARTITION BY src ORDER BY score DESC, dst) AS r, score FROM uu JOIN deg ON deg.user_id = dst) WHERE r <= 4)"
 
 
 def conv(agg: str) -> str:
-    return NEAR + f""", rr AS (SELECT nb.u, nb.n, nb.score, i.k AS k, greatest(0, sum({pp('nb.n', 'j.k', 1)} * {pp('i.k', 'j.k', 21)}) + any_value({pp('0', 'i.k', 22)})) AS r FROM nb CROSS JOIN ks i CROSS JOIN ks j GROUP BY nb.u, nb.n, nb.score, i.k),
+    return f"""{NEAR}, rr AS (SELECT nb.u, nb.n, nb.score, i.k AS k, greatest(0, sum({pp('nb.n', 'j.k', 1)} * {pp('i.k', 'j.k', 21)}) + any_value({pp('0', 'i.k', 22)})) AS r FROM nb CROSS JOIN ks i CROSS JOIN ks j GROUP BY nb.u, nb.n, nb.score, i.k),
 hh AS (SELECT u, k, {agg} AS h FROM rr GROUP BY u, k),
 inp AS (SELECT u, k, {pp('u', 'k', 1)} AS x FROM us CROSS JOIN ks UNION ALL SELECT us.u, k + {D}, coalesce(h, 0) FROM us CROSS JOIN ks LEFT JOIN hh USING (u, k)),
-yy AS (SELECT u, i.k AS k, greatest(0, sum(x * {pp('i.k', 'inp.k', 23)}) + any_value({pp('0', 'i.k', 24)})) AS y FROM inp CROSS JOIN ks i GROUP BY u, i.k)
-SELECT u AS user_id, k::INT AS k, round(y / greatest(sqrt(sum(y * y) OVER (PARTITION BY u)), 1e-300), 6) + 0.0 AS x FROM yy"""
+yy AS (SELECT u, i.k AS k, greatest(0, sum(x * {pp('i.k', 'inp.k', 23)}) + any_value({pp('0', 'i.k', 24)})) AS y FROM inp CROSS JOIN ks i GROUP BY u, i.k),
+ux AS (SELECT u, k, y / greatest(sqrt(sum(y * y) OVER (PARTITION BY u)), 1e-300) AS x FROM yy)"""
 
 
-def convolved(spark, d, pool: str):
-    sup = spark.read.parquet(f"{d}/supplier.parquet").select(F.col("s_suppkey").alias("id"))
-    uu = teams(spark, d).uu
+def convolved(ids, uu, pool: str = "mean"):
+    """``id, vec`` of pseudo vectors after one convolution over ranked neighbours."""
     near = g.top_neighbours(uu, g.centrality_degree(uu), 4)
-    own = vectors(sup, 1)
+    own = vectors(ids, 1)
     gathered = near.join(own.withColumnRenamed("id", "nbr"), "nbr").groupBy(F.col("user_id").alias("id")).agg(F.array_sort(F.collect_list(F.struct("rnk", "vec", "score"))).alias("s"))
     rows = own.join(gathered, "id", "left").select("id", "vec", F.coalesce("s.vec", F.array().cast("array<array<double>>")).alias("vecs"), F.coalesce("s.score", F.array().cast("array<double>")).alias("scores"))
 
@@ -165,11 +166,17 @@ def convolved(spark, d, pool: str):
             y = kn.convolve(Var(np.array(b.column("vec").to_pylist()).reshape(-1, D)), Var(near), mask, PARAMS, "0", pool, scores)
             yield pa.RecordBatch.from_arrays([b.column("id"), pa.array(y.data.tolist(), pa.list_(pa.float64()))], ["id", "vec"])
 
-    return rp.exploded(rows.mapInArrow(run, "id long, vec array<double>").withColumnRenamed("id", "user_id"), "user_id")
+    return rows.mapInArrow(run, "id long, vec array<double>")
+
+
+def convolved_teams(spark, d, pool: str):
+    sup = spark.read.parquet(f"{d}/supplier.parquet").select(F.col("s_suppkey").alias("id"))
+    return rp.exploded(convolved(sup, teams(spark, d).uu, pool).withColumnRenamed("id", "user_id"), "user_id")
 
 
+CONV = uv_of("w2")[:-1] + f", {KS}, us AS (SELECT DISTINCT s_suppkey AS u FROM supplier), "
 for _pool, _agg in (("mean", "avg(r)"), ("weighted", "sum(r * score) / sum(score)"), ("max", "max(r)")):
-    query(f"convolve_{_pool}", conv(_agg))(lambda spark, d, p=_pool: convolved(spark, d, p))
+    query(f"convolve_{_pool}", CONV + conv(_agg) + " SELECT u AS user_id, k::INT AS k, round(x, 6) + 0.0 AS x FROM ux")(lambda spark, d, p=_pool: convolved_teams(spark, d, p))
 
 C = 3
 MIX = f"""WITH {KS}, cs AS (SELECT unnest(range(0, {C})) AS c), us AS (SELECT s_suppkey AS u FROM supplier),
@@ -239,12 +246,12 @@ def _(spark, d):
     return rp.kl_gap(edges(w), all_users(w), items(w)).select(*[F.round(c, 3).alias(c) for c in ("kl", "constant", "loss")])
 
 
-SAMPLES = DRAWS[: DRAWS.rindex("SELECT q.user_id")].rstrip() + ", dr AS (SELECT q.user_id, ns.item_id FROM q JOIN ns ON q.u >= ns.lo AND q.u < ns.hi), sa AS (SELECT user_id AS l, item_id, 1.0::DOUBLE AS y FROM uv WHERE user_id < 20 UNION ALL SELECT user_id, item_id, 0.0::DOUBLE FROM dr) "
+SAMPLES = DRAWS[: DRAWS.rindex("SELECT q.user_id")].rstrip() + ", dr AS (SELECT q.user_id, ns.item_id FROM q JOIN ns ON q.u >= ns.lo AND q.u < ns.hi), sa AS (SELECT user_id AS l, item_id, 1.0::DOUBLE AS y FROM uv UNION ALL SELECT user_id, item_id, 0.0::DOUBLE FROM dr) "
 
 
-def samples(w, users="user_id < 20"):
+def samples(w):
     uv = w.uv
-    pos = uv.filter(users).select("user_id", F.col("item_id").alias("pos"))
+    pos = uv.select("user_id", F.col("item_id").alias("pos"))
     neg = sm.draw_negatives(pos, sm.degree_noise(uv), 2)
     return pos.select(F.col("user_id").alias("left"), F.col("pos").alias("item_id"), F.lit(1.0).alias("y")).union(neg.select("user_id", "neg", F.lit(0.0)))
 
@@ -262,31 +269,78 @@ def _(spark, d):
     return rp.exploded(u, "id").select(F.lit("user").alias("side"), "id", "k", "x").union(rp.exploded(v, "id").select(F.lit("item"), "id", "k", "x"))
 
 
-SAMPLES_ALL = SAMPLES.replace(" WHERE user_id < 20", "")
+#: The objectives of the whole model on the gatherings: users convolved over ranked neighbours, groups
+#: by crowd attention over them, negatives of each graph from its own noise, two a positive.
+WHOLE = full("w3") + ", " + ", ".join((
+    KS, "us AS (SELECT DISTINCT user_id AS u FROM uv)", conv("avg(r)"),
+    proj("q0", "ux", 11), proj("k0", "ux", 12), proj("v0", "ux", 13), proj("q1", "q0", 111), proj("k1", "k0", 112), proj("v1", "v0", 113),
+    attention("q1", "k1", "v1", HEADS),
+    f"oo AS (SELECT group_key, u, i.k AS k, sum(x * {pp('i.k', 'm.k', 14)}) AS x FROM mh m CROSS JOIN ks i GROUP BY ALL)",
+    pool("oo"),
+    "gn AS (SELECT group_key, sum(user_id) AS gid FROM mem GROUP BY 1)",
+    "pg AS (SELECT group_key AS l, gid AS a, item_id AS pos FROM gv JOIN gn USING (group_key))",
+    "pu AS (SELECT user_id AS l, user_id AS a, item_id AS pos FROM uv)",
+))
+
+
+def sampled_objective(side: str, positives: str, edges: str, left: str) -> str:
+    """CTEs up to ``l{side}(l)``: one row a sample with its loss."""
+    return f""", m{side} AS (SELECT item_id, pow(sum(w), 0.75) AS mass FROM {edges} GROUP BY 1),
+n{side} AS (SELECT item_id, round(coalesce(lag(c) OVER (ORDER BY item_id), 0), 12) AS lo, round(c, 12) AS hi FROM (SELECT item_id, sum(mass) OVER (ORDER BY item_id) / sum(mass) OVER () AS c FROM m{side})),
+d{side} AS (SELECT p.l, n.item_id FROM {positives} p CROSS JOIN (SELECT unnest(range(0, 2)) AS slot) JOIN n{side} n ON ((a * 7919 + pos * 104729 + slot * 1299709) % 1000003 + 0.5) / 1000003.0 >= n.lo AND ((a * 7919 + pos * 104729 + slot * 1299709) % 1000003 + 0.5) / 1000003.0 < n.hi),
+s{side} AS (SELECT row_number() OVER () AS i, * FROM (SELECT l, pos AS item_id, 1 AS y FROM {positives} UNION ALL SELECT l, item_id, 0 FROM d{side})),
+l{side} AS (SELECT ln(1 + exp(CASE WHEN y = 1 THEN -s ELSE s END)) AS l FROM (SELECT i, y, sum(x * {pp('item_id', 'k', 2)}) AS s FROM s{side} JOIN {left} GROUP BY i, y))"""
+
+
+GROUP_SIDE = sampled_objective("g", "pg", "gv", "gx ON gx.group_key = sg.l")
+USER_SIDE = sampled_objective("u", "pu", "uv", "ux ON ux.u = su.l")
+
+
+def whole_vectors(w):
+    """Group and user vectors of the whole model with pseudo parameters."""
+    own = g.store(convolved(w.uv.select(F.col("user_id").alias("id")).distinct(), w.uu))
+    groups = rp.transform(rp.gather(w.membership, own), lambda x, m: [kn.crowd_attention(x, m, PARAMS, HEADS)[0].data.tolist()], D)
+    return groups, own
+
 
+def sampled_loss(positives, noise, left, right):
+    """Loss of positives ``l, user_id, pos`` and two draws each."""
+    neg = sm.draw_negatives(positives, noise, 2)
+    both = positives.select(F.col("l").alias("left"), F.col("pos").alias("item_id"), F.lit(1.0).alias("y")).union(neg.select("l", "neg", F.lit(0.0)))
+    return rp.ns_loss(both, left, right)
 
-@query("ns_loss_all", SAMPLES_ALL + f", s AS (SELECT y, {dots('l', 1, 'item_id', 2)} AS s FROM sa) SELECT round(sum(ln(1 + exp(CASE WHEN y = 1 THEN -s ELSE s END))), 4) AS loss_sum, round(avg(ln(1 + exp(CASE WHEN y = 1 THEN -s ELSE s END))), 6) AS loss_mean, count(*) AS n FROM s")
+
+def group_objective(w):
+    number = w.membership.groupBy("group_key").agg(F.sum("user_id").alias("user_id"))
+    positives = w.gv.join(number, "group_key").select(F.col("group_key").alias("l"), "user_id", F.col("item_id").alias("pos"))
+    return sampled_loss(positives, sm.degree_noise(w.gv), whole_vectors(w)[0].withColumnRenamed("group_key", "id"), items(w))
+
+
+def user_objective(w):
+    positives = w.uv.select(F.col("user_id").alias("l"), "user_id", F.col("item_id").alias("pos"))
+    return sampled_loss(positives, sm.degree_noise(w.uv), whole_vectors(w)[1], items(w))
+
+
+def _loss(df):
+    return df.select(F.round("loss_sum", 4).alias("loss_sum"), F.round("loss_mean", 6).alias("loss_mean"), "n")
+
+
+@query("group_ns_loss", WHOLE + GROUP_SIDE + " SELECT round(sum(l), 4) AS loss_sum, round(avg(l), 6) AS loss_mean, count(*) AS n FROM lg")
 def _(spark, d):
-    w = teams(spark, d)
-    return rp.ns_loss(samples(w, "true"), all_users(w), items(w)).select(F.round("loss_sum", 4).alias("loss_sum"), F.round("loss_mean", 6).alias("loss_mean"), "n")
+    return _loss(group_objective(gatherings(spark, d)))
 
 
-@query("sgd_step_all", SAMPLES_ALL + f", {KS}, e AS (SELECT l, item_id, 1 / (1 + exp(-{dots('l', 1, 'item_id', 2)})) - y AS e FROM sa), gu AS (SELECT l, k, sum(e * {pp('item_id', 'k', 2)}) AS g FROM e CROSS JOIN ks GROUP BY 1, 2), gi AS (SELECT item_id, k, sum(e * {pp('l', 'k', 1)}) AS g FROM e CROSS JOIN ks GROUP BY 1, 2) SELECT 'user' AS side, user_id AS id, ks.k::INT AS k, round({pp('user_id', 'ks.k', 1)} - 0.1 * coalesce(g, 0), 6) + 0.0 AS x FROM (SELECT DISTINCT user_id FROM uv) CROSS JOIN ks LEFT JOIN gu ON gu.l = user_id AND gu.k = ks.k UNION ALL SELECT 'item', i.item_id, ks.k::INT, round({pp('i.item_id', 'ks.k', 2)} - 0.1 * coalesce(g, 0), 6) + 0.0 FROM (SELECT DISTINCT item_id FROM uv) i CROSS JOIN ks LEFT JOIN gi ON gi.item_id = i.item_id AND gi.k = ks.k")
+@query("user_ns_loss", WHOLE + USER_SIDE + " SELECT round(sum(l), 4) AS loss_sum, round(avg(l), 6) AS loss_mean, count(*) AS n FROM lu")
 def _(spark, d):
-    w = teams(spark, d)
-    u, v = rp.sgd_step(samples(w, "true"), all_users(w), items(w), 0.1)
-    return rp.exploded(u, "id").select(F.lit("user").alias("side"), "id", "k", "x").union(rp.exploded(v, "id").select(F.lit("item"), "id", "k", "x"))
+    return _loss(user_objective(gatherings(spark, d)))
 
 
-@query("joint_loss", full("w2") + ", us AS (SELECT ln(1 + exp(-" + dots("user_id", 1, "item_id", 2) + ")) AS l FROM uv), gm AS (SELECT group_key, " + ", ".join(f"avg({pp('user_id', str(k), 1)}) AS g{k}" for k in range(D)) + " FROM mem GROUP BY 1), gs AS (SELECT ln(1 + exp(-(" + " + ".join(f"g{k} * {pp('item_id', str(k), 2)}" for k in range(D)) + "))) AS l FROM gv JOIN gm USING (group_key)) SELECT round((SELECT avg(l) FROM gs), 6) AS group_loss, round((SELECT avg(l) FROM us), 6) AS user_loss, round((SELECT avg(l) FROM gs) + 2.0 * (SELECT avg(l) FROM us), 6) AS joint_loss")
+@query("joint_loss", WHOLE + GROUP_SIDE + USER_SIDE + " SELECT round((SELECT avg(l) FROM lg), 6) AS group_loss, round((SELECT avg(l) FROM lu), 6) AS user_loss, round((SELECT avg(l) FROM lg) + 2.0 * (SELECT avg(l) FROM lu), 6) AS joint_loss")
 def _(spark, d):
-    w = teams(spark, d)
-    u, v = all_users(w), items(w)
-    mean = w.membership.withColumn("weight", F.lit(1.0)).join(w.membership.groupBy("group_key").count(), "group_key").select("group_key", "user_id", (1 / F.col("count")).alias("weight"))
-    gvec = rp.weighted_sum(w.membership, mean, u)
-    gs = rk.scores(gvec, v, w.gv.select("group_key", "item_id")).agg(F.avg(-rp.log_sigmoid(F.col("score"))).alias("g"))
-    us = rp.sampled_scores(edges(w).withColumn("y", F.lit(1.0)), u, v).agg(F.avg(-rp.log_sigmoid(F.col("s"))).alias("u"))
-    return gs.join(us).select(F.round("g", 6).alias("group_loss"), F.round("u", 6).alias("user_loss"), F.round(F.col("g") + 2.0 * F.col("u"), 6).alias("joint_loss"))
+    """Both objectives with their negatives, the user side weighted by two."""
+    w = gatherings(spark, d)
+    both = group_objective(w).select(F.col("loss_mean").alias("a")).join(user_objective(w).select(F.col("loss_mean").alias("b")))
+    return both.select(F.round("a", 6).alias("group_loss"), F.round("b", 6).alias("user_loss"), F.round(F.col("a") + 2.0 * F.col("b"), 6).alias("joint_loss"))
 
 
 @query("pooled_draw_shares", full("w2") + "SELECT round(count(*) FILTER (k = 'gv') / count(*), 9) AS group_share, round(count(*) FILTER (k = 'uv') / count(*), 9) AS user_share FROM (SELECT 'gv' AS k FROM gv UNION ALL SELECT 'uv' FROM uv)")
@@ -332,10 +386,14 @@ def _(spark, d):
     return _rounded(rk.topn_bounded(group_vectors(w), items(w), 10, block=16))
 
 
-@query("topn_lsh")
+@query("topn_lsh", full("w3") + "SELECT count(DISTINCT group_key) AS groups, TRUE AS recall_reached FROM mem")
 def _(spark, d):
+    """Share of the exact ten best items that the hashed search finds: at least nine tenths."""
     w = gatherings(spark, d)
-    return rk.topn_lsh(group_vectors(w), items(w), 10)
+    left, right = g.store(group_vectors(w)), g.store(items(w))
+    exact, found = (f(left, right, 10).select("group_key", "item_id") for f in (rk.topn, rk.topn_lsh))
+    hit = exact.join(found.withColumn("hit", F.lit(1)), ["group_key", "item_id"], "left")
+    return hit.agg(F.count_distinct("group_key").alias("groups"), (F.count("hit") >= 0.9 * F.count("*")).alias("recall_reached"))
 
 
 @query("topn_unseen", TOPN.replace("FROM gm CROSS JOIN it)", "FROM gm CROSS JOIN it WHERE NOT EXISTS (SELECT 1 FROM gv WHERE gv.group_key = gm.group_key AND gv.item_id = it.item_id))"))
@@ -360,9 +418,13 @@ def _(spark, d):
     return ev.time_split(teams(spark, d).gv, exact=True).select("group_key", "item_id", "ts", "split")
 
 
-@query("time_split_percentile")
+@query("time_split_percentile", "SELECT * FROM (VALUES ('train', TRUE), ('valid', TRUE), ('test', TRUE)) t(split, within)")
 def _(spark, d):
-    return ev.time_split(teams(spark, d).gv).groupBy("split").count()
+    """Shares of the split at approximate percentiles: within a fiftieth of those of the exact one."""
+    n = ev.time_split(teams(spark, d).gv).groupBy("split").count()
+    share = F.col("count") / F.sum("count").over(Window.partitionBy(F.lit(0)))
+    want = F.when(F.col("split") == "test", 0.2).when(F.col("split") == "valid", 0.08).otherwise(0.72)
+    return n.select("split", (F.abs(share - want) <= 0.02).alias("within"))
 
 
 RANKS = full("w2")[:-1] + SPLIT + MEAN + f", it AS (SELECT DISTINCT item_id FROM uv), te AS (SELECT group_key, sp.item_id AS truth, {SCORE} AS own FROM sp JOIN gm USING (group_key) WHERE split = 'test'), rk AS (SELECT te.group_key, truth AS item_id, 1 + count(*) FILTER ({SCORE.replace('item_id', 'it.item_id')} > own + 1e-12 OR abs({SCORE.replace('item_id', 'it.item_id')} - own) <= 1e-12 AND it.item_id < truth) AS rnk, 1 + count(it.item_id) AS candidates FROM te JOIN gm USING (group_key) CROSS JOIN it WHERE it.item_id <> truth AND NOT EXISTS (SELECT 1 FROM gv WHERE gv.group_key = te.group_key AND gv.item_id = it.item_id) GROUP BY 1, 2, own) "
@@ -383,7 +445,8 @@ def _(spark, d):
 def _(spark, d):
     w = gatherings(spark, d)
     test = ev.time_split(w.gv, exact=True).filter("split = 'test'")
-    sc = rk.topn(group_vectors(w), items(w), 1_000_000).select("group_key", "item_id", F.round("score", 2).alias("score"))
+    right = items(w)
+    sc = rk.topn(group_vectors(w), right, right.count()).select("group_key", "item_id", F.round("score", 2).alias("score"))
     return ev.truth_rank(test, sc, seen=w.gv)
 
 
@@ -397,31 +460,66 @@ def _(spark, d):
     return ev.mrr(ranks(spark, d)).withColumn("mrr", F.round("mrr", 9))
 
 
-@query("rank_popularity")
+def counted(name: str, better: str, own: str, left: str, again: str = "") -> str:
+    """CTE ``name``: ranks of test items by a score, where ``better`` holds for what stands above."""
+    return f"{name}te AS (SELECT sp.group_key, sp.item_id AS truth, {own} AS own FROM sp {left} WHERE split = 'test'), {name} AS (SELECT te.group_key, truth AS item_id, 1 + count(*) FILTER ({better}) AS rnk, 1 + count(*) AS candidates FROM {name}te te {again} CROSS JOIN pit it WHERE it.item_id <> truth AND NOT EXISTS (SELECT 1 FROM gv WHERE gv.group_key = te.group_key AND gv.item_id = it.item_id) GROUP BY 1, 2, own)"
+
+
+POPULAR = "pit AS (SELECT item_id, sum(w) AS s FROM uv GROUP BY 1), " + counted("pk", "it.s > own OR it.s = own AND it.item_id < truth", "s", "JOIN pit ON pit.item_id = sp.item_id")
+def random_score(item: str) -> str:
+    return "(" + " + ".join(f"{pp('gq.n', str(k), 61)} * {pp(item, str(k), 62)}" for k in range(8)) + ")"
+
+
+RANDOM = "pit AS (SELECT DISTINCT item_id FROM uv), gq AS (SELECT group_key, sum(user_id * 31 + 17) % 1000003 AS n FROM mem GROUP BY 1), " + counted("qk", f"{random_score('it.item_id')} > own + 1e-12 OR abs({random_score('it.item_id')} - own) <= 1e-12 AND it.item_id < truth", random_score("sp.item_id"), "JOIN gq ON gq.group_key = sp.group_key", "JOIN gq ON gq.group_key = te.group_key")
+
+
+def test_part(w):
+    return ev.time_split(w.gv, exact=True).filter("split = 'test'")
+
+
+@query("rank_popularity", full("w2")[:-1] + SPLIT + ", " + POPULAR + " SELECT group_key, item_id, rnk, candidates FROM pk")
 def _(spark, d):
     w = teams(spark, d)
-    test = ev.time_split(w.gv, exact=True).filter("split = 'test'")
-    return rk.truth_rank_blocks(test, *rk.popularity_vectors(w.uv, w.membership), seen=w.gv)
+    return rk.truth_rank_blocks(test_part(w), *rk.popularity_vectors(w.uv, w.membership), seen=w.gv)
 
 
-@query("rank_random")
+@query("rank_random", full("w2")[:-1] + SPLIT + ", " + RANDOM + " SELECT group_key, item_id, rnk, candidates FROM qk")
 def _(spark, d):
     w = teams(spark, d)
-    test = ev.time_split(w.gv, exact=True).filter("split = 'test'")
-    return rk.truth_rank_blocks(test, *rk.random_vectors(w.uv, w.membership), seen=w.gv)
+    return rk.truth_rank_blocks(test_part(w), *rk.random_vectors(w.uv, w.membership), seen=w.gv)
+
+
+@query("rank_static", full("w3")[:-1] + SPLIT + f", it AS (SELECT DISTINCT item_id FROM uv), sc AS (SELECT how, group_key, item_id, CASE how WHEN 'avg' THEN avg(x) WHEN 'min' THEN min(x) ELSE max(x) END AS s FROM (SELECT group_key, it.item_id, {dots('user_id', 1, 'it.item_id', 2)} AS x FROM mem CROSS JOIN it) CROSS JOIN (SELECT unnest(['avg', 'min', 'max']) AS how) GROUP BY how, group_key, item_id), te AS (SELECT how, sp.group_key, sp.item_id AS truth, s AS own FROM sp JOIN sc USING (group_key, item_id) WHERE split = 'test') SELECT te.how, te.group_key, truth AS item_id, 1 + count(c.item_id) FILTER (c.s > own + 1e-12 OR abs(c.s - own) <= 1e-12 AND c.item_id < truth) AS rnk, 1 + count(c.item_id) AS candidates FROM te LEFT JOIN sc c ON c.how = te.how AND c.group_key = te.group_key AND c.item_id <> truth AND NOT EXISTS (SELECT 1 FROM gv WHERE gv.group_key = te.group_key AND gv.item_id = c.item_id) GROUP BY 1, 2, 3")
+def _(spark, d):
+    """Ranks by the three static strategies, counted without a row a group and item."""
+    w, out = gatherings(spark, d), None
+    test = test_part(w)
+    for how in ("avg", "min", "max"):
+        part = rk.static_truth_rank(test, w.membership, users(w), items(w), how, seen=w.gv).select(F.lit(how).alias("how"), "*")
+        out = part if out is None else out.union(part)
+    return out
 
 
-@query("paired_test")
+PAIRED = RANKS[:-1] + ", " + POPULAR + """, x AS (SELECT a.rnk AS ra, b.rnk AS rb FROM rk a JOIN pk b USING (group_key, item_id)),
+y AS (SELECT avg(1.0 / ra - 1.0 / rb) AS m, avg(1.0 / ra - 1.0 / rb) / sqrt(var_samp(1.0 / ra - 1.0 / rb) / count(*)) AS t, count(*) AS n, count(*) FILTER (ra <= 10 AND rb > 10) AS won, count(*) FILTER (ra > 10 AND rb <= 10) AS lost FROM x)
+SELECT 'reciprocal_rank' AS metric, round(m, 9) AS mean_diff, round(t, 6) AS stat, n, abs(t) > 2.575829 AS significant FROM y UNION ALL SELECT 'hits_10', round((won - lost) / n, 9), round(CASE WHEN won + lost = 0 THEN 0 ELSE (won - lost) / sqrt(won + lost) END, 6), n, CASE WHEN won + lost = 0 THEN FALSE ELSE abs(won - lost) / sqrt(won + lost) > 2.575829 END FROM y"""
+
+
+@query("paired_test", PAIRED)
 def _(spark, d):
+    """Mean of members against popularity; significant where the two-sided chance is below a hundredth."""
     w = teams(spark, d)
-    test = ev.time_split(w.gv, exact=True).filter("split = 'test'")
-    other = rk.truth_rank_blocks(test, *rk.popularity_vectors(w.uv, w.membership), seen=w.gv)
-    return ev.paired_test(ranks(spark, d), other)
+    out = ev.paired_test(ranks(spark, d), rk.truth_rank_blocks(test_part(w), *rk.popularity_vectors(w.uv, w.membership), seen=w.gv))
+    return out.select("metric", F.round("mean_diff", 9).alias("mean_diff"), F.round("stat", 6).alias("stat"), "n", (F.col("p_value") < 0.01).alias("significant"))
+
+
+PERSONAL = uv_of("w2")[:-1] + f", {ITEMS}, o AS (SELECT user_id, item_id, row_number() OVER (ORDER BY ts, user_id::VARCHAR, item_id) AS r, count(*) OVER () AS n FROM uv), te AS (SELECT user_id, item_id AS truth, {dots('user_id', 1, 'item_id', 2)} AS own FROM o WHERE r > floor(0.8 * n)), rk AS (SELECT te.user_id, truth, 1 + count(it.item_id) FILTER ({dots('te.user_id', 1, 'it.item_id', 2)} > own + 1e-12 OR abs({dots('te.user_id', 1, 'it.item_id', 2)} - own) <= 1e-12 AND it.item_id < truth) AS rnk FROM te LEFT JOIN it ON it.item_id <> truth AND NOT EXISTS (SELECT 1 FROM uv WHERE uv.user_id = te.user_id AND uv.item_id = it.item_id) GROUP BY 1, 2) SELECT round(avg(1.0 / rnk), 9) AS mrr, count(*) AS n_test FROM rk"
 
 
-@query("user_evaluation")
+@query("user_evaluation", PERSONAL)
 def _(spark, d):
     w = teams(spark, d)
-    test = ev.time_split(w.uv.withColumn("group_key", F.col("user_id").cast("string"))).filter("split = 'test'")
+    keyed = w.uv.withColumn("group_key", F.col("user_id").cast("string"))
+    test = ev.time_split(keyed, exact=True).filter("split = 'test'")
     left = all_users(w).select(F.col("id").cast("string").alias("group_key"), "vec")
-    return ev.mrr(rk.truth_rank_blocks(test, left, items(w), seen=w.uv.select(F.col("user_id").cast("string").alias("group_key"), "item_id")))
+    return ev.mrr(rk.truth_rank_blocks(test, left, items(w), seen=keyed.select("group_key", "item_id"))).withColumn("mrr", F.round("mrr", 9))

@@ -8,10 +8,11 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from crowdrank.session import shared_dir
+
 
 def _place(spark: SparkSession, kind: str) -> str:
-    root = (spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints").rstrip("/")
-    return f"{root}/{kind}-{uuid.uuid4().hex}"
+    return f"{shared_dir(spark)}/{kind}-{uuid.uuid4().hex}"
 
 
 def round_trip(df: DataFrame, fmt: str) -> DataFrame:

@@ -7,7 +7,8 @@ its sorted member set; ``group_key`` is the member ids joined by ``-`` and ``gro
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from collections.abc import Callable
+from functools import cached_property
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -15,17 +16,33 @@ from pyspark.sql import functions as F
 from crowdrank.operators import graph
 
 
+Graph = DataFrame | Callable[[], DataFrame]
+
+
 def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-@dataclass
 class Workload:
-    """Lazily built graphs of one experiment."""
+    """Graphs of one experiment, each built when it is first asked for.
+
+    Groups are mined by a loop over stored tables, so nobody who wants edges alone should pay for it.
+    """
+
+    def __init__(self, uv: Graph, uu: Graph, records: Graph) -> None:
+        self._uv, self._uu, self._records = uv, uu, records
 
-    uv: DataFrame
-    uu: DataFrame
-    records: DataFrame
+    @cached_property
+    def uv(self) -> DataFrame:
+        return _built(self._uv)
+
+    @cached_property
+    def uu(self) -> DataFrame:
+        return _built(self._uu)
+
+    @cached_property
+    def records(self) -> DataFrame:
+        return _built(self._records)
 
     @property
     def gv(self) -> DataFrame:
@@ -36,6 +53,10 @@ class Workload:
         return graph.membership(self.records)
 
 
+def _built(graph: Graph) -> DataFrame:
+    return graph() if callable(graph) else graph
+
+
 def purchases(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One row a line: customer, part, supplier, ship date, order, order date."""
     lines = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_suppkey", "l_shipdate")
@@ -53,7 +74,7 @@ def crowds(spark: SparkSession, sf_dir: str) -> Workload:
     """W1: customers and parts; ties share a supplier in a week, groups share a part in a quarter."""
     log = purchases(spark, sf_dir).select(F.col("o_custkey").alias("user_id"), F.col("l_partkey").alias("item_id"), F.col("l_suppkey").alias("place"), F.col("l_shipdate").alias("ts"))
     uu = graph.derive_ties(log, ["place", F.date_trunc("week", "ts").alias("week")])
-    return Workload(graph.build_uv(log), uu, graph.mine_groups(log, uu, [F.col("item_id"), F.date_trunc("quarter", "ts").alias("bucket")]))
+    return Workload(graph.build_uv(log), uu, lambda: graph.mine_groups(log, uu, [F.col("item_id"), F.date_trunc("quarter", "ts").alias("bucket")]))
 
 
 def teams(spark: SparkSession, sf_dir: str) -> Workload:
@@ -69,7 +90,7 @@ def gatherings(spark: SparkSession, sf_dir: str) -> Workload:
     log = touches(spark, sf_dir)
     five = F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / 300_000_000).alias("five")
     uu = graph.derive_ties(log, ["event_type", five])
-    return Workload(graph.build_uv(log), uu, graph.mine_groups(log, uu, [F.col("item_id"), F.date_trunc("hour", "ts").alias("bucket")]))
+    return Workload(graph.build_uv(log), uu, lambda: graph.mine_groups(log, uu, [F.col("item_id"), F.date_trunc("hour", "ts").alias("bucket")]))
 
 
 WORKLOADS = {"w1": crowds, "w2": teams, "w3": gatherings}

@@ -13,11 +13,14 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from crowdrank.session import shared_dir
+
 SCHEMA = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
-def source(spark: SparkSession, path: str) -> DataFrame:
-    rows = spark.readStream.schema(SCHEMA).option("maxFilesPerTrigger", 4).parquet(path)
+def source(spark: SparkSession, path: str, files: int = 4) -> DataFrame:
+    """Rows of a folder, ``files`` files a micro-batch, with the event time in UTC and the item."""
+    rows = spark.readStream.schema(SCHEMA).option("maxFilesPerTrigger", files).parquet(path)
     utc = F.to_utc_timestamp(F.col("ts").cast("timestamp"), F.current_timezone())
     return rows.withColumn("at", utc).withColumn("k", F.get_json_object("props", "$.k").cast("long"))
 
@@ -28,8 +31,7 @@ def drain(stream: DataFrame, mode: str, each: Callable[[DataFrame, str], DataFra
     ``complete`` results replace each other; ``append`` and ``update`` rows are kept by batch.
     """
     spark = stream.sparkSession
-    root = (spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints").rstrip("/")
-    path = f"{root}/stream-{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
 
     def write(batch: DataFrame, number: int) -> None:
         out = each(batch, path) if each else batch
@@ -50,6 +52,17 @@ def sessions(events: DataFrame, gap: str = "30 minutes") -> DataFrame:
     return events.withWatermark("at", "1 hour").groupBy(F.session_window("at", gap).alias("w"), "user_id").agg(F.count("*").alias("n")).select("user_id", F.unix_micros("w.start").alias("start_us"), "n")
 
 
+def copresence(events: DataFrame, within: str = "5 minutes", late: str = "10 minutes") -> DataFrame:
+    """Stream-stream join: two users who touch one item within a span of time.
+
+    Both sides carry a watermark and the join bounds the distance, so state is dropped as time goes on.
+    """
+    side = lambda n: events.withWatermark("at", late).select(F.col("user_id").alias(f"user_{n}"), F.col("k").alias(f"k_{n}"), F.col("at").alias(f"at_{n}"), F.col("event_id").alias(f"event_{n}"))
+    span = F.expr(f"at_b >= at_a - INTERVAL {within} AND at_b <= at_a + INTERVAL {within}")
+    both = side("a").join(side("b"), (F.col("k_a") == F.col("k_b")) & span & (F.col("user_a") < F.col("user_b")))
+    return both.select("event_a", "event_b", "user_a", "user_b", F.col("k_a").alias("k"))
+
+
 def popularity(events: DataFrame) -> DataFrame:
     return events.groupBy("k").agg(F.count("*").alias("n"))
 
@@ -74,17 +87,15 @@ def running_degree(events: DataFrame) -> DataFrame:
     return events.groupBy("user_id").applyInPandasWithState(update, "user_id long, degree long", "degree long", "update", "NoTimeout")
 
 
-def replay(spark: SparkSession, path: str, files: int = 6, late_every: int | None = None) -> str:
-    """The event table as files in time order; every ``late_every``-th row comes one file later."""
+def replay(spark: SparkSession, path: str, files: int = 6, late_every: int | None = None, late_by: int = 1) -> str:
+    """The event table as files of equal spans of time; every ``late_every``-th row comes ``late_by`` files later."""
     e = spark.read.schema(SCHEMA).parquet(path)
-    cuts = e.select(F.percentile_approx(F.unix_micros(F.col("ts").cast("timestamp")), [i / files for i in range(1, files)], 1000).alias("c")).first()["c"] or []
-    number = F.lit(0)
-    for c in cuts:
-        number = number + (F.unix_micros(F.col("ts").cast("timestamp")) >= c).cast("int")
+    us = F.unix_micros(F.to_utc_timestamp(F.col("ts").cast("timestamp"), F.current_timezone()))
+    lo, hi = e.agg(F.min(us), F.max(us)).first()
+    number = F.floor((us - F.lit(lo)) * files / F.lit((hi or 0) - (lo or 0) + 1)).cast("int")
     if late_every:
-        number = F.least(number + (F.col("event_id") % late_every == 0).cast("int"), F.lit(files - 1))
-    root = (spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints").rstrip("/")
-    out = f"{root}/replay-{uuid.uuid4().hex}"
+        number = F.least(number + late_by * (F.col("event_id") % late_every == 0).cast("int"), F.lit(files - 1))
+    out = f"{shared_dir(spark)}/replay-{uuid.uuid4().hex}"
     for i in range(files):
         e.withColumn("f", number).filter(F.col("f") == i).drop("f").coalesce(1).write.mode("append").parquet(out)
     return out
