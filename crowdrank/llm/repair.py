@@ -79,7 +79,7 @@ def replace(seq: np.ndarray, joined: np.ndarray, pairs: np.ndarray, first: int)
     return out
 
 
-def compress(chunks: list[np.ndarray] | tuple[np.ndarray, np.ndarray], sequence: np.ndarray, end_chunk: int, first: int, least: int = 8, most: int = 16_384, share: float = 0.01) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def compress(chunks: list[np.ndarray] | tuple[np.ndarray, np.ndarray], sequence: np.ndarray, end_chunk: int, first: int, least: int = 8, most: int = 16_384, share: float = 0.05) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Rules ``(n, 2)``, symbols and places of document ends for a sequence of chunk numbers.
 
     ``chunks``: flat ids and sizes. A pair must occur ``least`` times; a round replaces at most
