@@ -186,17 +186,25 @@ def centrality_degree(uu: DataFrame) -> DataFrame:
     return uu.groupBy(F.col("src").alias("user_id")).agg(F.count("*").cast("double").alias("score"))
 
 
-def centrality_pagerank(uu: DataFrame, damping: float = 0.85, iters: int = 20, every: int = 5) -> DataFrame:
-    """Fixed number of rounds over a symmetric graph (so no node dangles); lineage cut every few."""
+def centrality_pagerank(uu: DataFrame, damping: float = 0.85, iters: int = 20, every: int = 5, tol: float | None = None) -> DataFrame:
+    """Rounds over a symmetric graph (so no node dangles); lineage cut every few.
+
+    With ``tol`` it ends before ``iters`` where no score moved by more in the rounds since the last cut.
+    """
     out = uu.groupBy("src").agg(F.count("*").alias("k"))
     links = store(uu.join(out, "src"))
     n = out.count()
-    now = out.select(F.col("src").alias("user_id"), F.lit(1.0 / max(1, n)).alias("score"))
+    now, old = out.select(F.col("src").alias("user_id"), F.lit(1.0 / max(1, n)).alias("score")), None
     for i in range(iters):
         sent = links.join(now, links["src"] == now["user_id"]).groupBy("dst").agg(F.sum(F.col("score") / F.col("k")).alias("s"))
         now = sent.select(F.col("dst").alias("user_id"), (F.lit((1 - damping) / max(1, n)) + damping * F.col("s")).alias("score"))
         if i % every == every - 1:
             now = store(now)
+            if tol is not None and old is not None:
+                moved = now.join(old.withColumnRenamed("score", "was"), "user_id").agg(F.max(F.abs(F.col("score") - F.col("was")))).first()[0]
+                if moved is None or moved <= tol:
+                    break
+            old = now
     return now
 
 

@@ -106,6 +106,13 @@ def _(spark, d):
     return g.canonical_groups(teams(spark, d).records).select("group_key", "n")
 
 
+@query("group_ids_w2", full("w2") + "SELECT count(DISTINCT group_key) AS n, TRUE AS no_collision FROM rec")
+def _(spark, d):
+    """Hashed group ids stand for one member set each."""
+    ids = g.canonical_groups(teams(spark, d).records)
+    return ids.agg(F.count_distinct("group_key").alias("n"), (F.count_distinct("group_key") == F.count_distinct("group_id")).alias("no_collision"))
+
+
 @query("ties_tau_w1", "WITH " + W1 + " SELECT x.user_id AS src, y.user_id AS dst FROM ctx x JOIN ctx y ON x.place = y.place AND x.b = y.b AND x.user_id <> y.user_id GROUP BY 1, 2 HAVING count(*) >= 2")
 def _(spark, d):
     from crowdrank.sources.workloads import purchases
@@ -197,6 +204,11 @@ def _(spark, d):
     return g.centrality_eigenvector(_small(spark, d), iters=10).withColumn("score", F.round("score", 6))
 
 
+@query("eigenvector_w1", "WITH " + W1 + ", s0 AS MATERIALIZED (SELECT DISTINCT src AS id, 1.0::DOUBLE AS x FROM uu)" + _unrolled(lambda i: f"s{i} AS MATERIALIZED (SELECT id, y / max(y) OVER () AS x FROM (SELECT uu.dst AS id, sum(p.x) AS y FROM uu JOIN s{i - 1} p ON p.id = uu.src GROUP BY 1))", "", 5) + " SELECT id AS user_id, round(x, 6) AS score FROM s5")
+def _(spark, d):
+    return g.centrality_eigenvector(g.store(crowds(spark, d).uu), iters=5).withColumn("score", F.round("score", 6))
+
+
 BFS = "WITH RECURSIVE " + SMALL + ", walk AS (SELECT DISTINCT src AS s, src AS v, 0 AS dist FROM uu UNION SELECT s, uu.dst, dist + 1 FROM walk JOIN uu ON uu.src = walk.v WHERE dist < 12), lv AS (SELECT s, v, min(dist) AS dist FROM walk GROUP BY 1, 2)"
 
 
@@ -291,6 +303,12 @@ def _(spark, d):
     return walk_checks(uu, g.store(g.walk_corpus(uu, length=6)))
 
 
+@query("random_walks_w1", "WITH " + W1 + " SELECT src, 1::INT AS walk, 6::INT AS nodes, TRUE AS along_ties FROM (SELECT DISTINCT src FROM uu)")
+def _(spark, d):
+    uu = g.store(crowds(spark, d).uu)
+    return walk_checks(uu, g.store(g.walk_corpus(uu, length=6, per_node=1)))
+
+
 @query("biased_walks", WALKS)
 def _(spark, d):
     uu = _small(spark, d)

@@ -6,6 +6,7 @@ has its own text. Hints name the physical join that the entry is about.
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -112,10 +113,14 @@ ev("window_sliding_avg", "SELECT event_id, round(avg(value) OVER (PARTITION BY u
 # --- sorts, limits, sets
 both("limit_topk", f"SELECT user_id, item_id, w FROM ({UV}) ORDER BY w DESC, user_id, item_id LIMIT 10")
 both("limit_offset", f"SELECT user_id, item_id, w FROM ({UV}) ORDER BY w DESC, user_id, item_id LIMIT 10 OFFSET 5")
-both("sort_nulls", "SELECT c_custkey, CAST(row_number() OVER (ORDER BY CASE WHEN c_custkey % 7 = 0 THEN NULL ELSE c_acctbal END DESC NULLS LAST, c_custkey) AS INT) AS r FROM customer")
+_BALANCE = "SELECT c_custkey, CASE WHEN c_custkey % 7 = 0 THEN NULL ELSE c_acctbal END AS b FROM customer"
+both("sort_nulls", f"SELECT 'last' AS nulls, c_custkey FROM (SELECT * FROM ({_BALANCE}) ORDER BY b DESC NULLS LAST, c_custkey LIMIT 50) UNION ALL SELECT 'first', c_custkey FROM (SELECT * FROM ({_BALANCE}) ORDER BY b NULLS FIRST, c_custkey LIMIT 50)")
 both("sort_global", "SELECT o_orderkey, o_orderdate FROM orders ORDER BY o_orderdate, o_orderkey LIMIT 100")
 query("sort_within_partitions", "SELECT l_suppkey, count(*) AS n FROM lineitem GROUP BY 1")(lambda spark, d: read(spark, d, "lineitem").repartition("l_suppkey").sortWithinPartitions("l_suppkey", "l_shipdate").groupBy("l_suppkey").agg(F.count("*").alias("n")))
 both("topk_per_key", "SELECT * FROM (SELECT l_suppkey, l_orderkey, l_linenumber, CAST(row_number() OVER (PARTITION BY l_suppkey ORDER BY l_extendedprice DESC, l_orderkey, l_linenumber) AS INT) AS r FROM lineitem) WHERE r <= 3")
+_TOP = "SELECT *, CAST(row_number() OVER (PARTITION BY l_suppkey ORDER BY l_extendedprice DESC, l_orderkey, l_linenumber) AS INT) AS r"
+# the best of every block first, so that the merge sees a few rows a block and not all
+both("topk_block_merge", f"SELECT l_suppkey, l_orderkey, l_linenumber, r FROM ({_TOP} FROM (SELECT l_suppkey, l_orderkey, l_linenumber, l_extendedprice FROM (SELECT *, row_number() OVER (PARTITION BY l_suppkey, l_orderkey % 16 ORDER BY l_extendedprice DESC, l_orderkey, l_linenumber) AS b FROM lineitem) WHERE b <= 3)) WHERE r <= 3", f"SELECT l_suppkey, l_orderkey, l_linenumber, r FROM ({_TOP} FROM lineitem) WHERE r <= 3")
 _A, _B = "SELECT l_suppkey AS id FROM lineitem WHERE l_quantity > 45", "SELECT s_suppkey AS id FROM supplier WHERE s_nationkey < 12"
 for _op, _sql in (("union_all", "UNION ALL"), ("union_distinct", "UNION"), ("intersect", "INTERSECT"), ("except", "EXCEPT"), ("intersect_all", "INTERSECT ALL"), ("except_all", "EXCEPT ALL")):
     both(f"set_{_op}", f"{_A} {_sql} {_B}")
@@ -135,10 +140,13 @@ both("fn_cast", "SELECT event_id, CAST(event_id AS STRING) AS s, CAST(value AS F
 both("fn_generator", "SELECT o_orderkey, p FROM orders LATERAL VIEW explode(sequence(1, CAST(o_orderkey % 3 + 1 AS INT))) AS p", "SELECT o_orderkey, unnest(range(1, (o_orderkey % 3 + 2)::INT))::INT AS p FROM orders")
 query("fn_hash", "SELECT l_suppkey, l_partkey, (l_suppkey * 7919 + l_partkey * 104729 + 1299709) % 1000003 AS h FROM lineitem")(lambda spark, d: read(spark, d, "lineitem").select("l_suppkey", "l_partkey", spread(F.col("l_suppkey"), F.col("l_partkey"), 1).alias("h")))
 both("udf_sigmoid", "SELECT l_orderkey, l_linenumber, round(sigmoid(l_discount * 10 - 1), 9) AS s FROM lineitem", "SELECT l_orderkey, l_linenumber, round(1 / (1 + exp(-(l_discount * 10 - 1))), 9) AS s FROM lineitem")
-query("udtf_draws", "SELECT g::BIGINT AS g, s::INT AS slot, ((g * 7919 + s * 1299709) % 1000003) AS draw FROM (SELECT unnest(range(0, 20)) AS g) CROSS JOIN (SELECT unnest(range(0, 4)) AS s)")(lambda spark, d: udtf_draws(spark))
+query("udtf_draws", "SELECT s_suppkey AS g, s::INT AS slot, ((s_suppkey * 7919 + s * 1299709) % 1000003) AS draw FROM supplier CROSS JOIN (SELECT unnest(range(0, 4)) AS s)")(lambda spark, d: udtf_draws(spark, d))
+WALKED = "WITH RECURSIVE n AS (SELECT count(*) AS n FROM supplier), w AS (SELECT s_suppkey AS start, 0 AS step, s_suppkey AS node FROM supplier UNION ALL SELECT start, step + 1, (node + [1, n - 1, 7, n - 7][((node * 7919 + step * 104729) % 1000003 % 4 + 1)::INT] + n) % n FROM w, n WHERE step < 5) SELECT start, step::INT AS step, node FROM w"
+query("udtf_random_walk", WALKED)(lambda spark, d: udtf_random_walk(spark, d))
+query("udaf_vector_sum", "SELECT label, k::INT AS k, round(sum(x::DOUBLE), 4) + 0.0 AS x FROM (SELECT label, unnest(range(0, len(embedding))) AS k, unnest(embedding) AS x FROM embeddings) GROUP BY 1, 2")(lambda spark, d: udaf_vector_sum(spark, d))
 
 
-def udtf_draws(spark):
+def udtf_draws(spark, d):
     from pyspark.sql.functions import udtf
 
     @udtf(returnType="g long, slot int, draw long")
@@ -148,4 +156,31 @@ def udtf_draws(spark):
                 yield g, s, (g * 7919 + s * 1299709) % 1000003
 
     spark.udtf.register("draw_slots", DrawSlots)
-    return spark.sql("SELECT t.g, t.slot, t.draw FROM range(0, 20) r, LATERAL draw_slots(r.id, 4) t")
+    return on_views(spark, d, "SELECT t.g, t.slot, t.draw FROM supplier r, LATERAL draw_slots(r.s_suppkey, 4) t")
+
+
+def udtf_random_walk(spark, d):
+    """Reproducible walks on a ring with chords, one row a step."""
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="start long, step int, node long")
+    class RandomWalk:
+        def eval(self, node: int, length: int, n: int):
+            start = node
+            for step in range(length):
+                yield start, step, node
+                node = (node + (1, n - 1, 7, n - 7)[(node * 7919 + step * 104729) % 1000003 % 4] + n) % n
+
+    spark.udtf.register("random_walk", RandomWalk)
+    return on_views(spark, d, "SELECT t.start, t.step, t.node FROM supplier r CROSS JOIN (SELECT count(*) AS n FROM supplier) c, LATERAL random_walk(r.s_suppkey, 6, c.n) t")
+
+
+def udaf_vector_sum(spark, d):
+    """Sums of vectors by a grouped-aggregate Arrow function, component by component."""
+
+    @F.pandas_udf("double")
+    def total(x: pd.Series) -> float:
+        return float(x.sum())
+
+    rows = read(spark, d, "embeddings").select("label", F.posexplode("embedding").alias("k", "x"))
+    return rows.groupBy("label", "k").agg((F.round(total(F.col("x").cast("double")), 4) + F.lit(0.0)).alias("x"))

@@ -12,7 +12,7 @@ from crowdrank.operators import graph as g
 from crowdrank.operators import rank as rk
 from crowdrank.operators import train as tr
 from crowdrank.operators.models import Config
-from crowdrank.plans.graph_queries import query_maker
+from crowdrank.plans.graph_queries import full, query_maker
 from crowdrank.sources.workloads import WORKLOADS, planted
 
 QUERIES, SQL = {}, {}
@@ -315,10 +315,13 @@ def _(spark, d):
     return out.groupBy("method").agg(F.round(F.avg("value"), 6).alias("mrr"), F.count("*").alias("folds"))
 
 
-@query("step_cost", "SELECT d::INT AS d, m::INT AS m, v::INT AS views, d * (1 + m) * v AS step FROM (SELECT unnest([16, 32, 64, 128]) AS d), (SELECT unnest([2, 6]) AS m), (SELECT unnest([1, 5]) AS v)")
+@query("step_cost", full("w2") + "SELECT d::INT AS d, m::INT AS m, v::INT AS views, d * (1 + m) * v AS step, e AS edges, e * d * (1 + m) * v AS total FROM (SELECT (SELECT count(*) FROM uv) + (SELECT count(*) FROM gv) AS e), (SELECT unnest([16, 32, 64, 128]) AS d), (SELECT unnest([2, 6]) AS m), (SELECT unnest([1, 5]) AS v)")
 def _(spark, d):
-    rows = [(a, m, v, ev.cost_model(a, m, v, 1)["step"]) for a in (16, 32, 64, 128) for m in (2, 6) for v in (1, 5)]
-    return spark.createDataFrame(rows, "d int, m int, views int, step long")
+    """Multiply-adds of a step, and of one pass over the edges of both graphs."""
+    w = WORKLOADS["w2"](spark, d)
+    edges = w.uv.count() + w.gv.count()
+    costs = [(a, m, v, ev.cost_model(a, m, v, edges)) for a in (16, 32, 64, 128) for m in (2, 6) for v in (1, 5)]
+    return spark.createDataFrame([(a, m, v, c["step"], c["steps"], c["total"]) for a, m, v, c in costs], "d int, m int, views int, step long, edges long, total long")
 
 
 @query("exp_overall_w2")
