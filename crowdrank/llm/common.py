@@ -29,13 +29,14 @@ def shared_dir(spark: SparkSession) -> str:
 def cut(df: DataFrame, thin: bool = False) -> DataFrame:
     """Write ``df`` to the shared folder and read it back: lineage ends, lost executors lose nothing.
 
-    ``thin``: narrow rows (labels, edges) are written by as many tasks as twice the cores, not by one
-    a shuffle partition, so small tables do not become thousands of files.
+    ``thin``: narrow rows (labels, edges) are written by an eighth as many tasks as there are shuffle
+    partitions, or twice the cores if that is more, so small tables do not become thousands of files.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/cut-{uuid.uuid4().hex}"
     if thin:
-        df = df.coalesce(max(8, 2 * spark.sparkContext.defaultParallelism))
+        most = int(spark.conf.get("spark.sql.shuffle.partitions", "200")) // 8
+        df = df.coalesce(max(8, 2 * spark.sparkContext.defaultParallelism, most))
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
