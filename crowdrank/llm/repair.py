@@ -22,7 +22,7 @@ import numpy as np
 MAGIC = b"RPSHARD2"
 
 
-_SLOTS = 1 << 21
+_SLOTS = 1 << 20
 
 
 def _slot(keys: np.ndarray) -> np.ndarray:
@@ -157,6 +157,8 @@ def write_shard(docs: list[int | None], counts: np.ndarray, rules: np.ndarray, s
 class Shard:
     """Random access to the documents of a shard; a rule is expanded when first needed."""
 
+    _terminals: list[bytes] = []
+
     def __init__(self, blob: bytes) -> None:
         if blob[:8] != MAGIC:
             raise ValueError("not a shard of this format")
@@ -176,10 +178,20 @@ class Shard:
         self.lengths = np.frombuffer(take(4 * r), "<u4")
         self.symbols = _unpack24(take(3 * s))
         self._known: dict[int, bytes] = {}
+        self._all: list[bytes] | None = None
+
+    def expand_all(self) -> None:
+        """Expand every rule at once, for readers of the whole shard."""
+        if len(Shard._terminals) < self.first:
+            Shard._terminals = [i.to_bytes(4, "little") for i in range(self.first)]
+        known = Shard._terminals[: self.first]
+        for a, b in self.rules.tolist():
+            known.append(known[a] + known[b])
+        self._all = known
 
     def expand(self, symbol: int) -> bytes:
         """Ids of a symbol, as little-endian 32-bit integers."""
-        known, first, todo = self._known, self.first, [symbol]
+        known, first, todo = self._known, self.first, [] if symbol in self._known else [symbol]
         while todo:
             x = todo[-1]
             if x in known:
@@ -214,8 +226,8 @@ class Shard:
             ends = np.cumsum(sizes)
             lo, hi = int(np.searchsorted(ends, start, side="right")), int(np.searchsorted(ends, stop)) + 1
             own, cut = own[lo:hi], start - (int(ends[lo - 1]) if lo else 0)
-        known, parts = self._known, []
-        for x in own.tolist():
-            part = known.get(x)
-            parts.append(self.expand(x) if part is None else part)
+        if self._all is not None:
+            parts = map(self._all.__getitem__, own.tolist())
+        else:
+            parts = map(self.expand, own.tolist())
         return b"".join(parts)[4 * cut : 4 * (cut + stop - start)]

@@ -99,6 +99,7 @@ def read_ids(spark, path: str, keep_ids: bool = False) -> DataFrame:
         for b in batches:
             for part, at, blob in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), strict=True):
                 s = Shard(blob.as_py())
+                s.expand_all()
                 for lo in range(0, len(s.docs), 4096):
                     rows = [s.ids(i) for i in range(lo, min(lo + 4096, len(s.docs)))]
                     n = np.array([len(x) // 4 for x in rows])
