@@ -50,8 +50,7 @@ def mine_groups(log: DataFrame, uu: DataFrame, cell: Cols, least: int = 2, mode:
     """
     names = ["item_id", "bucket"]
     present = log.select("user_id", *cell, "ts").groupBy("user_id", *names).agg(F.max("ts").alias("ts"))
-    here = present.select(*names, F.col("user_id").alias("a")).join(uu.select(F.col("src").alias("a"), F.col("dst").alias("b")), "a")
-    pairs = here.join(present.select(*names, F.col("user_id").alias("b")), [*names, "b"], "left_semi")
+    pairs = _tied_in_cells(present, uu, names)
     if mode == "pairwise":
         sets = pairs.filter("a < b").select(*names, F.array("a", "b").alias("members"))
     elif mode == "clique":
@@ -63,6 +62,21 @@ def mine_groups(log: DataFrame, uu: DataFrame, cell: Cols, least: int = 2, mode:
     return last.select(group_key(F.col("members")).alias("group_key"), "members", "item_id", "ts")
 
 
+def _tied_in_cells(present: DataFrame, uu: DataFrame, names: list[str], most: int = 8) -> DataFrame:
+    """``names, a, b``: tied users of the same cell, both directions.
+
+    Where cells are small (pairs of a cell at most ``most`` times the rows) pairs are made within cells
+    and kept if tied; otherwise users meet their friends first and those in the same cell are kept.
+    """
+    a = present.select(*names, F.col("user_id").alias("a"))
+    b = present.select(*names, F.col("user_id").alias("b"))
+    ties = uu.select(F.col("src").alias("a"), F.col("dst").alias("b"))
+    sizes = present.groupBy(*names).count().agg(F.sum("count").alias("n"), F.sum(F.col("count") * (F.col("count") - 1)).alias("pairs")).first()
+    if (sizes["pairs"] or 0) <= most * (sizes["n"] or 0):
+        return a.join(b.toDF(*b.columns), names).filter("a <> b").join(ties, ["a", "b"], "left_semi").select(*names, "a", "b")
+    return a.join(ties, "a").join(b, [*names, "b"], "left_semi").select(*names, "a", "b")
+
+
 def _ddl(df: DataFrame, names: list[str]) -> str:
     return ", ".join(f"{n} {df.schema[n].dataType.simpleString()}" for n in names)
 
