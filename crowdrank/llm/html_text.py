@@ -7,9 +7,9 @@ Lines in marked boilerplate always go. Of all others differencing decides:
 
 * a line outside any article goes if a nearest page shares it; one of ``LONG`` words or more must be
   shared with both nearest pages, where there are two;
-* inside an article boilerplate stands at the edges: lines of up to ``SHORT`` words go from its
-  beginning and its end as long as both nearest pages share them; paragraphs within stay, as two
-  articles may really quote the same;
+* inside an article boilerplate stands at the edges: lines of up to ``SHORT`` words that do not end like
+  a sentence go from its beginning and its end as long as both nearest pages share them; sentences and
+  paragraphs within stay, as two articles may really say the same;
 * a page that shares more than half of the words in question is a copy and decides nothing.
 
 Pages are parsed once for their line hashes and once, when the decisions are known, for their text.
@@ -66,6 +66,8 @@ _ATTRIBUTE = re.compile(r"""\b(class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s
 _PART = re.compile(r"[A-Z]?[a-z]+|[A-Z]+(?![a-z])")
 ARTICLE, OPEN, BOILERPLATE = 0, 1, 2
 LONG, SHORT = 20, 12
+#: How a sentence ends. Such a line has ``SENTENCE`` added to its kind.
+SENTENCE, ENDINGS = 4, ".,:;!?\u2026\u3002\uff01\uff1f\"'\u00bb\u201d\u2019)"
 
 
 def marked(value: str) -> bool:
@@ -234,7 +236,7 @@ def deleted(kinds: bytes, words: list[int], sides: list[set[int]]) -> list[int]:
     """Places of unmarked lines that differencing deletes; ``sides``: what each nearest page shares."""
     gone = []
     for kind in (OPEN, ARTICLE):
-        own = [i for i, k in enumerate(kinds) if k == kind]
+        own = [i for i, k in enumerate(kinds) if k & 3 == kind]
         total = sum(words[i] for i in own)
         judges = [s for s in sides if 2 * sum(words[i] for i in own if i in s) <= total]
         if not own or not judges:
@@ -244,7 +246,7 @@ def deleted(kinds: bytes, words: list[int], sides: list[set[int]]) -> list[int]:
         elif len(judges) == 2:
             for edge in (own, own[::-1]):
                 for i in edge:
-                    if words[i] > SHORT or not all(i in s for s in judges):
+                    if words[i] > SHORT or kinds[i] & SENTENCE or not all(i in s for s in judges):
                         break
                     gone.append(i)
     return sorted(set(gone))
@@ -279,7 +281,7 @@ def hashed_lines(pages: DataFrame) -> DataFrame:
             for lo in range(0, b.num_rows, 256):
                 own = b.slice(lo, 256)
                 found = [page_lines(h.as_py()) for h in own.column(5)]
-                cols = [pa.array([[_hash(t) for t, _ in lines] for lines in found], pa.list_(pa.int64())), pa.array([bytes(k for _, k in lines) for lines in found], pa.binary()), pa.array([[t.count(" ") + 1 for t, _ in lines] for lines in found], pa.list_(pa.int32()))]
+                cols = [pa.array([[_hash(t) for t, _ in lines] for lines in found], pa.list_(pa.int64())), pa.array([bytes(k + SENTENCE * (t[-1] in ENDINGS) for t, k in lines) for lines in found], pa.binary()), pa.array([[t.count(" ") + 1 for t, _ in lines] for lines in found], pa.list_(pa.int32()))]
                 yield pa.RecordBatch.from_arrays([*(own.column(i) for i in range(5)), *cols], ["page_id", "url", "hh", "host", "path", "lines", "kinds", "words"])
 
     return keyed.mapInArrow(lean(run), "page_id long, url string, hh long, host string, path string, lines array<long>, kinds binary, words array<int>")

@@ -221,7 +221,7 @@ def brute_extract(pages):
             elif len(judges) == 2:
                 for seq in (own, own[::-1]):
                     for k in seq:
-                        if size([k]) > html_text.SHORT or not all(k in s for s in judges):
+                        if size([k]) > html_text.SHORT or lines[i][k][0][-1] in html_text.ENDINGS or not all(k in s for s in judges):
                             break
                         gone.add(k)
         out[page] = "\n".join(t for k, (t, x) in enumerate(lines[i]) if x != html_text.BOILERPLATE and k not in gone)
@@ -261,6 +261,15 @@ def test_pages_by_row(spark):
     assert [len(t.split("\n")) for i, _, t in got if i == 2] == [3000]
 
 
+def test_articles_that_say_the_same_stay_whole(spark):
+    """A sentence that ends three neighbouring articles is text; a bare label there is not."""
+    html = "<article><h1>Title {i}</h1><p>Paragraph {i} " + "word " * 20 + "<p>The same last words.<p>{label}</article>"
+    pages = [(i, f"http://h.org/{i}", html.replace("{i}", str(i)).replace("{label}", "Share this")) for i in range(3)]
+    got = {r["page_id"]: r["text"].split("\n") for r in html_text.extract(spark.createDataFrame(pages, "page_id long, url string, html string")).collect()}
+    assert got[1][-1] == "The same last words." and len(got[1]) == 3
+    assert got[0][-1] == got[2][-1] == "Share this"
+
+
 MARKUP = [
     ("<article><p>a<p class='share'>x<p>Article</article>", "a\nArticle"),
     ("<ul><li class='promo'>ad<li>keep</ul><p>Body", "keep\nBody"),
