@@ -170,11 +170,20 @@ def graph_stats(uv: DataFrame, gv: DataFrame, members: DataFrame, uu: DataFrame)
     """Users, groups, items, average group size, interactions by group and user, friends by user."""
     n = lambda df, c: df.agg(F.count_distinct(c).alias("n"))
     r = lambda df, a, b, name: df.agg(F.round(F.count("*") / F.count_distinct(a), 6).alias(name))
-    parts = [n(uv, "user_id").withColumnRenamed("n", "users"), n(gv, "group_key").withColumnRenamed("n", "groups"), n(uv, "item_id").withColumnRenamed("n", "items"), r(members, "group_key", "user_id", "avg_group_size"), r(gv, "group_key", "item_id", "interactions_per_group"), r(uv, "user_id", "item_id", "items_per_user"), uu.agg(F.count("*").alias("ties"))]
+    parts = [
+        n(uv, "user_id").withColumnRenamed("n", "users"),
+        n(gv, "group_key").withColumnRenamed("n", "groups"),
+        n(uv, "item_id").withColumnRenamed("n", "items"),
+        r(members, "group_key", "user_id", "avg_group_size"),
+        r(gv, "group_key", "item_id", "interactions_per_group"),
+        r(uv, "user_id", "item_id", "items_per_user"),
+        uu.agg(F.count("*").alias("ties")),
+    ]
     out = parts[0]
     for p in parts[1:]:
         out = out.crossJoin(p)  # one row each
-    return out.select("users", "groups", "items", "avg_group_size", "interactions_per_group", "items_per_user", F.round(F.col("ties") / F.col("users"), 6).alias("friends_per_user"))
+    friends = F.round(F.col("ties") / F.col("users"), 6).alias("friends_per_user")
+    return out.select("users", "groups", "items", "avg_group_size", "interactions_per_group", "items_per_user", friends)
 
 
 def density(edges: DataFrame, left: str, right: str) -> DataFrame:

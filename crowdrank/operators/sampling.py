@@ -96,5 +96,12 @@ def draw_negatives(pos: DataFrame, noise: DataFrame, m: int, seed: int = 0, obse
 
 def noise_report(noise: DataFrame, popularity: DataFrame) -> DataFrame:
     """Entropy, variance, distance from uniform and expected popularity of what is drawn."""
-    x = noise.join(popularity.select(F.col("id").alias("item_id"), F.col("degree").alias("pop")), "item_id").join(F.broadcast(noise.agg(F.count("*").alias("n"))))
-    return x.agg(F.count("*").alias("n"), F.round(-F.sum(F.col("p") * F.log("p")), 6).alias("entropy"), F.round(F.var_pop("p") * 1e9, 6).alias("variance_e9"), F.round(F.sum(F.abs(F.col("p") - 1 / F.col("n"))) / 2, 6).alias("from_uniform"), F.round(F.sum(F.col("p") * F.col("pop")), 6).alias("mean_popularity"))
+    n = noise.agg(F.count("*").alias("n"))
+    x = noise.join(popularity.select(F.col("id").alias("item_id"), F.col("degree").alias("pop")), "item_id").join(F.broadcast(n))
+    return x.agg(
+        F.count("*").alias("n"),
+        F.round(-F.sum(F.col("p") * F.log("p")), 6).alias("entropy"),
+        F.round(F.var_pop("p") * 1e9, 6).alias("variance_e9"),
+        F.round(F.sum(F.abs(F.col("p") - 1 / F.col("n"))) / 2, 6).alias("from_uniform"),
+        F.round(F.sum(F.col("p") * F.col("pop")), 6).alias("mean_popularity"),
+    )

@@ -214,8 +214,10 @@ def fit(uv: DataFrame, uu: DataFrame, records: DataFrame, c: Config, users: Data
         if c.aggregate == "voting":
             rows = rows.union(part_rows(need_u.join(mean_around(uv, uu, users, items, c.d), "id"), "a", x="x"))
         moved = graph.store(rows.groupBy("unit").applyInArrow(_step(P, c, stage, r), "what string, id long, x array<double>"))
-        users, items = (graph.store(table.join(averaged(moved, what, c.d), "id", "left").select("id", F.when(F.col("g").isNull(), F.col("vec")).otherwise(F.zip_with("vec", "g", lambda a, b: a + b)).alias("vec"))) for table, what in ((users, "u"), (items, "v")))
-        dense = moved.filter("what NOT IN ('u', 'v')").select("what", F.posexplode("x").alias("k", "g")).groupBy("what", "k").agg(F.avg("g").alias("g")).groupBy("what").agg(F.array_sort(F.collect_list(F.struct("k", "g"))).alias("g")).collect()
+        add = F.when(F.col("g").isNull(), F.col("vec")).otherwise(F.zip_with("vec", "g", lambda a, b: a + b))
+        users, items = (graph.store(table.join(averaged(moved, what, c.d), "id", "left").select("id", add.alias("vec"))) for table, what in ((users, "u"), (items, "v")))
+        flat = moved.filter("what NOT IN ('u', 'v')").select("what", F.posexplode("x").alias("k", "g"))
+        dense = flat.groupBy("what", "k").agg(F.avg("g").alias("g")).groupBy("what").agg(F.array_sort(F.collect_list(F.struct("k", "g"))).alias("g")).collect()
         got = {row["what"]: np.array([z["g"] for z in row["g"]]) for row in dense}
         losses.append(float(got.pop("loss")[0]) if "loss" in got else 0.0)
         P = {k: v + got[f"p:{k}"].reshape(v.shape) if f"p:{k}" in got else v for k, v in P.items()}

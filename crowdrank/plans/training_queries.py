@@ -40,6 +40,8 @@ METHODS = {
     "metric": Config(aggregate="metric", loss="hinge", mode="simple"),
     "neural_cf": Config(aggregate="ncf", mode="simple"),
 }
+#: Local epochs a round where the tables carry no preference to learn and edges are many.
+SHORT = 6
 #: The settings of the overall comparisons; popularity and random vectors come as floors.
 OVERALL = ("consensus", "voting", "influence", "metric", "neural_cf")
 
@@ -54,14 +56,18 @@ def run(w, name: str, c: Config, parts=None) -> DataFrame:
     return tr.measures(tr.evaluate_groups(tr.fit(w.uv, w.uu, train, c), test, train), name)
 
 
+def short(methods: dict[str, Config]) -> dict[str, Config]:
+    return {k: replace(c, local=SHORT) for k, c in methods.items()}
+
+
 def compare(w, methods: dict[str, Config], floors: bool = False) -> DataFrame:
     parts = train, test = split(w)
     out = None
     if floors:
         for name, vectors in (("popularity", rk.popularity_vectors), ("random", rk.random_vectors)):
-            part = tr.measures(rk.truth_rank_blocks(test, *vectors(w.uv, g.membership(test)), seen=train), name)
+            part = g.store(tr.measures(rk.truth_rank_blocks(test, *vectors(w.uv, g.membership(test)), seen=train), name))
             out = part if out is None else out.union(part)
-        out = out.union(static_rows(w, parts))
+        out = out.union(static_rows(w, parts, next(iter(methods.values())).local))
     for name, c in methods.items():
         part = g.store(run(w, name, c, parts))
         out = part if out is None else out.union(part)
@@ -169,7 +175,7 @@ def personal_parts(w):
     return g.store(w.uv.filter(~held)), g.store(w.uv.filter(held))
 
 
-def personal_ranks(w, method: str, parts=None) -> DataFrame:
+def personal_ranks(w, method: str, parts=None, local: int = Config().local) -> DataFrame:
     train, test = parts or personal_parts(w)
     keyed = lambda df: df.select(F.col("user_id").cast("string").alias("group_key"), "item_id")
     if method == "als":
@@ -181,7 +187,7 @@ def personal_ranks(w, method: str, parts=None) -> DataFrame:
         users, items, score = wide(als.userFactors), wide(als.itemFactors), None
     else:
         c = {"embedder": Config(aggregate="mean"), "pairwise_mf": Config(aggregate="mean", loss="pair"), "neural_cf": Config(aggregate="ncf")}[method]
-        m = tr.fit(train, w.uu, no_records(train), replace(c, eta=1e9))
+        m = tr.fit(train, w.uu, no_records(train), replace(c, eta=1e9, local=local))
         users, items, score = m.users, m.items, tr.scorer(m)
     return rk.truth_rank_blocks(keyed(test), users.select(F.col("id").cast("string").alias("group_key"), "vec"), items, seen=keyed(train), score=score)
 
@@ -205,10 +211,10 @@ def _(spark, d):
     return compare(WORKLOADS["w3"](spark, d), {k: METHODS[k] for k in OVERALL}, floors=True)
 
 
-def static_rows(w, parts) -> DataFrame:
+def static_rows(w, parts, local: int = Config().local) -> DataFrame:
     """The three static strategies over vectors of the bipartite embedder, and groups as virtual users."""
     train, test = parts
-    m = tr.fit(w.uv, w.uu, train.limit(0), Config(aggregate="mean", eta=1e9))
+    m = tr.fit(w.uv, w.uu, train.limit(0), Config(aggregate="mean", eta=1e9, local=local))
     out = g.store(tr.measures(virtual_ranks(w, train, test), "virtual_user"))
     for how in ("avg", "min", "max"):
         out = out.union(g.store(tr.measures(rk.static_truth_rank(test, g.membership(test), m.users, m.items, how, seen=train), how)))
@@ -221,9 +227,11 @@ def _(spark, d):
     return static_rows(w, split(w))
 
 
-for _w, _build in WORKLOADS.items():
-    query(f"exp_user_embedding_{_w}")(lambda spark, d, b=_build: compare(b(spark, d), {k: METHODS[k] for k in ("no_convolution", "plain_convolution", "consensus")}))
-    query(f"exp_training_{_w}")(lambda spark, d, b=_build: compare(b(spark, d), {k: replace(METHODS[k], views=()) for k in ("simple", "two_stage", "joint_degree", "consensus")}))
+EMBEDDING = {k: METHODS[k] for k in ("no_convolution", "plain_convolution", "consensus")}
+TRAINING = {k: replace(METHODS[k], views=()) for k in ("simple", "two_stage", "joint_degree", "consensus")}
+for _w, _cut in (("w1", short), ("w2", short), ("w3", dict)):
+    query(f"exp_user_embedding_{_w}")(lambda spark, d, w=_w, f=_cut: compare(WORKLOADS[w](spark, d), f(EMBEDDING)))
+    query(f"exp_training_{_w}")(lambda spark, d, w=_w, f=_cut: compare(WORKLOADS[w](spark, d), f(TRAINING)))
 
 
 @query("exp_user_embedding_w4")
@@ -266,10 +274,10 @@ for _name, (_values, _change) in SWEEPS.items():
     query(f"exp_{_name}")(lambda spark, d, n=_name, v=_values, f=_change: sweep(spark, d, n, v, f))
 
 
-def personal_rows(w) -> DataFrame:
+def personal_rows(w, local: int = Config().local) -> DataFrame:
     parts, out = personal_parts(w), None
     for method in ("embedder", "pairwise_mf", "als", "neural_cf"):
-        part = g.store(tr.measures(personal_ranks(w, method, parts), method))
+        part = g.store(tr.measures(personal_ranks(w, method, parts, local), method))
         out = part if out is None else out.union(part)
     return out
 
@@ -282,7 +290,7 @@ def _(spark, d):
 @query("exp_personal_w1")
 def _(spark, d):
     """Customers and parts: the tables carry no preference to learn, so this checks scale, not order."""
-    return personal_rows(WORKLOADS["w1"](spark, d))
+    return personal_rows(WORKLOADS["w1"](spark, d), SHORT)
 
 
 @query("convergence_curve")
@@ -327,7 +335,7 @@ def _(spark, d):
 @query("exp_overall_w2")
 def _(spark, d):
     """Explicit teams; the tables carry no preference to learn, so this checks scale, not order."""
-    return compare(WORKLOADS["w2"](spark, d), {k: METHODS[k] for k in (*OVERALL, "mean_aggregation")}, floors=True)
+    return compare(WORKLOADS["w2"](spark, d), short({k: METHODS[k] for k in (*OVERALL, "mean_aggregation")}), floors=True)
 
 
 @query("bench_step_cost")

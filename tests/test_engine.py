@@ -12,7 +12,11 @@ from crowdrank.operators import sampling as sm
 
 DIR = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events embeddings".split()
-TWINS = ["uv_edges_w2", "groups_w1", "stats_w2", "cold_groups", "pagerank_10", "betweenness_small", "noise_group_aware", "multi_head", "attentive_pool", "convolve_mean", "exact_loss", "sgd_step", "truth_rank", "join_asof_popularity", "agg_cube", "window_range_days", "fn_array", "stream_session_groups"]
+TWINS = (
+    "uv_edges_w2 groups_w1 stats_w2 cold_groups pagerank_10 betweenness_small noise_group_aware noise_report multi_head attentive_pool "
+    "convolve_mean exact_loss group_ns_loss user_ns_loss joint_loss negatives_drawn negatives_unobserved sgd_step truth_rank rank_static "
+    "paired_test planted_records join_asof_popularity join_range_mass agg_cube window_range_days fn_array stream_session_groups stream_late_rows"
+).split()
 
 
 @pytest.mark.parametrize("name", TWINS)

@@ -25,4 +25,5 @@ def test_overall_trains_every_setting_in_full(monkeypatch, name):
     monkeypatch.setattr(t, "planted", lambda spark, d: None)
     monkeypatch.setattr(t, "WORKLOADS", {k: lambda spark, d: None for k in ("w2", "w3")})
     t.QUERIES[f"exp_overall_{name}"](None, None)
-    assert {k: seen[k] for k in t.OVERALL} == {k: t.METHODS[k] for k in t.OVERALL}
+    want = {k: t.METHODS[k] for k in t.OVERALL}
+    assert {k: seen[k] for k in t.OVERALL} == (t.short(want) if name == "w2" else want)
