@@ -2,9 +2,17 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from crowdrank.operators.graph import dealt, flat_lists, store
+from crowdrank.operators.represent import digest
+
+#: Members of the groups whose noise one task adds up.
+MEMBER_ROWS = 524_288
+
 
 def ranges(mass: DataFrame) -> DataFrame:
     """``item_id, mass, p, lo, hi``: cumulative shares in item order.
@@ -37,15 +45,42 @@ def group_aware_noise(membership: DataFrame, uv: DataFrame, gamma: float = 1.0,
     ``pop`` is the members' popularity of the item; ``rest`` the mass of each untouched item and
     ``touched`` their number, so the distribution over all items is complete without a dense table.
     """
-    pop = membership.join(uv.select("user_id", "item_id", "w"), "user_id").groupBy("group_key", "item_id").agg(F.sum("w").alias("pop"))
-    pop = pop.withColumn("mass", F.pow(F.col("pop") + gamma, F.lit(power)))
-    total = pop.groupBy("group_key").agg(F.sum("mass").alias("m"), F.count("*").alias("touched"))
+    sets = membership.groupBy(digest("group_key").alias("_k")).agg(F.collect_set("user_id").alias("members"))
+    sets = store(sets.withColumn("n", F.size("members")))
+    shares = max(1, -(-(sets.agg(F.sum("n")).first()[0] or 0) // MEMBER_ROWS))
+    rows = sets.withColumn("_b", F.pmod(F.xxhash64("_k"), F.lit(shares)).cast("int"))
+    taste = uv.groupBy("user_id").agg(F.collect_list(F.struct("item_id", "w")).alias("s")).select("user_id", F.col("s.item_id").alias("ids"), F.col("s.w").alias("x"))
+    pops = dealt(rows, rows.select("_b", F.explode("members").alias("user_id")), taste).applyInArrow(_added, "_k binary, ids array<long>, pops array<double>")
+    mass = F.transform("pops", lambda x: F.pow(x + gamma, F.lit(power)))
+    pops = pops.withColumn("m", F.aggregate(mass, F.lit(0.0), lambda s, x: s + x)).withColumn("touched", F.size("ids").cast("long"))
+    keys = membership.select("group_key").distinct().withColumn("_k", digest("group_key"))
     items = uv.agg(F.count_distinct("item_id").alias("items"))
+    pop = keys.join(pops.toDF(*pops.columns), "_k").select("group_key", "m", "touched", F.explode(F.arrays_zip("ids", "pops")).alias("z"))
+    pop = pop.select("group_key", F.col("z.ids").alias("item_id"), F.col("z.pops").alias("pop"), "m", "touched").withColumn("mass", F.pow(F.col("pop") + gamma, F.lit(power)))
     rest = gamma**power
-    out = pop.join(total, "group_key").join(F.broadcast(items))
+    out = pop.join(F.broadcast(items))
     return out.select("group_key", "item_id", "pop", "mass", "touched", (F.col("mass") / (F.col("m") + (F.col("items") - F.col("touched")) * rest)).alias("p"), F.lit(rest).alias("rest"))
 
 
+def _added(a: pa.Table, b: pa.Table) -> pa.Table:
+    """The members' popularity of each item that one of them touched, group by group."""
+    keys, ids, pops = [], [], []
+    if a.num_rows and b.num_rows:
+        at = {u: i for i, u in enumerate(b["user_id"].to_pylist())}
+        (cuts, item), (_, w) = flat_lists(b["ids"]), flat_lists(b["x"])
+        names, codes = np.unique(item, return_inverse=True)
+        for key, members in zip(a["_k"].to_pylist(), a["members"].to_pylist(), strict=True):
+            own = [slice(cuts[i], cuts[i + 1]) for i in (at[u] for u in members if u in at)]
+            if own:
+                hit, back = np.unique(np.concatenate([codes[s] for s in own]), return_inverse=True)
+                keys.append(key)
+                ids.append(names[hit])
+                pops.append(np.bincount(back, np.concatenate([w[s] for s in own])))
+    cuts = np.cumsum([0, *map(len, ids)]).astype(np.int32)
+    flat = lambda x, kind: pa.ListArray.from_arrays(cuts, pa.array(np.concatenate(x) if x else [], kind))
+    return pa.table({"_k": pa.array(keys, pa.binary()), "ids": flat(ids, pa.int64()), "pops": flat(pops, pa.float64())})
+
+
 def unit(a: Column, b: Column, c: Column) -> Column:
     """A reproducible number in (0, 1) for three ids."""
     return (F.pmod(a * 7919 + b * 104729 + c * 1299709, F.lit(1000003)) + 0.5) / 1000003.0
