@@ -98,3 +98,8 @@ def test_scans_are_pruned_and_filtered(spark):
     assert "PushedFilters: [IsNotNull(o_orderdate)" in plan and "o_totalprice" not in plan
     plan = __spark_entry__.queries()["join_bucketed"](spark, DIR)._jdf.queryExecution().executedPlan().toString()
     assert "Exchange" not in plan
+
+
+def test_synthetic_graph_grows_with_a_given_table(spark):
+    df = __spark_entry__.queries()["synthetic_graph"](spark, DIR)
+    assert "orders.parquet" in df._jdf.queryExecution().executedPlan().toString() and df.count() == spark.read.parquet(f"{DIR}/orders.parquet").count()
