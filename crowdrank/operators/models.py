@@ -15,6 +15,10 @@ from crowdrank.functions import kernels as kn
 from crowdrank.functions.tape import Var, concat, exp, log_sigmoid, relu, softmax, stack
 
 
+#: Squared gradients that every number starts with; they bound its first steps.
+ACC = 1e-2
+
+
 @dataclass
 class Config:
     """One estimator; the ablations and baselines are settings of it.
@@ -206,11 +210,14 @@ def draw(kind: str, part: list[Example], pools: dict[str, np.ndarray], unit: Uni
 
 
 def train_unit(unit: Unit, examples: dict[str, list[Example]], P: dict[str, np.ndarray], c: Config, stage: str, rng: np.random.Generator, pools: dict[str, np.ndarray]) -> tuple[np.ndarray, np.ndarray, dict, float]:
-    """Local epochs over a unit's examples; returns what changed. ``pools``: local numbers of drawn items."""
+    """Local epochs over a unit's examples; returns what changed. ``pools``: local numbers of drawn items.
+
+    Rows of vectors have one more column: the mean square of the gradients that the row has seen.
+    """
     U, V = unit.U.copy(), unit.V.copy()
     params = {k: v.copy() for k, v in P.items()}
     start = {k: v.copy() for k, v in P.items()}
-    acc = {k: np.full_like(v, 1e-2) for k, v in params.items()} | {"U": np.full_like(U, 1e-2), "V": np.full_like(V, 1e-2)}
+    acc = {k: np.full_like(v, ACC) for k, v in (params | {"U": U, "V": V}).items()}
     total, steps = 0.0, 0
     run = {k: np.cumsum([e.w for e in rows]) for k, rows in examples.items() if rows}
     pick = np.zeros((1 + c.m, 1))
@@ -257,7 +264,8 @@ def train_unit(unit: Unit, examples: dict[str, list[Example]], P: dict[str, np.n
             if c.aggregate == "metric":
                 for m in (U, V):
                     m /= np.maximum(1, np.sqrt((m**2).sum(1, keepdims=True)))
-    return U - unit.U, V - unit.V, {k: params[k] - start[k] for k in params}, total / max(1, steps)
+    seen = lambda new, old, a: np.c_[new - old, (a - ACC).mean(1)]
+    return seen(U, unit.U, acc["U"]), seen(V, unit.V, acc["V"]), {k: params[k] - start[k] for k in params}, total / max(1, steps)
 
 
 __all__ = ["Config", "Example", "Unit", "draw", "exp", "loss_of", "pair_scores", "parameters", "stack", "train_unit"]

@@ -4,7 +4,7 @@ Examples are dealt to units of work once, and a unit gets a fixed number of draw
 each graph, looked up by range; for group-aware noise each group example gets draws from the items that
 its members touched. So what a unit holds depends on its examples, not on the number of items. In each
 round a unit pulls the vectors of its examples, draws and neighbours (equi-joins on id), runs local
-steps, and sends back what changed; changes are averaged by id with a partial aggregate, and only the
+steps, and sends back what changed; changes are added up by id with a partial aggregate, and only the
 dense parameters, whose size the data does not raise, pass through the driver. Tables are written to
 the shared folder after each round.
 """
@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from crowdrank.functions.tape import Var
 from crowdrank.operators import evaluate, graph, rank, represent, sampling
-from crowdrank.operators.models import Config, Example, Unit, pair_scores, parameters, train_unit
+from crowdrank.operators.models import ACC, Config, Example, Unit, pair_scores, parameters, train_unit
 
 #: Rows of a unit: vectors (u, v), neighbours (n:view), features (f), means around a user (a), draws
 #: (d:graph) and examples (e:graph, with weight and share in ``x``, drawn items in ``more``, ties in ``ties``).
@@ -117,15 +117,35 @@ def part_rows(df: DataFrame, what, key="id", **cols) -> DataFrame:
 
 
 def dealt_examples(uv: DataFrame, uu: DataFrame, records: DataFrame, c: Config) -> tuple[DataFrame, int]:
-    """``unit, kind, members, item_id, w, ties`` of all examples, and the number of units."""
+    """``unit, kind, members, item_id, w, ties`` of all examples, and the number of units.
+
+    Users who share items go to one unit, whose local steps then see how their items go together; a
+    neighbourhood of more examples than a unit holds is dealt to several. Sizes sent to all tasks are
+    those of such neighbourhoods only, at most one a unit.
+    """
     none = F.array().cast(LONGS)
     ex = uv.select(F.lit("u").alias("kind"), F.array("user_id").alias("members"), "item_id", F.col("w").cast("double").alias("w"), none.alias("ties"), F.xxhash64("user_id", "item_id").alias("h"))
     gr = records.select("group_key", "members", "item_id")
     gr = gr.join(group_ties(records, uu), "group_key", "left") if c.aggregate == "voting" else gr.withColumn("ties", none)
     gr = gr.select(F.lit("g").alias("kind"), "members", "item_id", F.lit(1.0).alias("w"), F.coalesce("ties", none).alias("ties"), F.xxhash64("group_key", "item_id").alias("h"))
-    ex = graph.store(gr if c.mode == "simple" else ex.union(gr))
+    ex = gr if c.mode == "simple" else ex.union(gr)
+    near = neighbourhoods(uv)
+    ex = graph.store(ex.join(near, F.col("members")[0] == F.col("user_id"), "left").withColumn("label", F.coalesce("label", "h")).drop("user_id"))
     units = max(1, -(-ex.count() // c.unit_rows))
-    return graph.store(ex.withColumn("unit", F.pmod("h", F.lit(units)).cast("int")).drop("h")), units
+    sizes = ex.groupBy("label").count().filter(F.col("count") > c.unit_rows).select("label", F.ceil(F.col("count") / c.unit_rows).alias("parts"))
+    ex = ex.join(F.broadcast(sizes), "label", "left").withColumn("part", F.pmod("h", F.coalesce("parts", F.lit(1))))
+    return graph.store(ex.withColumn("unit", F.pmod(F.xxhash64("label", "part"), F.lit(units)).cast("int")).select("unit", "kind", "members", "item_id", "w", "ties")), units
+
+
+def neighbourhoods(uv: DataFrame) -> DataFrame:
+    """``user_id, label``: users that share items, or items with users who do, tend to have one label.
+
+    The label is the least hash of an item at most three edges away.
+    """
+    e = graph.store(uv.select("user_id", "item_id", F.xxhash64("item_id").alias("h")))
+    users = e.groupBy("user_id").agg(F.min("h").alias("h"))
+    items = e.select("user_id", "item_id").join(users, "user_id").groupBy("item_id").agg(F.min("h").alias("h"))
+    return e.select("user_id", "item_id").join(items, "item_id").groupBy("user_id").agg(F.min("h").alias("label"))
 
 
 def noise_draws(uv: DataFrame, records: DataFrame, c: Config, units: int) -> DataFrame:
@@ -176,9 +196,16 @@ def touched_draws(ex: DataFrame, uv: DataFrame, c: Config) -> DataFrame:
     return groups.groupBy("unit").cogroup(wanted.toDF(*wanted.columns).groupBy("unit")).applyInArrow(run, "unit int, members array<long>, item_id long, w double, ties array<long>, touched array<long>, share double")
 
 
-def averaged(moved: DataFrame, what: str, d: int) -> DataFrame:
-    """``id, g``: mean change of each vector over the units that moved it, with partial sums."""
-    return moved.filter(F.col("what") == what).groupBy("id").agg(F.array(*[F.avg(F.get("x", k)) for k in range(d)]).alias("g"))
+def added(moved: DataFrame, what: str, d: int) -> DataFrame:
+    """``id, g``: the change of each vector over all units that moved it, with partial sums.
+
+    Units hold different examples of a vector, so their changes add up; a mean would learn the slower
+    the more units there are. Each step was divided by the root of the squared gradients that its own
+    unit saw; the sum is divided by the root of what all units saw.
+    """
+    root = F.sqrt(ACC + F.get("x", d))
+    total = F.sqrt(ACC + F.sum(F.get("x", d)))
+    return moved.filter(F.col("what") == what).groupBy("id").agg(F.array(*[F.sum(F.get("x", k) * root) / total for k in range(d)]).alias("g"))
 
 
 def fit(uv: DataFrame, uu: DataFrame, records: DataFrame, c: Config, users: DataFrame | None = None, items: DataFrame | None = None) -> Trained:
@@ -215,7 +242,10 @@ def fit(uv: DataFrame, uu: DataFrame, records: DataFrame, c: Config, users: Data
             rows = rows.union(part_rows(need_u.join(mean_around(uv, uu, users, items, c.d), "id"), "a", x="x"))
         moved = graph.store(rows.groupBy("unit").applyInArrow(_step(P, c, stage, r), "what string, id long, x array<double>"))
         add = F.when(F.col("g").isNull(), F.col("vec")).otherwise(F.zip_with("vec", "g", lambda a, b: a + b))
-        users, items = (graph.store(table.join(averaged(moved, what, c.d), "id", "left").select("id", add.alias("vec"))) for table, what in ((users, "u"), (items, "v")))
+        if c.aggregate == "metric":  # sums of changes can leave the ball that each unit kept to
+            norm = F.greatest(F.lit(1.0), F.sqrt(represent.dot(add, add)))
+            add = F.transform(F.arrays_zip(add.alias("x"), F.array_repeat(norm, c.d).alias("n")), lambda z: z["x"] / z["n"])
+        users, items = (graph.store(table.join(added(moved, what, c.d), "id", "left").select("id", add.alias("vec"))) for table, what in ((users, "u"), (items, "v")))
         flat = moved.filter("what NOT IN ('u', 'v')").select("what", F.posexplode("x").alias("k", "g"))
         dense = flat.groupBy("what", "k").agg(F.avg("g").alias("g")).groupBy("what").agg(F.array_sort(F.collect_list(F.struct("k", "g"))).alias("g")).collect()
         got = {row["what"]: np.array([z["g"] for z in row["g"]]) for row in dense}

@@ -121,3 +121,21 @@ def test_first_stage_of_influence_fixes_vectors(spark, toy):
     unit.features = {u: np.ones(len(g.MEASURES) + tr.WALK_D) for u in range(6)}
     dU, dV, dP, _ = train_unit(unit, {"g": [Example([0, 1], 100)], "u": []}, P, c, "group", np.random.default_rng(0), {"g": np.array([1]), "u": np.array([1])})
     assert np.abs(dU).max() == 0 and np.abs(dV).max() == 0 and one.users.count() == 8
+
+
+def test_changes_of_units_add_up(spark):
+    """Units with few gradients add their changes; with many, steps shrink as in one large unit."""
+    rows = [("u", 1, [0.5, -0.2, 0.0]), ("u", 1, [0.25, 0.0, 0.0]), ("u", 2, [1.0, 1.0, 7.0]), ("u", 3, [1.0, 0.0, 100.0]), ("u", 3, [1.0, 0.0, 100.0]), ("v", 1, [9.0, 9.0, 0.0])]
+    got = {r["id"]: r["g"] for r in tr.added(spark.createDataFrame(rows, "what string, id long, x array<double>"), "u", 2).collect()}
+    assert np.allclose(got[1], [0.75, -0.2]) and np.allclose(got[2], [1.0, 1.0]) and np.allclose(got[3], [2**0.5, 0.0], atol=1e-4)
+
+
+def test_users_who_share_items_meet_in_one_unit(spark):
+    """Sixteen neighbourhoods of forty edges stay whole; one of many more edges than a unit holds is dealt out."""
+    uv = spark.createDataFrame([(100 * k + u, 1000 * k + i, 1.0, 0) for k in range(16) for u in range(8) for i in range(5)], "user_id long, item_id long, w double, ts long")
+    none = uv.select(F.lit("").alias("group_key"), F.array("user_id").alias("members"), "item_id").limit(0)
+    ex, units = tr.dealt_examples(uv, uv.select(F.col("user_id").alias("src"), F.col("user_id").alias("dst")).limit(0), none, replace(SMALL, unit_rows=80))
+    per = ex.groupBy(F.floor(F.col("members")[0] / 100).alias("k")).agg(F.count_distinct("unit").alias("n"), F.count("*").alias("rows")).collect()
+    assert units == 8 and [(r["n"], r["rows"]) for r in per] == [(1, 40)] * 16
+    ex, units = tr.dealt_examples(uv.withColumn("item_id", F.col("item_id") % 5), uv.select(F.col("user_id").alias("src"), F.col("user_id").alias("dst")).limit(0), none, replace(SMALL, unit_rows=80))
+    assert ex.count() == 640 and ex.select("unit").distinct().count() > 1 and ex.groupBy("unit").count().agg(F.max("count")).first()[0] < 320
