@@ -12,7 +12,7 @@ from dataclasses import dataclass
 import numpy as np
 
 from crowdrank.functions import kernels as kn
-from crowdrank.functions.tape import Var, concat, exp, log_sigmoid, relu, softmax, stack
+from crowdrank.functions.tape import Table, Var, concat, exp, log_sigmoid, relu, softmax, stack
 
 
 #: Squared gradients that every number starts with; they bound its first steps.
@@ -95,13 +95,21 @@ class Unit:
         self.U = np.array(list(users.values())) if users else np.zeros((0, 1))
         self.V = np.array(list(items.values())) if items else np.zeros((0, 1))
         self.near, self.features, self.around = near, features or {}, around or {}
+        self._padded: dict[str, tuple[np.ndarray, np.ndarray]] = {}
 
     def lists(self, ids: list[int], view: str) -> tuple[np.ndarray, np.ndarray]:
-        rows = [[self.user_at[n] for n in self.near.get(view, {}).get(u, ()) if n in self.user_at] for u in ids]
-        at, mask = np.zeros((len(rows), max([1, *map(len, rows)])), np.int64), np.zeros((len(rows), max([1, *map(len, rows)])), bool)
-        for i, r in enumerate(rows):
-            at[i, : len(r)], mask[i, : len(r)] = r, True
-        return at, mask
+        """Padded neighbours of ``ids``; the lists of all users are padded once."""
+        if view not in self._padded:
+            near = self.near.get(view, {})
+            rows = [[self.user_at[n] for n in near.get(u, ()) if n in self.user_at] for u in self.user_at]
+            at, mask = np.zeros((len(rows), max([1, *map(len, rows)])), np.int64), np.zeros((len(rows), max([1, *map(len, rows)])), bool)
+            for i, r in enumerate(rows):
+                at[i, : len(r)], mask[i, : len(r)] = r, True
+            self._padded[view] = at, mask
+        own = np.array([self.user_at[u] for u in ids], np.int64)
+        at, mask = (x[own] for x in self._padded[view])
+        n = max(1, int(mask.any(0).sum()))
+        return at[:, :n], mask[:, :n]
 
     def users(self, ids: list[int], U: Var, P: dict[str, Var], c: Config) -> Var:
         own = U.rows(np.array([self.user_at[u] for u in ids], np.int64))
@@ -202,10 +210,11 @@ def draw(kind: str, part: list[Example], pools: dict[str, np.ndarray], unit: Uni
     """Local numbers of ``m`` negatives a positive, from the draws that the unit got."""
     neg = rng.choice(pools[kind], (len(part), c.m))
     if kind == "g" and c.negatives == "group":  # sparse mixture: touched items by popularity, the others evenly
-        for i, e in enumerate(part):
-            if e.touched:
-                hit = rng.random(c.m) < e.share
-                neg[i, hit] = [unit.item_at[x] for x in rng.choice(e.touched, int(hit.sum()))]
+        count = np.array([len(e.touched or ()) for e in part])[:, None]
+        hit = (rng.random(neg.shape) < np.array([e.share for e in part])[:, None]) & (count > 0)
+        at = (rng.random(neg.shape) * count).astype(np.int64)
+        row = np.nonzero(hit)[0]
+        neg[hit] = [unit.item_at[part[i].touched[k]] for i, k in zip(row.tolist(), at[hit].tolist(), strict=True)]
     return neg
 
 
@@ -243,7 +252,7 @@ def train_unit(unit: Unit, examples: dict[str, list[Example]], P: dict[str, np.n
                 continue
             # edges are drawn in proportion to their weight
             part = [rows[i] for i in np.searchsorted(run[kind], rng.random(c.batch) * run[kind][-1], side="right").clip(0, len(rows) - 1)]
-            Uv, Vv, Pv = Var(U), Var(V), {k: Var(v) for k, v in params.items()}
+            Uv, Vv, Pv = Table(U), Table(V), {k: Var(v) for k, v in params.items()}
             if kind == "g":
                 g, _ = unit.groups([e.members for e in part], Uv, Pv, c, [e.ties or [] for e in part])
             else:
@@ -257,10 +266,14 @@ def train_unit(unit: Unit, examples: dict[str, list[Example]], P: dict[str, np.n
             loss = loss_of(s @ pick, s @ rest, c) * (1 / len(part))
             loss.backward()
             total, steps = total + float(loss.data), steps + 1
-            for name, value, grad in [("U", U, Uv.grad), ("V", V, Vv.grad), *((k, params[k], Pv[k].grad) for k in params)]:
-                if grad is not None and not (frozen and name in "UV"):
+            for name, value, table in (("U", U, Uv), ("V", V, Vv)) if not frozen else ():
+                at, grad = table.touched()
+                acc[name][at] = sq = acc[name][at] + grad**2
+                value[at] -= c.lr * grad / np.sqrt(sq)
+            for name, value in params.items():
+                if (grad := Pv[name].grad) is not None:
                     acc[name] += grad**2
-                    value -= (c.lr if name in "UV" else c.lr * c.dense) * grad / np.sqrt(acc[name])
+                    value -= c.lr * c.dense * grad / np.sqrt(acc[name])
             if c.aggregate == "metric":
                 for m in (U, V):
                     m /= np.maximum(1, np.sqrt((m**2).sum(1, keepdims=True)))

@@ -15,12 +15,12 @@ from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from crowdrank.functions.tape import Var
 from crowdrank.operators import evaluate, graph, rank, represent, sampling
-from crowdrank.operators.models import ACC, Config, Example, Unit, pair_scores, parameters, train_unit
+from crowdrank.operators.models import ACC, Config, Example, Unit, parameters, train_unit
 
 #: Rows of a unit: vectors (u, v), neighbours (n:view), features (f), means around a user (a), draws
 #: (d:graph) and examples (e:graph, with weight and share in ``x``, drawn items in ``more``, ties in ``ties``).
@@ -28,6 +28,8 @@ PART = ["unit", "what", "id", "ids", "x", "more", "ties"]
 LONGS, DOUBLES = "array<long>", "array<double>"
 #: Distances of the closeness and betweenness views are taken to so many nodes.
 LANDMARKS = 64
+#: Up to so many tasks, units get four times as many tasks as they are, so that few meet in one.
+UNIT_TASKS = 1024
 
 
 @dataclass
@@ -131,10 +133,26 @@ def dealt_examples(uv: DataFrame, uu: DataFrame, records: DataFrame, c: Config)
     ex = gr if c.mode == "simple" else ex.union(gr)
     near = neighbourhoods(uv)
     ex = graph.store(ex.join(near, F.col("members")[0] == F.col("user_id"), "left").withColumn("label", F.coalesce("label", "h")).drop("user_id"))
-    units = max(1, -(-ex.count() // c.unit_rows))
-    sizes = ex.groupBy("label").count().filter(F.col("count") > c.unit_rows).select("label", F.ceil(F.col("count") / c.unit_rows).alias("parts"))
-    ex = ex.join(F.broadcast(sizes), "label", "left").withColumn("part", F.pmod("h", F.coalesce("parts", F.lit(1))))
-    return graph.store(ex.withColumn("unit", F.pmod(F.xxhash64("label", "part"), F.lit(units)).cast("int")).select("unit", "kind", "members", "item_id", "w", "ties")), units
+    sizes = ex.groupBy("label").count().filter(F.col("count") > c.unit_rows).select("label", F.ceil(F.col("count") / c.unit_rows).cast("int").alias("parts"))
+    ex = graph.store(ex.join(F.broadcast(sizes), "label", "left").withColumn("part", F.pmod("h", F.coalesce("parts", F.lit(1)))).drop("parts"))
+    places, units = packed(ex.groupBy("label", "part").count(), c.unit_rows)
+    return graph.store(ex.join(places, ["label", "part"]).select("unit", "kind", "members", "item_id", "w", "ties")), units
+
+
+def packed(sizes: DataFrame, most: int) -> tuple[DataFrame, int]:
+    """``label, part, unit`` and the number of units: parts follow each other, ``most`` rows of them a unit.
+
+    A unit ends with the part that fills it, so it has less than ``most`` rows and one part. Running sums
+    go by shares of labels, as many as units, so that no task sees all parts.
+    """
+    sizes = graph.store(sizes)
+    n = max(1, -(-(sizes.agg(F.sum("count")).first()[0] or 0) // most))
+    sizes = sizes.withColumn("share", F.pmod(F.xxhash64("label", "part"), F.lit(n)))
+    before = Window.orderBy("share").rowsBetween(Window.unboundedPreceding, -1)
+    base = sizes.groupBy("share").agg(F.sum("count").alias("n")).select("share", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
+    inner = Window.partitionBy("share").orderBy("label", "part").rowsBetween(Window.unboundedPreceding, -1)
+    at = F.col("base") + F.coalesce(F.sum("count").over(inner), F.lit(0))
+    return sizes.join(base, "share").select("label", "part", F.floor(at / most).cast("int").alias("unit")), n
 
 
 def neighbourhoods(uv: DataFrame) -> DataFrame:
@@ -240,6 +258,7 @@ def fit(uv: DataFrame, uu: DataFrame, records: DataFrame, c: Config, users: Data
         rows = fixed.union(part_rows(need_u.join(users, "id"), "u", x="vec")).union(part_rows(need_v.join(items, "id"), "v", x="vec"))
         if c.aggregate == "voting":
             rows = rows.union(part_rows(need_u.join(mean_around(uv, uu, users, items, c.d), "id"), "a", x="x"))
+        rows = rows.repartition(min(4 * units, max(units, UNIT_TASKS)), "unit")
         moved = graph.store(rows.groupBy("unit").applyInArrow(_step(P, c, stage, r), "what string, id long, x array<double>"))
         add = F.when(F.col("g").isNull(), F.col("vec")).otherwise(F.zip_with("vec", "g", lambda a, b: a + b))
         if c.aggregate == "metric":  # sums of changes can leave the ball that each unit kept to
@@ -358,12 +377,17 @@ def group_vectors(t: Trained, records: DataFrame, users: DataFrame | None = None
 def scorer(t: Trained):
     """Scores of all group vectors with all item vectors of a block."""
     if t.config.aggregate == "ncf":
-        c, P = t.config, t.params
+        P = t.params
 
         def score(g: np.ndarray, v: np.ndarray) -> np.ndarray:
-            Pv = {k: Var(x) for k, x in P.items()}
-            rows = [pair_scores(Var(g[i : i + 64]), Var(np.broadcast_to(v, (len(g[i : i + 64]), *v.shape))), Pv, c).data for i in range(0, len(g), 64)]
-            return np.concatenate(rows) if rows else np.zeros((0, len(v)))
+            # as ``pair_scores``; for one group the layer on v and g * v is one matrix
+            a, b, m = np.split(P["M1"], 3, axis=1)
+            out = np.empty((len(g), len(v)))
+            for i, x in enumerate(g):
+                h = v @ (b.T + x[:, None] * m.T)
+                h += a @ x + P["m1"]
+                out[i] = np.maximum(h, 0, out=h) @ P["M2"][0] + v @ (x * P["m2"][0])
+            return out
 
         return score
     if t.config.aggregate == "metric":

@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 
 from crowdrank.functions import kernels as kn
-from crowdrank.functions.tape import Var, log_sigmoid
+from crowdrank.functions.tape import Table, Var, log_sigmoid
 from crowdrank.operators.models import Config, Unit, loss_of, pair_scores, parameters
 
 RNG = np.random.default_rng(0)
@@ -85,3 +85,26 @@ def test_permutation_and_padding_do_not_matter():
 def test_heads_must_divide():
     with pytest.raises(ValueError, match="not divisible"):
         kn.multi_head(Var(np.zeros((1, 1, 4))), np.ones((1, 1), bool), kn.pseudo_parameters(4), 3)
+
+
+def test_table_keeps_gradients_of_touched_rows_only():
+    """The rows that a step took, with the gradients that the whole table would have got."""
+    x, at = RNG.normal(size=(50, 3)), [np.array([[4, 7], [4, 9]]), np.array([9, 30])]
+    whole, table = Var(x), Table(x)
+    for v in (whole, table):
+        ((v.rows(at[0]) * v.rows(at[0])).sum() + (v.rows(at[1]) * 3.0).sum()).backward()
+    rows, grad = table.touched()
+    assert rows.tolist() == [4, 7, 9, 30] and np.allclose(grad, whole.grad[rows]) and table.grad is None
+
+
+def test_network_scores_equal_pair_scores():
+    """One matrix a group gives the scores of the network, without a row a pair."""
+    from types import SimpleNamespace
+
+    from crowdrank.operators import train as tr
+
+    c = Config(aggregate="ncf", d=4)
+    P, g, v = {k: x + 0.3 for k, x in parameters(c).items()}, RNG.normal(size=(5, 4)), RNG.normal(size=(7, 4))
+    want = pair_scores(Var(g), Var(np.broadcast_to(v, (5, 7, 4))), {k: Var(x) for k, x in P.items()}, c).data
+    score = tr.scorer(SimpleNamespace(config=c, params=P))
+    assert np.allclose(score(g, v), want) and "pair_scores" not in score.__code__.co_names

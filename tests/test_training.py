@@ -139,3 +139,11 @@ def test_users_who_share_items_meet_in_one_unit(spark):
     assert units == 8 and [(r["n"], r["rows"]) for r in per] == [(1, 40)] * 16
     ex, units = tr.dealt_examples(uv.withColumn("item_id", F.col("item_id") % 5), uv.select(F.col("user_id").alias("src"), F.col("user_id").alias("dst")).limit(0), none, replace(SMALL, unit_rows=80))
     assert ex.count() == 640 and ex.select("unit").distinct().count() > 1 and ex.groupBy("unit").count().agg(F.max("count")).first()[0] < 320
+
+
+def test_units_are_filled_evenly(spark):
+    """Equal parts follow each other into units; by hash some units got several times as many as others."""
+    sizes = spark.range(40).select(F.col("id").alias("label"), F.lit(0).alias("part"), F.lit(90).alias("count"))
+    places, units = tr.packed(sizes, 100)
+    rows = places.groupBy("unit").count().collect()
+    assert units == 36 and places.count() == 40 and max(r["count"] for r in rows) <= 2 and {r["unit"] for r in rows} == set(range(36))
