@@ -38,3 +38,23 @@ def test_stored_tables_leave_no_shuffle_files(spark):
     before = files()
     assert g.store(spark.range(1000).groupBy((F.col("id") % 7).alias("k")).count()).count() == 7
     assert len({f.split("_")[1] for f in files() - before}) <= 1  # the count above has its own
+
+
+def test_scores_by_a_function_are_made_once_a_group(spark):
+    """Ranks by a function equal those by products, and test pairs of one group share its scores."""
+    r = np.random.default_rng(3)
+    vec = lambda n: r.normal(size=(n, 3)).tolist()
+    items = spark.createDataFrame([(i, v) for i, v in enumerate(vec(300))], "id long, vec array<double>")
+    groups = spark.createDataFrame([(f"g{i}", v) for i, v in enumerate(vec(150))], "group_key string, vec array<double>")
+    pairs = [(f"g{i}", (7 * i + k) % 300) for i in range(150) for k in (0, 5, 90)]
+    truth, seen = (spark.createDataFrame(x, "group_key string, item_id long") for x in (pairs, [(g, (i * 3) % 300) for g, i in pairs]))
+    scored = spark.sparkContext.accumulator(0)
+
+    def score(g, v):
+        if len(v) > 1:
+            scored.add(len(g))
+        return g @ v.T
+
+    got = {tuple(x) for x in rk.truth_rank_blocks(truth, groups, items, seen=seen, score=score).collect()}
+    assert got == {tuple(x) for x in rk.truth_rank_blocks(truth, groups, items, seen=seen).collect()} and len(got) == 450
+    assert scored.value == 150
