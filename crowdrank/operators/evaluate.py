@@ -12,22 +12,35 @@ def time_split(gv: DataFrame, train: float = 0.8, valid: float = 0.1, exact: boo
     """Adds ``split``: the last records in time are the test, the last of the rest the validation.
 
     The default cuts at approximate time percentiles (one small aggregate and a filter). ``exact``
-    counts records in (time, group, item) order through day totals, without a global sort.
+    counts records in (time, group, item) order through day totals, without a global sort; only days that
+    a cut falls into are sorted. One number a day comes to the driver.
     """
     if not exact:
         us = F.unix_micros(F.col("ts").cast("timestamp"))
         a, b = gv.agg(F.percentile_approx(us, [train * (1 - valid), train], 100_000).alias("c")).first()["c"]
         return gv.withColumn("split", F.when(us > b, "test").when(us > a, "valid").otherwise("train"))
-    day = gv.withColumn("day", F.date_trunc("day", "ts"))
-    totals = day.groupBy("day").count()
-    before = Window.orderBy("day").rowsBetween(Window.unboundedPreceding, -1)
-    base = totals.select("day", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("base"))
-    n = gv.count()
-    cut = math.floor(train * n)
-    inner = Window.partitionBy("day").orderBy("ts", "group_key", "item_id")
-    r = day.withColumn("r", F.row_number().over(inner)).join(base, "day").withColumn("r", F.col("r") + F.col("base"))
-    split = F.when(F.col("r") > cut, "test").when(F.col("r") > cut - math.floor(valid * cut), "valid").otherwise("train")
-    return r.withColumn("split", split).drop("day", "r", "base")
+    day = gv.withColumn("_day", F.unix_date(F.to_date("ts")))
+    totals = sorted(((x["_day"], x["count"]) for x in day.groupBy("_day").count().collect()), key=lambda x: (x[0] is not None, x[0]))
+    cut = math.floor(train * sum(n for _, n in totals))
+    first = cut - math.floor(valid * cut)
+    whole, mixed, base = F.lit("train"), {}, 0
+    starts = {"valid": None, "test": None}
+    for at, n in totals:
+        if any(base < c < base + n for c in (first, cut)):
+            mixed[at] = base
+        for name, c in (("valid", first), ("test", cut)):
+            starts[name] = at if starts[name] is None and base >= c else starts[name]
+        base += n
+    for name in ("valid", "test"):
+        if starts[name] is not None:
+            whole = F.when(F.col("_day") >= starts[name], name).otherwise(whole)
+    rest = day.filter(F.col("_day").isNotNull() & ~F.col("_day").isin(*mixed)).withColumn("split", whole).drop("_day")
+    inner = Window.partitionBy("_day").orderBy("ts", "group_key", "item_id")
+    for at, before in mixed.items():  # two days at most
+        r = F.row_number().over(inner) + F.lit(before)
+        part = day.filter(F.col("_day") == at).withColumn("_r", r)
+        rest = rest.union(part.withColumn("split", F.when(F.col("_r") > cut, "test").when(F.col("_r") > first, "valid").otherwise("train")).drop("_day", "_r"))
+    return rest
 
 
 def truth_rank(truth: DataFrame, scores: DataFrame, seen: DataFrame | None = None, ties: str = "id") -> DataFrame:

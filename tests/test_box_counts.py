@@ -58,3 +58,33 @@ def test_scores_by_a_function_are_made_once_a_group(spark):
     got = {tuple(x) for x in rk.truth_rank_blocks(truth, groups, items, seen=seen, score=score).collect()}
     assert got == {tuple(x) for x in rk.truth_rank_blocks(truth, groups, items, seen=seen).collect()} and len(got) == 450
     assert scored.value == 150
+
+
+def test_split_sorts_only_days_that_a_cut_falls_into(spark):
+    """The exact split equals that of a sort of all rows; whole days are split without a window."""
+    from crowdrank.operators import evaluate as ev
+
+    r = np.random.default_rng(5)
+    rows = [(f"g{i}", int(i % 7), int(x)) for i, x in enumerate(r.integers(0, 20 * 86400, 400))]
+    gv = spark.createDataFrame(rows, "group_key string, item_id long, s long").select("group_key", "item_id", F.timestamp_seconds("s").alias("ts"))
+    order = sorted(rows, key=lambda x: (x[2], x[0], x[1]))
+    want = {x[0]: "test" if i >= 320 else "valid" if i >= 288 else "train" for i, x in enumerate(order)}
+    got = ev.time_split(gv, exact=True)
+    assert {x["group_key"]: x["split"] for x in got.collect()} == want and got.columns == [*gv.columns, "split"]
+    assert "Range" not in (plan := got._jdf.queryExecution().optimizedPlan().toString()) and plan.count("Window [") <= 2
+    assert all("Filter" in part.split("Window [")[0] for part in plan.split("Window [")[1:])
+
+
+def test_ranked_teams_need_the_join_of_lines_and_orders_once(spark, tmp_path):
+    """Edges, items and popularity come from one table of orders: those of the workload."""
+    from crowdrank.plans import model_queries as mq
+    from crowdrank.sources.workloads import teams
+
+    d = "/root/testdata/sf0.001"
+    w, full = mq.RankedTeams(spark, d), teams(spark, d)
+    pairs = lambda df, *c: sorted(map(tuple, df.select(*c).collect()))
+    assert pairs(w.gv, "group_key", "item_id", "ts") == pairs(full.gv, "group_key", "item_id", "ts")
+    total = lambda df: df.groupBy("item_id").agg(F.sum("w").alias("w"))
+    assert pairs(total(w.bought), "item_id", "w") == pairs(total(full.uv), "item_id", "w")
+    keys = w.test.select("group_key").distinct()
+    assert pairs(w.members(), "group_key", "user_id") == pairs(full.membership.join(keys, "group_key", "left_semi"), "group_key", "user_id")
