@@ -147,3 +147,39 @@ def test_units_are_filled_evenly(spark):
     places, units = tr.packed(sizes, 100)
     rows = places.groupBy("unit").count().collect()
     assert units == 36 and places.count() == 40 and max(r["count"] for r in rows) <= 2 and {r["unit"] for r in rows} == set(range(36))
+
+
+def test_a_step_is_few_nodes_of_the_tape(monkeypatch):
+    """A step of the whole model took some hundred nodes, each with several small arrays; now it takes a few."""
+    from crowdrank.functions.tape import Var
+
+    c = replace(METHODS["consensus"], d=4, local=1)
+    near = {v: {u: [(u + 1) % 6, (u + 2) % 6] for u in range(6)} for v in c.views}
+    unit, made, init = unit_of(), [0], Var.__init__
+    unit.near = near
+    P = parameters(c)
+
+    def counted(self, *args, **kw):
+        made[0] += 1
+        init(self, *args, **kw)
+
+    monkeypatch.setattr(Var, "__init__", counted)
+    for stage in ("group", "user"):
+        made[0] = 0
+        train_unit(unit, {"g": [Example([0, 1, 2], 100, touched=[101], share=0.5)], "u": [Example([4], 105)]}, P, c, stage, np.random.default_rng(0), {"g": np.array([1, 2]), "u": np.array([3])})
+        assert 0 < made[0] - len(P) <= 20
+
+
+def test_product_loss_equals_the_loss_of_scores():
+    from crowdrank.functions.tape import Var
+    from crowdrank.operators.models import loss_of, pair_scores, product_loss
+
+    r, c, got = np.random.default_rng(4), SMALL, []
+    arrays = [r.normal(size=(3, 4)), r.normal(size=(3, 5, 4))]
+    for whole in (False, True):
+        x, v = map(Var, arrays)
+        s = None if whole else pair_scores(x, v, {}, c)
+        loss = product_loss(x, v) if whole else loss_of(s @ np.eye(5)[:, :1], s @ np.eye(5)[:, 1:], c)
+        (loss * 0.25).backward()
+        got.append((loss.data, x.grad, v.grad))
+    assert all(np.allclose(a, b) for a, b in zip(*got, strict=True))
