@@ -34,3 +34,22 @@ def test_degrees_and_neighbours_without_listed_ties(spark, monkeypatch):
     assert rows(degree) == rows(g.centrality_degree(uu))
     cols = ["user_id", "rnk", "nbr", "score"]
     assert rows(g.context_neighbours(lists, degree, 3).select(*cols)) == rows(g.top_neighbours(uu, degree, 3).select(*cols))
+
+
+def test_lists_travel_as_few_bytes(spark):
+    """Gaps of context numbers take a byte or two; the numbers themselves took eight and had gaps of their own."""
+    import pyarrow as pa
+
+    lists = [[], [0], [5, 6, 300, 70_000, 1 << 40], [], [1, 2, 3], list(range(0, 60_000, 600))]
+    df = spark.createDataFrame(list(enumerate(lists)), "user_id long, at array<long>").repartition(3)
+    rows = g.packed_lists(df).collect()
+    half = len(rows) // 2
+    at = pa.chunked_array([pa.array([bytes(r["at"]) for r in part], pa.binary()) for part in (rows[:half], [], rows[half:])])
+    cuts, flat = g.unpacked_lists(at)
+    assert [flat[a:b].tolist() for a, b in zip(cuts[:-1], cuts[1:], strict=True)] == [lists[r["user_id"]] for r in rows]
+    cuts, flat = g.unpacked_lists(at[2:5])
+    assert [flat[a:b].tolist() for a, b in zip(cuts[:-1], cuts[1:], strict=True)] == [lists[r["user_id"]] for r in rows[2:5]]
+    assert {r["user_id"]: len(r["at"]) for r in rows} == {0: 0, 1: 1, 2: 13, 3: 0, 4: 3, 5: 199}
+    log = log_of(spark).repartition(7)
+    numbers = {k for r in g.shared_contexts(log, ["place"]).collect() for k in r["at"]}
+    assert max(numbers) <= len(numbers)  # the context without a place has a number too, but ties nobody
